@@ -1,10 +1,12 @@
 """Exact deduplication by content sort, in DataFrame functions only.
 
-The normalised text itself is the sort key.  Spark samples splitters for it,
-deals the rows out by range and sorts each range externally, so equal texts
-become neighbours; a window over runs of equal text compares them in full and
-ranks each run by identifier.  Nothing depends on a hash being free of
-collisions.
+The normalised text is the sort key.  Spark samples splitters, deals the rows
+out by range and sorts each range externally, so equal texts become neighbours;
+a window over runs of equal text compares them in full and ranks each run by
+identifier.  A splitter is the first ``PREFIX`` characters with a 64-bit hash
+to part texts that begin alike, so the sample on the driver stays small however
+long the texts are; inside a range the whole text decides, and nothing depends
+on the hash being free of collisions.
 
 A text that makes up more than one in ``HOT_SHARE`` rows would overload its
 range.  Such texts (fewer than ``HOT_SHARE`` of them, whatever the input) are
@@ -27,6 +29,7 @@ from entlink.storage import materialize
 
 HOT_SHARE = 1000
 SALTS = 64
+PREFIX = 32
 
 
 def hot_hashes(docs: DataFrame, text_col: str = "text") -> DataFrame:
@@ -51,12 +54,13 @@ def sorted_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         F.col(id_col).alias("id"),
         fold_ascii_case(F.col(text_col)).alias("norm"),
     )
-    rows = rows.withColumn("hot", F.array_contains(hot_list, F.xxhash64("norm")) if hot else F.lit(False))
+    rows = rows.withColumn("head", F.substring("norm", 1, PREFIX)).withColumn("hash", F.xxhash64("norm"))
+    rows = rows.withColumn("hot", F.array_contains(hot_list, F.col("hash")) if hot else F.lit(False))
     rows = rows.withColumn("salt", F.when(F.col("hot"), F.pmod(F.xxhash64("id"), F.lit(SALTS)).cast("int")).otherwise(F.lit(0)))
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ranged = rows.repartitionByRange(parts, "norm", "salt")
+    ranged = rows.repartitionByRange(parts, "head", "hash", "salt")
     order = F.col("id").asc_nulls_last() if keep == "smallest" else F.col("id").desc_nulls_last()
-    run = Window.partitionBy("norm", "salt")
+    run = Window.partitionBy("head", "hash", "salt", "norm")
     placed = run.orderBy(order)
     return ranged.select(
         "row",
