@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import os
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.llm import exact_dedup, hilbert_shards, quality_ftrl, simhash_trie
+from entlink.llm import exact_dedup, hilbert_shards, quality_ftrl, simhash_trie, token_store
 from entlink.storage import table
 
 
@@ -14,6 +16,21 @@ def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classes.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def tokenizer_path(name: str) -> str:
+    """Place of a public vocabulary file; ``ENTLINK_TOKENIZERS`` names another folder."""
+    if folder := os.environ.get("ENTLINK_TOKENIZERS"):
+        return os.path.join(folder, name)
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op3_token_sstable(spark: SparkSession, sf_dir: str) -> DataFrame:
+    encoder = lambda: token_store.BytePairEncoder(tokenizer_path("byte_bpe_50k.json"))
+    manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), encoder)
+    return token_store.read_tokens(manifest).select(F.col("id").alias("doc_id"), "start", "n_tokens", "ids_crc32")
+
+
 def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     weights = quality_ftrl.fit(docs, table(spark, sf_dir, "labels"))
@@ -39,6 +56,7 @@ def op7_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
+    "op3_token_sstable": op3_token_sstable,
     "op4_quality_classifier": op4_quality_classifier,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_hilbert_sharding": op7_hilbert_sharding,
