@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.llm import exact_dedup, hilbert_shards, quality_ftrl, simhash_trie, token_store
+from entlink.llm import exact_dedup, gif_media, hilbert_shards, quality_ftrl, simhash_trie, token_store
 from entlink.storage import table
 
 
@@ -54,12 +54,21 @@ def op7_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op8_gif_media(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = gif_media.media_features(gif_media.store_media(table(spark, sf_dir, "documents")))
+    feature = F.format_string("%d frames, %d cs: %s", "frames", "duration", F.array_join("histogram", ","))
+    return found.select(
+        F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature.alias("feature")
+    )
+
+
 QUERIES = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
     "op3_token_sstable": op3_token_sstable,
     "op4_quality_classifier": op4_quality_classifier,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_hilbert_sharding": op7_hilbert_sharding,
+    "op8_gif_media": op8_gif_media,
 }
 
 FOLD = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
