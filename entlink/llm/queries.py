@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.llm import exact_dedup, gif_media, hilbert_shards, quality_ftrl, simhash_trie, token_store
+from entlink.llm import exact_dedup, gif_media, hilbert_shards, quality_ftrl, raking_mix, simhash_trie, token_store, warc_chain
 from entlink.storage import table
 
 
@@ -62,6 +62,16 @@ def op8_gif_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op9_warc_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    files = warc_chain.write_warc(table(spark, sf_dir, "pages"))
+    found = warc_chain.read_warc(files, with_payload=False)
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op10_raking_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return raking_mix.mixture(table(spark, sf_dir, "documents"), budget=0.5)
+
+
 QUERIES = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
     "op3_token_sstable": op3_token_sstable,
@@ -69,6 +79,8 @@ QUERIES = {
     "op6_exact_dedup": op6_exact_dedup,
     "op7_hilbert_sharding": op7_hilbert_sharding,
     "op8_gif_media": op8_gif_media,
+    "op9_warc_chain": op9_warc_chain,
+    "op10_raking_mix": op10_raking_mix,
 }
 
 FOLD = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
@@ -80,4 +92,12 @@ ORACLES = {
                doc_id = max(doc_id) OVER g AS kept, sha256(norm) AS text_sha256
         FROM d WINDOW g AS (PARTITION BY norm)
     """,
+    "op9_warc_chain": """
+        WITH p AS (SELECT page_id, coalesce(html, '') AS html FROM pages),
+             g AS (SELECT page_id, html, strlen(html) AS n, min(page_id) OVER (PARTITION BY html) AS head FROM p)
+        SELECT page_id, n::BIGINT AS payload_bytes, sha256(html) AS payload_digest,
+               CASE WHEN n >= 100 AND page_id > head THEN 'revisit' ELSE 'response' END AS record_type,
+               CASE WHEN n >= 100 AND page_id > head THEN head END AS refers_to
+        FROM g
+    """,
 }
