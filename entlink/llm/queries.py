@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.llm import exact_dedup, gif_media, hilbert_shards, quality_ftrl, raking_mix, simhash_trie, token_store, warc_chain
+from entlink.llm import exact_dedup, gif_media, hilbert_shards, piece_transducer, quality_ftrl, raking_mix, simhash_trie, token_store, warc_chain
 from entlink.storage import table
 
 
@@ -25,6 +25,11 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op2_sentencepiece_wfst(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = piece_transducer.encode_documents(table(spark, sf_dir, "documents"), tokenizer_path("piece_bpe_32k.model"), with_ids=False)
+    return found.select(F.col("id").alias("doc_id"), "n_pieces", "ids_crc32", "round_trip")
+
+
 def op3_token_sstable(spark: SparkSession, sf_dir: str) -> DataFrame:
     encoder = lambda: token_store.BytePairEncoder(tokenizer_path("byte_bpe_50k.json"))
     manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), encoder)
@@ -74,6 +79,7 @@ def op10_raking_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_simhash_near_dedup": op1_simhash_near_dedup,
+    "op2_sentencepiece_wfst": op2_sentencepiece_wfst,
     "op3_token_sstable": op3_token_sstable,
     "op4_quality_classifier": op4_quality_classifier,
     "op6_exact_dedup": op6_exact_dedup,
