@@ -1,0 +1,31 @@
+"""Global ranks without a single task that sees all rows."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from entlink.storage import materialize
+
+
+def ranked(df: DataFrame, keys: list[str], rank_col: str = "rank", tag: str = "ranked") -> tuple[DataFrame, int]:
+    """Rows of ``df`` with their place, from zero, in the order of ``keys``, and the number of rows.
+
+    Rows are dealt out by range and sorted, and written once with partition and
+    row numbers, so that both passes see the same order.  Only one count per
+    range reaches the driver.  ``keys`` should leave no ties but equal rows.
+    """
+    spark = df.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    order = [F.col(k).asc_nulls_first() for k in keys]
+    placed = df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    # monotonically_increasing_id has the partition number above bit 33 and the row number below
+    placed = materialize(placed.withColumn("_place", F.monotonically_increasing_id()), tag)
+    placed = placed.withColumn("_part", F.shiftright("_place", 33))
+    base, before = [], 0
+    for part, n in sorted(placed.groupBy("_part").count().collect()):
+        base.append((part, before))
+        before += n
+    offsets = spark.createDataFrame(base, "_part long, _before long")
+    found = placed.join(F.broadcast(offsets), "_part").withColumn(rank_col, F.col("_before") + F.col("_place").bitwiseAND((1 << 33) - 1))
+    return found.drop("_place", "_part", "_before"), before

@@ -7,7 +7,7 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.llm import exact_dedup, gif_media, hilbert_shards, piece_transducer, quality_ftrl, raking_mix, simhash_trie, token_store, warc_chain
+from entlink.llm import exact_dedup, gif_media, hilbert_shards, piece_transducer, quality_ftrl, quote_threads, raking_mix, simhash_trie, token_store, warc_chain
 from entlink.storage import table
 
 
@@ -48,6 +48,13 @@ def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_quote_threads(spark: SparkSession, sf_dir: str) -> DataFrame:
+    threads = quote_threads.reply_ordered(table(spark, sf_dir, "conversations"))
+    return threads.select(
+        "conv_id", "turn", "role", "position", "parent_turn", "depth", "quoted_lines", F.sha2("clean_text", 256).alias("text_sha256")
+    )
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.decisions(table(spark, sf_dir, "documents"), keep="largest")
 
@@ -82,6 +89,7 @@ QUERIES = {
     "op2_sentencepiece_wfst": op2_sentencepiece_wfst,
     "op3_token_sstable": op3_token_sstable,
     "op4_quality_classifier": op4_quality_classifier,
+    "op5_quote_threads": op5_quote_threads,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_hilbert_sharding": op7_hilbert_sharding,
     "op8_gif_media": op8_gif_media,
@@ -106,4 +114,37 @@ ORACLES = {
                CASE WHEN n >= 100 AND page_id > head THEN head END AS refers_to
         FROM g
     """,
+    # The same rules in plain windows and a recursive walk from parent to parent.
+    "op5_quote_threads": r"""
+        WITH RECURSIVE m AS (
+            SELECT row_number() OVER (ORDER BY conv_id NULLS FIRST, turn NULLS FIRST, role NULLS FIRST, coalesce(text, '')) AS msg,
+                   conv_id, turn, role, coalesce(text, '') AS text FROM conversations),
+        split AS (SELECT msg, conv_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS no FROM m),
+        lines AS (SELECT *, len(regexp_replace(regexp_extract(line, '^(?:[ \t]?>)+'), '[^>]', '', 'g')) AS level,
+                         regexp_matches(line, '^On .{1,200} wrote:[ \t]*$') AS intro FROM split),
+        own AS (SELECT msg, conv_id, trim(regexp_replace(lower(line), '\s+', ' ', 'g')) AS unit FROM lines WHERE level = 0 AND NOT intro
+                UNION SELECT msg, conv_id, trim(regexp_replace(lower(string_agg(line, chr(10) ORDER BY no)), '\s+', ' ', 'g'))
+                FROM lines WHERE level = 0 AND NOT intro GROUP BY ALL),
+        first_own AS (SELECT conv_id, unit, min(msg) AS origin FROM own WHERE unit <> '' GROUP BY ALL),
+        step AS (SELECT *, CASE WHEN level = lag(level) OVER (PARTITION BY msg ORDER BY no) THEN 0 ELSE 1 END AS start FROM lines),
+        quoted AS (SELECT *, sum(start) OVER (PARTITION BY msg ORDER BY no) AS run,
+                          trim(regexp_replace(lower(regexp_replace(line, '^(?:[ \t]?>)+', '')), '\s+', ' ', 'g')) AS clean FROM step),
+        units AS (SELECT msg, conv_id, level, clean AS unit FROM quoted WHERE level > 0
+                  UNION ALL SELECT msg, conv_id, level, trim(regexp_replace(string_agg(clean, ' ' ORDER BY no), '\s+', ' ', 'g'))
+                  FROM quoted WHERE level > 0 GROUP BY msg, conv_id, level, run),
+        votes AS (SELECT u.msg, level, origin, count(*) AS n FROM units u JOIN first_own f
+                  ON u.unit = f.unit AND u.conv_id IS NOT DISTINCT FROM f.conv_id WHERE origin < u.msg GROUP BY ALL),
+        links AS (SELECT msg, origin AS parent FROM votes QUALIFY row_number() OVER (PARTITION BY msg ORDER BY level, n DESC, origin) = 1),
+        walk AS (SELECT msg, parent AS root, 1 AS depth FROM links
+                 UNION ALL SELECT w.msg, l.parent, depth + 1 FROM walk w JOIN links l ON w.root = l.msg),
+        ends AS (SELECT msg, min(root) AS root, max(depth) AS depth FROM walk GROUP BY msg),
+        clean AS (SELECT msg, count(*) FILTER (WHERE level > 0) AS quoted_lines,
+                         regexp_replace(coalesce(string_agg(line, chr(10) ORDER BY no) FILTER (WHERE level = 0 AND NOT intro), ''), '^\n+|\n+$', '', 'g') AS kept
+                  FROM lines GROUP BY msg)
+        SELECT m.conv_id, m.turn, m.role,
+               row_number() OVER (PARTITION BY m.conv_id ORDER BY coalesce(e.root, m.msg), coalesce(e.depth, 0), m.msg) - 1 AS position,
+               p.turn AS parent_turn, coalesce(e.depth, 0)::BIGINT AS depth, c.quoted_lines::INTEGER AS quoted_lines,
+               sha256(CASE WHEN c.quoted_lines > 0 THEN c.kept ELSE m.text END) AS text_sha256
+        FROM m JOIN clean c USING (msg) LEFT JOIN ends e USING (msg) LEFT JOIN links l USING (msg) LEFT JOIN m p ON p.msg = l.parent
+    """,
 }
