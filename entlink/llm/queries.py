@@ -31,8 +31,8 @@ def op2_sentencepiece_wfst(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_token_sstable(spark: SparkSession, sf_dir: str) -> DataFrame:
-    encoder = lambda: token_store.BytePairEncoder(tokenizer_path("byte_bpe_50k.json"))
-    manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), encoder)
+    path = tokenizer_path("byte_bpe_50k.json")
+    manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), lambda: token_store.bpe_encoder(path))
     return token_store.read_tokens(manifest).select(F.col("id").alias("doc_id"), "start", "n_tokens", "ids_crc32")
 
 

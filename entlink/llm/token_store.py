@@ -9,8 +9,7 @@ place in the shard plus the tokens of all shards before.
 Encoding is by the tokenizers library.  In byte-level BPE a lone space or line
 break between two visible characters always starts a new pre-token, so a text
 whose white space is all of that kind is the concatenation of its words' ids;
-those are encoded once each, many in one call, and kept in a bounded
-dictionary.  Any other text goes to the library whole.
+those are encoded once each and kept in a bounded dictionary.  Any other text goes to the library whole.
 
 Defined results: a null text counts as empty and has the end id alone; equal
 identifiers are ordered by text; null identifiers come first; an empty table
@@ -22,7 +21,9 @@ from __future__ import annotations
 import os
 import struct
 import zlib
+from array import array
 from collections.abc import Callable
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -36,7 +37,12 @@ from entlink.storage import materialize, scratch_path
 
 END_ID = 0
 SHARD_BYTES = 64 << 20
-CACHE_WORDS = 800_000
+CACHE_WORDS = 250_000
+TEXTS_AT_ONCE = 1024
+MET = (1 << 22) - 1
+
+
+MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"  # no apostrophe: it may begin a contraction
 
 
 class BytePairEncoder:
@@ -50,53 +56,96 @@ class BytePairEncoder:
         self.newline = self.tokenizer.encode("\n", add_special_tokens=False).ids
         # The short cut needs byte-level pre-tokens and one id for a line break.
         self.by_word = "ByteLevel(add_prefix_space=False" in repr(self.tokenizer.pre_tokenizer) and len(self.newline) == 1
-        self.known: dict[str, bytes] = {}
+        self.met = bytearray(MET + 1)  # hashes of words met before
+        self.marks: dict[str, bytes] = {}
+        # The alphabet in which byte-level models spell bytes: visible Latin-1 characters are themselves.
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        others = [b for b in range(256) if b not in plain]
+        self.spelled = {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(others)}
+        self.first: dict[str, bytes] = {}  # ids of words at the start of a line
+        self.later: dict[str, bytes] = {}  # ids of words after a blank
 
     def _whole(self, texts: list[str]) -> list[bytes]:
         found = self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
         return [np.array(e.ids, np.uint32).tobytes() for e in found]
 
-    def _learn(self, words: list[str]) -> None:
-        """Encode words that are new, many in one call with line breaks between them."""
-        for at in range(0, len(words), 5000):
-            some = words[at : at + 5000]
-            ids = np.array(self.tokenizer.encode_batch_fast(["\n".join(some)], add_special_tokens=False)[0].ids, np.uint32)
+    def _learn(self, words: list[str], lead: str, known: dict[str, bytes], found: dict[str, bytes]) -> None:
+        """Encode ``lead`` and each word: letters with marks behind them by the library's merge model, as they are
+        two pre-tokens, all others many in one call with line breaks between them."""
+        spell, marks, merge = self.spelled.__getitem__, self.marks, self.tokenizer.model.tokenize
+        start, others = "".join(map(spell, lead.encode())), []
+        for w in words:
+            base = w.rstrip(MARKS)
+            if not base.isalpha():
+                others.append(w)
+                continue
+            raw = known.get(base)
+            if raw is None:
+                spelled = start + base if base.isascii() else start + "".join(map(spell, base.encode()))
+                raw = array("I", [t.id for t in merge(spelled)]).tobytes()
+            if base is not w:
+                tail = w[len(base) :]
+                if tail not in marks:
+                    if len(marks) > 10_000:
+                        marks.clear()
+                    marks[tail] = array("I", [t.id for t in merge(tail)]).tobytes()
+                raw += marks[tail]
+            found[w] = raw
+        for at in range(0, len(others), 5000):
+            some = others[at : at + 5000]
+            joined = lead + ("\n" + lead).join(some)
+            ids = np.array(self.tokenizer.encode_batch_fast([joined], add_special_tokens=False)[0].ids, np.uint32)
             ends = np.flatnonzero(ids == self.newline[0])
-            starts = [0, *(ends + 1).tolist()]
+            starts = [0, *(4 * (ends + 1)).tolist()]
             raw = ids.tobytes()
-            for w, s, e in zip(some, starts, [*ends.tolist(), len(ids)], strict=True):
-                self.known[w] = raw[4 * s : 4 * e]
+            for w, s, e in zip(some, starts, [*(4 * ends).tolist(), len(raw)], strict=True):
+                found[w] = raw[s:e]
+
+    def _ids_of(self, wanted: set[str], lead: str, known: dict[str, bytes]) -> dict[str, bytes]:
+        """Ids of all wanted words.  A word is kept for later texts when it is met in a second batch."""
+        found = {w: known[w] for w in wanted if w in known}
+        new = [w for w in wanted if w not in found]
+        self._learn(new, lead, known, found)
+        met = self.met
+        again = [w for w in new if met[hash(w) & MET]]
+        if len(known) + len(again) > CACHE_WORDS:
+            known.clear()
+            met[:] = bytes(MET + 1)
+        for w in new:
+            met[hash(w) & MET] = 1
+        for w in again:
+            known[w] = found[w]
+        return found
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        out: list[bytes | None] = [None] * len(texts)
         if not self.by_word:
             return self._whole(texts)
-        plans, odd = {}, []
-        for i, t in enumerate(texts):
+        plans: list[list[list[str]] | None] = []
+        first, later, odd = set(), set(), []
+        for t in texts:
             if len(t.split()) == t.count(" ") + t.count("\n") + 1:
-                words = t.replace("\n", " \n").split(" ")
-                plans[i] = [words[0], *[" " + w if w[0] != "\n" else w[1:] for w in words[1:]]], [k for k, w in enumerate(words) if w[0] == "\n"]
+                lines = [line.split(" ") for line in t.split("\n")]
+                for words in lines:
+                    first.add(words[0])
+                    later.update(words[1:])
+                plans.append(lines)
             else:
-                odd.append(i)
-        wanted = set()
-        for words, _ in plans.values():
-            wanted.update(words)
-        new = [w for w in wanted if w not in self.known]
-        if len(self.known) + len(new) > CACHE_WORDS:
-            short = {w: v for w, v in self.known.items() if len(w) < 8}  # short words recur most
-            self.known = short if len(short) + len(wanted) <= CACHE_WORDS else {}
-            new = [w for w in wanted if w not in self.known]
-        self._learn(new)
-        line = np.array(self.newline, np.uint32).tobytes()
-        get = self.known.__getitem__
-        for i, (words, breaks) in plans.items():
-            ids = list(map(get, words))
-            for k in breaks:
-                ids[k] = line + ids[k]
-            out[i] = b"".join(ids)
-        for i, ids in zip(odd, self._whole([texts[i] for i in odd]), strict=True):
-            out[i] = ids
-        return out
+                plans.append(None)
+                odd.append(t)
+        head = self._ids_of(first, "", self.first)
+        rest = self._ids_of(later, " ", self.later)
+        whole = iter(self._whole(odd))
+        line_break = np.array(self.newline, np.uint32).tobytes()
+        return [
+            next(whole) if lines is None else line_break.join([head[words[0]] + b"".join([rest[w] for w in words[1:]]) for words in lines])
+            for lines in plans
+        ]
+
+
+@lru_cache(maxsize=1)
+def bpe_encoder(path: str) -> BytePairEncoder:
+    """The encoder of a vocabulary file, once for each Python worker."""
+    return BytePairEncoder(path)
 
 
 def key_of(doc_id: int | None) -> bytes:
@@ -137,9 +186,9 @@ def write_tokens(
         for b in batches:
             enc = enc or encoder()
             ids = b.column(0).to_pylist()
-            for at in range(0, b.num_rows, 256):
-                texts = [t or "" for t in b.column(1).slice(at, 256).to_pylist()]
-                for doc_id, raw in zip(ids[at : at + 256], enc.encode(texts)):
+            for at in range(0, b.num_rows, TEXTS_AT_ONCE):
+                texts = [t or "" for t in b.column(1).slice(at, TEXTS_AT_ONCE).to_pylist()]
+                for doc_id, raw in zip(ids[at : at + TEXTS_AT_ONCE], enc.encode(texts)):
                     if table is None:
                         stream = publishing(f"{path}/{part:06d}-{seq:06d}.sst")
                         table = sstable.Writer(stream.__enter__(), {"dtype": "uint32"})

@@ -20,6 +20,14 @@ def test_encoder_equals_library():
         assert np.frombuffer(got, np.uint32).tolist() == t.encode(text, add_special_tokens=False).ids, text[:40]
 
 
+def test_encoder_equals_library_on_documents(spark):
+    t, e = Tokenizer.from_file(PATH), ts.BytePairEncoder(PATH)
+    texts = [r.text for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()]
+    texts += ["the*** of%%% _a_ a_b ... x's 'tis l'été ²x x² ªº ǅ ﬁ!! don't, a'", "word<|endoftext|> x", "w-<|endoftext|>, y", "<|endoftext|>"]
+    for got, text in zip(e.encode(texts), texts):
+        assert np.frombuffer(got, np.uint32).tolist() == t.encode(text, add_special_tokens=False).ids, text[:80]
+
+
 def test_table_round_trip_and_lookup():
     rng = np.random.default_rng(0)
     ids = sorted(rng.integers(-(2**62), 2**62, 3000).tolist()) + [2**62, 2**62]
