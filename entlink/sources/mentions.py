@@ -163,7 +163,7 @@ def with_split(mentions: DataFrame) -> DataFrame:
 
 def sentences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, sent_no, start, end, text: pieces between sentence ends and line breaks, with their offsets."""
-    parts = F.split(F.coalesce(F.col(text_col), F.lit("")), r"(?<=[.!?])(?=\s)|\n")
+    parts = F.split(F.coalesce(F.col(text_col), F.lit("")), r"(?<=[.!?])(?=[ \t\r\f\x0B])|\n")
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("whole"), parts.alias("parts"))
     # Pieces are disjoint and in order, so an offset is the sum of the lengths and line breaks before.
     cut = F.aggregate(

@@ -1 +1,2 @@
 """Experiment workloads; importing this package registers their queries."""
+from entlink.workloads import core  # noqa: F401
