@@ -323,7 +323,7 @@ def function_surface(spark, d):
         return float(v.astype(float).sum())
 
     rows = t(spark, d, "embeddings").select("label", F.element_at("embedding", 1).cast("double").alias("x"))
-    return rows.groupBy("label").agg(total("x").alias("s"), _count("*")).select("label", F.round("s", 5).alias("first_sum"), "n")
+    return rows.groupBy("label").agg(total("x").alias("s"), total(F.lit(1.0)).alias("n")).select("label", F.round("s", 5).alias("first_sum"), F.col("n").cast("bigint").alias("n"))
 
 
 @query("q100_subqueries", """WITH RECURSIVE walk AS (SELECT 0 AS level, r_regionkey AS key, r_name AS name FROM region UNION ALL SELECT 1, n_nationkey, w.name || '/' || n_name FROM walk w JOIN nation ON level = 0 AND n_regionkey = key)
