@@ -11,13 +11,14 @@ from pyspark.sql import functions as F
 
 from entlink.llm import exact_dedup, piece_transducer, quality_ftrl, raking_mix, simhash_trie
 from entlink.llm.queries import tokenizer_path
-from entlink.storage import materialize, table
+from entlink.storage import bounded_batches, materialize, table
 
 TOKEN_SHARE = 0.8
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier does not reject."""
+    bounded_batches(spark)
     weights = quality_ftrl.fit(docs, table(spark, sf_dir, "labels"))
     rows = docs.select(F.struct("*").alias("row"), F.col("text").alias("text"))
     return quality_ftrl.with_score(rows, weights).where("score >= 0.5").select("row.*")
@@ -30,6 +31,7 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near copies the one with the smallest identifier; rows without identifier stay."""
+    bounded_batches(spark)
     classes = simhash_trie.near_duplicate_classes(docs)
     gone = materialize(classes.where("doc_id > component_id").select("doc_id").distinct(), "near-gone")
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
@@ -37,11 +39,13 @@ def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A sample of ``TOKEN_SHARE`` of all tokens with tempered source, language and topic shares."""
+    bounded_batches(spark)
     return raking_mix.sampled(docs, budget=TOKEN_SHARE)
 
 
 def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Piece identifiers of every document."""
+    bounded_batches(spark)
     found = piece_transducer.encode_documents(docs, tokenizer_path("piece_bpe_32k.model"))
     return found.select(F.col("id").alias("doc_id"), "n_pieces", "ids_crc32", "round_trip", "ids")
 

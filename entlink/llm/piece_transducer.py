@@ -41,7 +41,7 @@ NORMAL, UNKNOWN, CONTROL, USER, BYTE, UNUSED = 1, 2, 3, 4, 6, 5
 UNIGRAM, BPE = 1, 2
 UNKNOWN_PENALTY = 10.0
 NEVER = float("-inf")
-KNOWN_WORDS, KNOWN_PAIRS = 400_000, 300_000
+KNOWN_WORDS, KNOWN_PAIRS = 300_000, 200_000
 
 
 def _fields(buf: bytes) -> Iterator[tuple[int, int | bytes]]:
@@ -286,6 +286,10 @@ class PieceTransducer:
         again = np.concatenate(([False], (ids[1:] == self.unknown) & (ids[:-1] == self.unknown)))
         return ids[~again].tobytes()
 
+    def forget(self) -> None:
+        """Give back the memory of all words and verdicts."""
+        self.led, self.bare, self.verdicts, self.n_verdicts = {}, {}, {}, 0
+
     def decode(self, raw: bytes) -> str:
         """The text of identifiers: the same transducer with input and output exchanged."""
         surface = self.surface
@@ -318,6 +322,7 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
                     raw = t.encode(text)
                     rows.append((doc_id, len(raw) // 4, zlib.crc32(raw), t.decode(raw) == (text or ""), raw if with_ids else None))
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names)
+        t.forget()  # the worker goes on to other tasks
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     return slim.mapInArrow(run, RESULT)

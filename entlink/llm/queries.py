@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from entlink.llm import exact_dedup, gif_media, hilbert_shards, piece_transducer, quality_ftrl, quote_threads, raking_mix, simhash_trie, token_store, warc_chain
-from entlink.storage import table
+from entlink.storage import bounded_batches, table
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,6 +31,7 @@ def op2_sentencepiece_wfst(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_token_sstable(spark: SparkSession, sf_dir: str) -> DataFrame:
+    bounded_batches(spark)
     path = tokenizer_path("byte_bpe_50k.json")
     manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), lambda: token_store.bpe_encoder(path))
     return token_store.read_tokens(manifest).select(F.col("id").alias("doc_id"), "start", "n_tokens", "ids_crc32")

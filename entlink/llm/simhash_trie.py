@@ -39,7 +39,7 @@ SEED = 42
 BUDGET = 3
 BLOCKS = 4
 CROWDED = 4096
-FRONTIER = 1 << 15
+FRONTIER = 1 << 13
 
 
 def fingerprint(text: str | None, width: int = 3) -> int:

@@ -37,9 +37,9 @@ from entlink.storage import materialize, scratch_path
 
 END_ID = 0
 SHARD_BYTES = 64 << 20
-CACHE_WORDS = 250_000
+CACHE_WORDS = 600_000
 TEXTS_AT_ONCE = 1024
-MET = (1 << 22) - 1
+MET = (1 << 23) - 1
 
 
 MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"  # no apostrophe: it may begin a contraction
