@@ -23,25 +23,49 @@ def distances(q: np.ndarray, b: np.ndarray, metric: str) -> np.ndarray:
     return np.sqrt(np.maximum(0, (q * q).sum(1)[:, None] + (b * b).sum(1)[None] - 2 * q @ b.T))
 
 
-def exact_knn(queries: DataFrame, base: DataFrame, n: int = 10, metric: str = "cosine", block: int = BLOCK) -> DataFrame:
-    """``(query_id, result_id, distance, rank)``; inputs are (id, vec).  Ties are ordered by result id."""
-    n_base = max(1, math.ceil(base.count() / block))
-    n_query = max(1, math.ceil(queries.count() / block))
+def nearest_in_block(left: pd.DataFrame, right: pd.DataFrame, n: int, metric: str) -> pd.DataFrame:
+    """Best ``n`` of one pair of blocks, ties by result id."""
+    if not len(left) or not len(right):
+        none = left.id.iloc[:0].astype(object), right.id.iloc[:0].astype(object)
+        return pd.DataFrame({"query_id": none[0].reset_index(drop=True), "result_id": none[1].reset_index(drop=True), "distance": pd.Series([], dtype=float)})
+    right = right.sort_values("id", kind="stable")
+    d = distances(np.stack(left.vec).astype(float), np.stack(right.vec).astype(float), metric)
+    n = min(n, d.shape[1])
+    r, c = np.nonzero(d <= np.partition(d, n - 1, axis=1)[:, n - 1 : n])
+    order = np.lexsort((c, d[r, c], r))
+    r, c = r[order], c[order]
+    place = np.arange(len(r)) - np.searchsorted(r, r)
+    r, c = r[place < n], c[place < n]
+    # Plain object columns: Arrow-backed strings may come in chunks, which Spark cannot send.
+    pick = lambda ids, i: pd.Series(ids.to_numpy()[i], dtype=object if ids.dtype.kind not in "iu" else ids.dtype)
+    return pd.DataFrame({"query_id": pick(left.id, r), "result_id": pick(right.id, c), "distance": d[r, c]})
+
+
+def grouped_knn(queries: DataFrame, base: DataFrame, n: int = 10, metric: str = "cosine", block: int = BLOCK) -> DataFrame:
+    """``(grp, query_id, result_id, distance, rank)``: nearest base rows of the same group; inputs are (grp, id, vec).
+
+    The number of blocks follows the largest group, so that no block exceeds ``block`` rows by much.
+    """
+    most = lambda df: df.groupBy("grp").count().agg(F.max("count")).first()[0] or 1
+    n_base, n_query = (max(1, math.ceil(most(df) / block)) for df in (base, queries))
     kind = dict(base.dtypes)["id"], dict(queries.dtypes)["id"]
     q = queries.withColumn("qb", F.pmod(F.xxhash64("id"), F.lit(n_query)).cast("int"))
     q = q.withColumn("bb", F.explode(F.sequence(F.lit(0), F.lit(n_base - 1))))
     b = base.withColumn("bb", F.pmod(F.xxhash64(F.lit("b"), "id"), F.lit(n_base)).cast("int"))
     b = b.withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(n_query - 1))))
 
-    def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        if not len(left) or not len(right):
-            return pd.DataFrame({"query_id": [], "result_id": [], "distance": []})
-        right = right.sort_values("id", kind="stable")
-        d = distances(np.stack(left.vec).astype(float), np.stack(right.vec).astype(float), metric)
-        order = np.argsort(d, axis=1, kind="stable")[:, :n]
-        rows = np.repeat(np.arange(len(left)), order.shape[1])
-        return pd.DataFrame({"query_id": left.id.to_numpy()[rows], "result_id": right.id.to_numpy()[order.ravel()], "distance": d[rows, order.ravel()]})
-
-    pairs = q.groupBy("qb", "bb").cogroup(b.groupBy("qb", "bb")).applyInPandas(best, f"query_id {kind[1]}, result_id {kind[0]}, distance double")
-    w = Window.partitionBy("query_id").orderBy("distance", "result_id")
+    def best(key, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        out = nearest_in_block(left, right, n, metric)
+        out.insert(0, "grp", pd.Series([str(key[0])] * len(out), dtype=object))
+        return out
+
+    keys = ["grp", "qb", "bb"]
+    pairs = q.groupBy(*keys).cogroup(b.groupBy(*keys)).applyInPandas(best, f"grp string, query_id {kind[1]}, result_id {kind[0]}, distance double")
+    w = Window.partitionBy("grp", "query_id").orderBy("distance", "result_id")
     return pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= n)
+
+
+def exact_knn(queries: DataFrame, base: DataFrame, n: int = 10, metric: str = "cosine", block: int = BLOCK) -> DataFrame:
+    """``(query_id, result_id, distance, rank)``; inputs are (id, vec).  Ties are ordered by result id."""
+    one = F.lit("all").alias("grp")
+    return grouped_knn(queries.select(one, "id", "vec"), base.select(one, "id", "vec"), n, metric, block).drop("grp")

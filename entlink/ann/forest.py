@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.functions.vectors import cosine_distance, euclidean_distance
+from entlink.ann.exact import nearest_in_block
 from entlink.operators.rank import top_n
 
 SAMPLE = 50_000
@@ -108,12 +108,17 @@ class Forest:
         def probes(vecs: pd.Series) -> pd.Series:
             return vecs.map(lambda v: [{"tree": i, "leaf": leaf} for i, t in enumerate(trees.value) for leaf in t.leaves_of(np.asarray(v, float), share)])
 
-        asked = queries.select(F.col("id").alias("query_id"), F.explode(probes("vec")).alias("p")).select("query_id", "p.tree", "p.leaf")
-        pairs = asked.join(self.leaves.select("tree", "leaf", F.col("id").alias("result_id")), ["tree", "leaf"]).select("query_id", "result_id").distinct()
-        base = self.leaves.where("tree = 0").select(F.col("id").alias("result_id"), F.col("vec").alias("b"))
-        measure = cosine_distance if metric == "cosine" else euclidean_distance
-        scored = pairs.join(queries.select(F.col("id").alias("query_id"), F.col("vec").alias("q")), "query_id").join(base, "result_id")
-        return top_n(scored.select("query_id", "result_id", measure(F.col("q"), F.col("b")).alias("distance")), "query_id", "result_id", n)
+        kind = dict(self.leaves.dtypes)["id"], dict(queries.dtypes)["id"]
+        asked = queries.select("id", "vec", F.explode(probes("vec")).alias("p")).select("id", "vec", "p.tree", "p.leaf")
+
+        def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+            return nearest_in_block(left, right, n, metric)  # a leaf holds few rows; its best n are all that can matter
+
+        keys = ["tree", "leaf"]
+        scored = asked.groupBy(*keys).cogroup(self.leaves.select("id", "vec", *keys).groupBy(*keys)).applyInPandas(
+            best, f"query_id {kind[1]}, result_id {kind[0]}, distance double"
+        )
+        return top_n(scored.groupBy("query_id", "result_id").agg(F.min("distance").alias("distance")), "query_id", "result_id", n)
 
     def upsert(self, rows: DataFrame) -> Forest:
         """The forest with rows added or replaced, by the planes it has."""
