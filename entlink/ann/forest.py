@@ -109,13 +109,15 @@ class Forest:
             return vecs.map(lambda v: [{"tree": i, "leaf": leaf} for i, t in enumerate(trees.value) for leaf in t.leaves_of(np.asarray(v, float), share)])
 
         kind = dict(self.leaves.dtypes)["id"], dict(queries.dtypes)["id"]
-        asked = queries.select("id", "vec", F.explode(probes("vec")).alias("p")).select("id", "vec", "p.tree", "p.leaf")
+        asked = queries.select("id", "vec", F.explode(probes("vec")).alias("p")).select(F.col("id").alias("id"), F.col("vec").alias("vec"), F.col("p.tree").alias("tree"), F.col("p.leaf").alias("leaf"))
 
         def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
             return nearest_in_block(left, right, n, metric)  # a leaf holds few rows; its best n are all that can matter
 
         keys = ["tree", "leaf"]
-        scored = asked.groupBy(*keys).cogroup(self.leaves.select("id", "vec", *keys).groupBy(*keys)).applyInPandas(
+        # New names for old columns: queries and leaves may come from the same frame.
+        held = self.leaves.select(*[F.col(c).alias(c) for c in ("id", "vec", *keys)])
+        scored = asked.groupBy(*keys).cogroup(held.groupBy(*keys)).applyInPandas(
             best, f"query_id {kind[1]}, result_id {kind[0]}, distance double"
         )
         return top_n(scored.groupBy("query_id", "result_id").agg(F.min("distance").alias("distance")), "query_id", "result_id", n)
