@@ -46,100 +46,77 @@ MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"  # no apostrophe: it may begin a con
 
 
 class BytePairEncoder:
-    """Ids of whole texts as little-endian unsigned 32-bit bytes."""
+    """Ids of whole texts as little-endian unsigned 32-bit bytes.
+
+    Known words are kept in two generations: the younger fills up, then takes the older one's place, and a word
+    met again in the older moves to the younger.  So words that recur stay, and memory has a bound.
+    """
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.newline = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        newline = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        self.newline = array("I", newline).tobytes()
         # The short cut needs byte-level pre-tokens and one id for a line break.
-        self.by_word = "ByteLevel(add_prefix_space=False" in repr(self.tokenizer.pre_tokenizer) and len(self.newline) == 1
-        self.met = bytearray(MET + 1)  # hashes of words met before
-        self.marks: dict[str, bytes] = {}
+        self.by_word = "ByteLevel(add_prefix_space=False" in repr(self.tokenizer.pre_tokenizer) and len(newline) == 1
+        self.merge = self.tokenizer.model.tokenize
         # The alphabet in which byte-level models spell bytes: visible Latin-1 characters are themselves.
         plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
         others = [b for b in range(256) if b not in plain]
         self.spelled = {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(others)}
-        self.first: dict[str, bytes] = {}  # ids of words at the start of a line
-        self.later: dict[str, bytes] = {}  # ids of words after a blank
-
-    def _whole(self, texts: list[str]) -> list[bytes]:
-        found = self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
-        return [np.array(e.ids, np.uint32).tobytes() for e in found]
-
-    def _learn(self, words: list[str], lead: str, known: dict[str, bytes], found: dict[str, bytes]) -> None:
-        """Encode ``lead`` and each word: letters with marks behind them by the library's merge model, as they are
-        two pre-tokens, all others many in one call with line breaks between them."""
-        spell, marks, merge = self.spelled.__getitem__, self.marks, self.tokenizer.model.tokenize
-        start, others = "".join(map(spell, lead.encode())), []
-        for w in words:
-            base = w.rstrip(MARKS)
-            if not base.isalpha():
-                others.append(w)
-                continue
-            raw = known.get(base)
-            if raw is None:
-                spelled = start + base if base.isascii() else start + "".join(map(spell, base.encode()))
-                raw = array("I", [t.id for t in merge(spelled)]).tobytes()
-            if base is not w:
-                tail = w[len(base) :]
-                if tail not in marks:
-                    if len(marks) > 10_000:
-                        marks.clear()
-                    marks[tail] = array("I", [t.id for t in merge(tail)]).tobytes()
-                raw += marks[tail]
-            found[w] = raw
-        for at in range(0, len(others), 5000):
-            some = others[at : at + 5000]
-            joined = lead + ("\n" + lead).join(some)
-            ids = np.array(self.tokenizer.encode_batch_fast([joined], add_special_tokens=False)[0].ids, np.uint32)
-            ends = np.flatnonzero(ids == self.newline[0])
-            starts = [0, *(4 * (ends + 1)).tolist()]
-            raw = ids.tobytes()
-            for w, s, e in zip(some, starts, [*(4 * ends).tolist(), len(raw)], strict=True):
-                found[w] = raw[s:e]
-
-    def _ids_of(self, wanted: set[str], lead: str, known: dict[str, bytes]) -> dict[str, bytes]:
-        """Ids of all wanted words.  A word is kept for later texts when it is met in a second batch."""
-        found = {w: known[w] for w in wanted if w in known}
-        new = [w for w in wanted if w not in found]
-        self._learn(new, lead, known, found)
-        met = self.met
-        again = [w for w in new if met[hash(w) & MET]]
-        if len(known) + len(again) > CACHE_WORDS:
-            known.clear()
-            met[:] = bytes(MET + 1)
-        for w in new:
-            met[hash(w) & MET] = 1
-        for w in again:
-            known[w] = found[w]
+        self.blank = self.spelled[32]
+        self.young: dict[str, bytes] = {}  # ids of words after a blank or, with it in front, a line break
+        self.old: dict[str, bytes] = {}
+        self.marks: dict[str, bytes] = {}
+
+    def _whole(self, text: str) -> bytes:
+        return array("I", self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids).tobytes()
+
+    def _word(self, word: str, lead: str) -> bytes:
+        """Ids of a word: letters with marks behind them are two pre-tokens for the library's merge model."""
+        base = word.rstrip(MARKS)
+        if not base.isalpha():
+            return self._whole(lead + word)
+        spelled = base if base.isascii() else "".join(map(self.spelled.__getitem__, base.encode()))
+        if lead:
+            spelled = self.blank + spelled
+        raw = array("I", [t.id for t in self.merge(spelled)]).tobytes()
+        if len(base) == len(word):
+            return raw
+        tail = word[len(base) :]
+        if tail not in self.marks:
+            if len(self.marks) > 10_000:
+                self.marks.clear()
+            self.marks[tail] = array("I", [t.id for t in self.merge(tail)]).tobytes()
+        return raw + self.marks[tail]
+
+    def _met(self, word: str) -> bytes:
+        found = self.old.get(word)
+        if found is None:
+            found = self.newline + self._word(word[1:], "") if word[0] == "\n" else self._word(word, " ")
+        self.young[word] = found
         return found
 
+    def _text(self, text: str) -> bytes:
+        if not self.by_word or len(text.split()) != text.count(" ") + text.count("\n") + 1:
+            return self._whole(text)
+        words = text.replace("\n", " \n").split(" ")
+        ids = list(map(self.young.get, words))
+        ids[0] = self._word(words[0], "")
+        if None in ids:
+            met = self._met
+            ids = [met(w) if v is None else v for w, v in zip(words, ids)]
+        return b"".join(ids)
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        if not self.by_word:
-            return self._whole(texts)
-        plans: list[list[list[str]] | None] = []
-        first, later, odd = set(), set(), []
+        out = []
         for t in texts:
-            if len(t.split()) == t.count(" ") + t.count("\n") + 1:
-                lines = [line.split(" ") for line in t.split("\n")]
-                for words in lines:
-                    first.add(words[0])
-                    later.update(words[1:])
-                plans.append(lines)
-            else:
-                plans.append(None)
-                odd.append(t)
-        head = self._ids_of(first, "", self.first)
-        rest = self._ids_of(later, " ", self.later)
-        whole = iter(self._whole(odd))
-        line_break = np.array(self.newline, np.uint32).tobytes()
-        return [
-            next(whole) if lines is None else line_break.join([head[words[0]] + b"".join([rest[w] for w in words[1:]]) for words in lines])
-            for lines in plans
-        ]
+            out.append(self._text(t))
+            if len(self.young) > CACHE_WORDS // 2:
+                self.old, self.young = self.young, {}
+        return out
 
 
 @lru_cache(maxsize=1)
