@@ -34,7 +34,7 @@ def op3_token_sstable(spark: SparkSession, sf_dir: str) -> DataFrame:
     bounded_batches(spark)
     path = tokenizer_path("byte_bpe_50k.json")
     manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), lambda: token_store.bpe_encoder(path))
-    return token_store.read_tokens(manifest).select(F.col("id").alias("doc_id"), "start", "n_tokens", "ids_crc32")
+    return token_store.read_tokens(manifest, with_ids=False).select(F.col("id").alias("doc_id"), "start", "n_tokens", "ids_crc32")
 
 
 def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -60,6 +60,7 @@ class BytePairEncoder:
         newline = self.tokenizer.encode("\n", add_special_tokens=False).ids
         self.newline = array("I", newline).tobytes()
         # The short cut needs byte-level pre-tokens and one id for a line break.
+        self.narrow = self.tokenizer.get_vocab_size() <= 1 << 16
         self.by_word = "ByteLevel(add_prefix_space=False" in repr(self.tokenizer.pre_tokenizer) and len(newline) == 1
         self.merge = self.tokenizer.model.tokenize
         # The alphabet in which byte-level models spell bytes: visible Latin-1 characters are themselves.
@@ -168,10 +169,10 @@ def write_tokens(
                 for doc_id, raw in zip(ids[at : at + TEXTS_AT_ONCE], enc.encode(texts)):
                     if table is None:
                         stream = publishing(f"{path}/{part:06d}-{seq:06d}.sst")
-                        table = sstable.Writer(stream.__enter__(), {"dtype": "uint32"})
+                        table = sstable.Writer(stream.__enter__(), {"dtype": "<u2" if enc.narrow else "<u4"})
                     value = raw + struct.pack("<I", END_ID)
-                    table.add(key_of(doc_id), value)
                     n_docs, n_tokens, size = n_docs + 1, n_tokens + len(value) // 4, size + len(value)
+                    table.add(key_of(doc_id), np.frombuffer(value, "<u4").astype("<u2").tobytes() if enc.narrow else value)
                     if size >= shard_bytes:
                         yield done()
                         table, seq, n_docs, n_tokens, size = None, seq + 1, 0, 0, 0
@@ -183,7 +184,12 @@ def write_tokens(
     return materialize(ranged.mapInArrow(run, "part long, seq long, uri string, docs long, tokens long"), "token-manifest")
 
 
-def read_tokens(manifest: DataFrame) -> DataFrame:
+def stored_ids(table: sstable.Reader, value: bytes) -> bytes:
+    """Ids of one value as little-endian unsigned 32-bit bytes."""
+    return np.frombuffer(value, table.meta["dtype"]).astype("<u4").tobytes()
+
+
+def read_tokens(manifest: DataFrame, with_ids: bool = True) -> DataFrame:
     """``(id, start, n_tokens, ids_crc32, ids)`` of every document, from the files."""
     before = F.coalesce(F.sum("tokens").over(Window.orderBy("part", "seq").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     shards = manifest.withColumn("start", before).select("uri", "start")  # one row per shard
@@ -193,11 +199,12 @@ def read_tokens(manifest: DataFrame) -> DataFrame:
         for b in batches:
             for uri, start in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 with reading(uri) as f:
-                    rows, held = [], 0
-                    for key, value in sstable.Reader(f):
-                        n = len(value) // 4
-                        rows.append((id_of(key), start, n, zlib.crc32(value), value))
-                        start, held = start + n, held + len(value)
+                    rows, held, table = [], 0, sstable.Reader(f)
+                    for key, value in table:
+                        ids = stored_ids(table, value)
+                        n = len(ids) // 4
+                        rows.append((id_of(key), start, n, zlib.crc32(ids), ids if with_ids else None))
+                        start, held = start + n, held + len(ids)
                         if held > 8 << 20:
                             yield pack(rows)
                             rows, held = [], 0
@@ -216,4 +223,5 @@ def read_tokens(manifest: DataFrame) -> DataFrame:
 def lookup(uri: str, doc_id: int | None) -> list[list[int]]:
     """Ids of a document in one shard file, by Bloom filter and binary search."""
     with reading(uri) as f:
-        return [np.frombuffer(v, np.uint32).tolist() for v in sstable.Reader(f).get(key_of(doc_id))]
+        table = sstable.Reader(f)
+        return [np.frombuffer(v, table.meta["dtype"]).tolist() for v in table.get(key_of(doc_id))]
