@@ -7,6 +7,8 @@ written here cut lineage: a lost executor costs a re-read, not a recompute.
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -20,19 +22,35 @@ def shared_dir(spark: SparkSession) -> str:
     conf = spark.sparkContext.getConf()
     found = conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if found:
-        return found.rstrip("/")
+        return _qualified(spark, found).rstrip("/")
     if not conf.get("spark.master", "local").startswith("local"):
         raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     app = spark.sparkContext.applicationId
     if app not in _local_dirs:
-        _local_dirs[app] = "file://" + tempfile.mkdtemp(prefix="entlink-")
+        folder = tempfile.mkdtemp(prefix="entlink-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        _local_dirs[app] = "file://" + folder
         spark.sparkContext.setCheckpointDir(_local_dirs[app])
     return _local_dirs[app]
 
 
+def _qualified(spark: SparkSession, uri: str) -> str:
+    """The folder with its scheme, so that Spark and Arrow mean the same store."""
+    if "://" in uri:
+        return uri
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(uri)
+    full = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(path).toString()
+    return full if "://" in full else full.replace(":", "://", 1)
+
+
 def scratch_path(spark: SparkSession, tag: str) -> str:
-    """A fresh path below the shared folder."""
-    return f"{shared_dir(spark)}/entlink/{tag}-{uuid.uuid4().hex}"
+    """A fresh path in this application's part of the shared folder."""
+    return f"{shared_dir(spark)}/entlink-{spark.sparkContext.applicationId}/{tag}-{uuid.uuid4().hex}"
+
+
+def clear_scratch(spark: SparkSession) -> None:
+    """Delete all that this application wrote to the shared folder; frames read from it are void then."""
+    remove(spark, f"{shared_dir(spark)}/entlink-{spark.sparkContext.applicationId}")
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:

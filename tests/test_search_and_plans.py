@@ -153,6 +153,20 @@ def test_stream_equals_batch(spark):
     assert len(want) - len(seen) <= 6  # the last windows stay open behind the watermark
 
 
+def test_scratch_tables_and_folders(spark, tmp_path):
+    import os
+
+    from entlink import storage
+
+    kept = storage.materialize(spark.range(5), "t")
+    path = kept._scratch.removeprefix("file://")
+    assert kept.count() == 5 and os.path.isdir(path)
+    storage.discard(kept)
+    assert not os.path.exists(path)
+    assert storage._qualified(spark, str(tmp_path)) == f"file://{tmp_path}"
+    assert storage._qualified(spark, "s3a://x/y") == "s3a://x/y"
+
+
 def test_plans_are_the_wanted_ones(spark):
     plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
     from entlink.registry import queries
