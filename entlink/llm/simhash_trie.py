@@ -40,6 +40,7 @@ BUDGET = 3
 BLOCKS = 4
 CROWDED = 4096
 FRONTIER = 1 << 13
+HOT_SHARE = 1000
 
 
 def fingerprint(text: str | None, width: int = 3) -> int:
@@ -224,10 +225,17 @@ def near_duplicate_classes(
 ) -> DataFrame:
     """One row per document: id, ``fp`` (signed long) and ``component_id``, the least id of its class."""
     prints = materialize(fingerprints(docs, id_col, text_col, width), "simhash")
-    distinct = materialize(prints.groupBy("fp").agg(F.min("id").alias("least")), "simhash-distinct")
+    distinct = materialize(prints.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("copies")), "simhash-distinct")
     roots = materialize(connected_components(materialize(near_links(distinct), "simhash-links")), "simhash-roots")
     linked = roots.withColumnRenamed("node", "fp").join(distinct, "fp")
     named = linked.groupBy("root").agg(F.min("least").alias("class"))
     classes = linked.join(named, "root").select("fp", "class")
-    every = distinct.join(classes, "fp", "left").select("fp", F.coalesce("class", "least").alias("component_id"))
-    return prints.join(every, "fp").select(F.col("id").alias(id_col), "fp", "component_id")
+    every = distinct.join(classes, "fp", "left").select("fp", "copies", F.coalesce("class", "least").alias("component_id"))
+    every = materialize(every, "simhash-classes")
+    # A fingerprint of more than one in HOT_SHARE rows would load one task; there are fewer than HOT_SHARE of them.
+    total = distinct.agg(F.sum("copies").alias("total"))
+    hot = every.join(F.broadcast(total), F.col("copies") * HOT_SHARE > F.col("total")).select("fp", "component_id")
+    rows = prints.join(F.broadcast(hot), "fp").unionByName(
+        prints.join(F.broadcast(hot), "fp", "left_anti").join(every.select("fp", "component_id"), "fp")
+    )
+    return rows.select(F.col("id").alias(id_col), "fp", "component_id")
