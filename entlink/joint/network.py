@@ -143,3 +143,32 @@ class UniformSampler(SkewSampler):
         pick = self.rng.choice(len(self.seen), min(k, len(self.seen)), replace=False, p=p)
         self.seen[pick] += 1
         return pick
+
+
+class ConvTower(Tower):
+    """A convolution over windows of the input in front of affine layers: an example of a plug-in tower.
+
+    ``width`` inputs at a time, moved by ``stride``, go through one shared filter bank of ``filters``.
+    """
+
+    def __init__(self, size: int, width: int, stride: int, filters: int, out: int, seed: int = 0):
+        self.width, self.stride = width, stride
+        self.places = (size - width) // stride + 1
+        super().__init__((width, filters), seed)
+        self.top = Tower((self.places * filters, out), seed + 1)
+
+    def parameters(self) -> list[np.ndarray]:
+        return super().parameters() + self.top.parameters()
+
+    def forward(self, x: np.ndarray, rng: np.random.Generator | None = None) -> np.ndarray:
+        windows = np.lib.stride_tricks.sliding_window_view(x, self.width, axis=1)[:, :: self.stride]
+        flat = super().forward(windows.reshape(-1, self.width), rng)
+        return self.top.forward(flat.reshape(len(x), -1), rng)
+
+    def backward(self, grad: np.ndarray) -> list[np.ndarray]:
+        own = self.top.backward(grad)
+        # The gradient by the top tower's input, which its own pass does not return.
+        (x, pre, _), w = self.top.trace[0], self.top.w[0]
+        slope = np.where(pre > 0, 1.0, np.exp(np.minimum(pre, 0)))
+        below = ((grad * slope) @ w.T).reshape(len(x) * self.places, -1)
+        return super().backward(below) + own

@@ -17,8 +17,8 @@ from entlink.plans.accuracy import embedded, entity_frames, links_of, trained
 from entlink.storage import materialize
 
 
-def bootstrap(spark: SparkSession, sf_dir: str, rounds: int = 2, config: Config = Config(steps=80), type_name: str = "product-name") -> DataFrame:  # noqa: B008
-    """Pairs per round: seed by shared words, train on them, match again under a strict distance, and so on.
+def bootstrap(spark: SparkSession, sf_dir: str, rounds: int = 2, config: Config = Config(steps=80), type_name: str = "product-name", within: float = 0.5) -> DataFrame:  # noqa: B008
+    """Pairs per round: seed by shared words, train on them, match again within a distance, and so on.
 
     Returns round, pairs and the share of pairs that are true.
     """
@@ -36,7 +36,7 @@ def bootstrap(spark: SparkSession, sf_dir: str, rounds: int = 2, config: Config
         guessed = pairs.join(mentions.drop("instance_id"), "mention_id").withColumn("split", F.lit("train"))
         weights = trained(tuples, guessed, config)
         links = links_of(tuples, mentions.withColumn("split", F.lit("all")), weights, config, n=1, by="mention")
-        near = links.where("distance < 0.2").select(F.col("query_id").alias("mention_id"), F.col("result_id").alias("tuple_id"))
+        near = links.where(F.col("distance") < within).select(F.col("query_id").alias("mention_id"), F.col("result_id").alias("tuple_id"))
         found = near.join(tuples.select("tuple_id", "instance_id"), "tuple_id").select("instance_id", "mention_id")
         pairs = materialize(pairs.unionByName(found).distinct(), "pairs")
     return spark.createDataFrame(out, "round int, pairs long, right double")
@@ -57,7 +57,7 @@ def relink_cycle(spark: SparkSession, sf_dir: str, hold_back: int = 3, config: C
     return rows[0].unionByName(rows[1])
 
 
-def stage_seconds(spark: SparkSession, sf_dir: str, type_name: str = "product-name", config: Config = Config(steps=60), trees: int = 8, budget: int = 400) -> DataFrame:  # noqa: B008
+def stage_seconds(spark: SparkSession, sf_dir: str, type_name: str = "product-name", config: Config = Config(steps=60), trees: int = 8, budget: int = 100) -> DataFrame:  # noqa: B008
     """Seconds and rows of every load and query stage, scan against index in both directions."""
     tuples, mentions = entity_frames(spark, sf_dir, (type_name,))
     weights = trained(tuples, mentions, config)

@@ -105,3 +105,21 @@ def test_registry_swaps_versions(spark, tmp_path):
     assert r.publish("m", spark.range(3)) == 1
     assert r.publish("m", spark.range(5)) == 2
     assert r.load("m").count() == 5 and r.load("m", 1).count() == 3
+
+
+def test_convolution_tower_gradients():
+    rng = np.random.default_rng(4)
+    g, x = nw.ConvTower(10, 4, 2, 3, 5, seed=1), rng.normal(size=(6, 10))
+    goal = rng.normal(size=(6, 5))
+    out = g.forward(x, rng)
+    grads = g.backward(out - goal)
+    for p, own in zip(g.parameters(), grads):
+        flat, got = p.reshape(-1), own.reshape(-1)
+        for i in range(0, len(flat), 5):
+            keep = flat[i]
+            flat[i] = keep + 1e-6
+            up = ((g.forward(x) - goal) ** 2).sum() / 2
+            flat[i] = keep - 1e-6
+            down = ((g.forward(x) - goal) ** 2).sum() / 2
+            flat[i] = keep
+            assert got[i] == pytest.approx((up - down) / 2e-6, abs=1e-5)
