@@ -23,22 +23,31 @@ def distances(q: np.ndarray, b: np.ndarray, metric: str) -> np.ndarray:
     return np.sqrt(np.maximum(0, (q * q).sum(1)[:, None] + (b * b).sum(1)[None] - 2 * q @ b.T))
 
 
-def nearest_in_block(left: pd.DataFrame, right: pd.DataFrame, n: int, metric: str) -> pd.DataFrame:
-    """Best ``n`` of one pair of blocks, ties by result id."""
-    if not len(left) or not len(right):
-        none = left.id.iloc[:0].astype(object), right.id.iloc[:0].astype(object)
-        return pd.DataFrame({"query_id": none[0].reset_index(drop=True), "result_id": none[1].reset_index(drop=True), "distance": pd.Series([], dtype=float)})
-    right = right.sort_values("id", kind="stable")
-    d = distances(np.stack(left.vec).astype(float), np.stack(right.vec).astype(float), metric)
+def nearest_positions(q: np.ndarray, b: np.ndarray, n: int, metric: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Row numbers of queries and of their best ``n`` base rows, with distances; ties go to the earlier base row."""
+    d = distances(q, b, metric)
     n = min(n, d.shape[1])
     r, c = np.nonzero(d <= np.partition(d, n - 1, axis=1)[:, n - 1 : n])
     order = np.lexsort((c, d[r, c], r))
     r, c = r[order], c[order]
     place = np.arange(len(r)) - np.searchsorted(r, r)
     r, c = r[place < n], c[place < n]
+    return r, c, d[r, c]
+
+
+def linked_frame(left: pd.DataFrame, right: pd.DataFrame, r: np.ndarray, c: np.ndarray, d: np.ndarray) -> pd.DataFrame:
     # Plain object columns: Arrow-backed strings may come in chunks, which Spark cannot send.
     pick = lambda ids, i: pd.Series(ids.to_numpy()[i], dtype=object if ids.dtype.kind not in "iu" else ids.dtype)
-    return pd.DataFrame({"query_id": pick(left.id, r), "result_id": pick(right.id, c), "distance": d[r, c]})
+    return pd.DataFrame({"query_id": pick(left.id, r), "result_id": pick(right.id, c), "distance": pd.Series(d, dtype=float)})
+
+
+def nearest_in_block(left: pd.DataFrame, right: pd.DataFrame, n: int, metric: str) -> pd.DataFrame:
+    """Best ``n`` of one pair of blocks, ties by result id."""
+    right = right.sort_values("id", kind="stable")
+    none = np.zeros(0, int)
+    if not len(left) or not len(right):
+        return linked_frame(left, right, none, none, np.zeros(0))
+    return linked_frame(left, right, *nearest_positions(np.stack(left.vec).astype(float), np.stack(right.vec).astype(float), n, metric))
 
 
 def grouped_knn(queries: DataFrame, base: DataFrame, n: int = 10, metric: str = "cosine", block: int = BLOCK) -> DataFrame:

@@ -18,10 +18,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.ann.exact import nearest_in_block
+from entlink.ann.exact import BLOCK, linked_frame, nearest_positions
 from entlink.operators.rank import top_n
 
 SAMPLE = 50_000
+LEAVES_AT_ONCE = 32  # leaves in one bucket of a tree
 
 
 class Tree:
@@ -112,11 +113,25 @@ class Forest:
         asked = queries.select("id", "vec", F.explode(probes("vec")).alias("p")).select(F.col("id").alias("id"), F.col("vec").alias("vec"), F.col("p.tree").alias("tree"), F.col("p.leaf").alias("leaf"))
 
         def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-            return nearest_in_block(left, right, n, metric)  # a leaf holds few rows; its best n are all that can matter
-
-        keys = ["tree", "leaf"]
+            """The best ``n`` within every leaf of one bucket: a leaf holds few rows, and no others can matter."""
+            left, right = left.sort_values("leaf", kind="stable"), right.sort_values(["leaf", "id"], kind="stable")
+            found = [(np.zeros(0, int), np.zeros(0, int), np.zeros(0))]
+            if len(left) and len(right):
+                q, b = np.stack(left.vec).astype(float), np.stack(right.vec).astype(float)
+                ql, bl = left.leaf.to_numpy(), right.leaf.to_numpy()
+                for leaf in np.intersect1d(ql, bl):
+                    (i, j), (k, m) = (np.searchsorted(x, [leaf, leaf + 1]) for x in (ql, bl))
+                    for at in range(i, j, BLOCK):
+                        r, c, d = nearest_positions(q[at : min(j, at + BLOCK)], b[k:m], n, metric)
+                        found.append((r + at, c + k, d))
+            return linked_frame(left, right, *(np.concatenate(x) for x in zip(*found)))
+
+        keys = ["tree", "bucket"]
+        buckets = max(1, max((len(t.sizes) for t in self.trees), default=1) // LEAVES_AT_ONCE)
+        bucket = (F.col("leaf") % buckets).alias("bucket")
         # New names for old columns: queries and leaves may come from the same frame.
-        held = self.leaves.select(*[F.col(c).alias(c) for c in ("id", "vec", *keys)])
+        asked = asked.select("id", "vec", "tree", "leaf", bucket)
+        held = self.leaves.select(*[F.col(c).alias(c) for c in ("id", "vec", "tree", "leaf")]).select("*", bucket)
         scored = asked.groupBy(*keys).cogroup(held.groupBy(*keys)).applyInPandas(
             best, f"query_id {kind[1]}, result_id {kind[0]}, distance double"
         )
