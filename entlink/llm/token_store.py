@@ -101,7 +101,8 @@ class BytePairEncoder:
         return found
 
     def _text(self, text: str) -> bytes:
-        if not self.by_word or len(text.split()) != text.count(" ") + text.count("\n") + 1:
+        # Equal only if all white space is single blanks and line breaks, each between visible characters.
+        if not self.by_word or " ".join(text.split()) != text.replace("\n", " "):
             return self._whole(text)
         words = text.replace("\n", " \n").split(" ")
         ids = list(map(self.young.get, words))

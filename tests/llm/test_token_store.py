@@ -28,6 +28,16 @@ def test_encoder_equals_library_on_documents(spark):
         assert np.frombuffer(got, np.uint32).tolist() == t.encode(text, add_special_tokens=False).ids, text[:80]
 
 
+def test_encoder_equals_library_on_mixed_white_space():
+    t, e = Tokenizer.from_file(PATH), ts.BytePairEncoder(PATH)
+    texts = ["a  b\tc", "a \tb", "a\n\n\nb\tc\td", "a\tb\tc\n\n", " a\xa0b", "a  b\u3000c", "a\x1cb  c", "if x:\n\ty\n\nz", "a\u180eb c"]
+    rng = np.random.default_rng(0)
+    marks = ["a", "the", "x.", "1", " ", " ", "\n", "\t", "\xa0", "\u3000", "\x1c", "\r"]
+    texts += ["".join(rng.choice(marks, int(rng.integers(1, 14)))) for _ in range(5000)]
+    for got, text in zip(e.encode(texts), texts):
+        assert np.frombuffer(got, np.uint32).tolist() == t.encode(text, add_special_tokens=False).ids, repr(text)
+
+
 def test_table_round_trip_and_lookup():
     rng = np.random.default_rng(0)
     ids = sorted(rng.integers(-(2**62), 2**62, 3000).tolist()) + [2**62, 2**62]
