@@ -8,6 +8,11 @@ transparency and disposal, giving timed frames.  Within a run between two clear
 codes the width of the k-th code is a function of k alone, so codes are
 unpacked from the bit stream a whole run at a time.
 
+``media_features`` stores the timed frames of every row: delay, disposal and
+the colour histogram of the composed canvas.  Colours are counted by the upper
+four bits of red, green and blue; pixels that nothing has drawn have no colour.
+Frames of a payload are cleared after their time, so each shows its own samples.
+
 Defined results: a null text counts as empty and is stored as one row of
 blanks; equal texts give equal bytes; damaged streams raise ``ValueError``;
 an empty table gives an empty table; other columns are ignored.
@@ -18,6 +23,7 @@ from __future__ import annotations
 import hashlib
 import struct
 import zlib
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -29,7 +35,7 @@ from entlink.storage import materialize
 
 WIDTH, ROWS = 192, 192
 DELAY = 4  # hundredths of a second for each frame
-BINS = 16
+LEVELS = 16  # of each of red, green and blue
 
 
 def _widths(min_bits: int) -> np.ndarray:
@@ -155,7 +161,7 @@ def encode_payload(payload: bytes) -> bytes:
     out = [b"GIF89a", struct.pack("<HHBBB", WIDTH, min(rows, ROWS), 0xF7, 0, 0), bytes(v for i in range(256) for v in (i, i, i))]
     for top in range(0, rows, ROWS):
         part = payload[top * WIDTH : (top + ROWS) * WIDTH]
-        out.append(struct.pack("<BBBBHBB", 0x21, 0xF9, 4, 1 << 2, DELAY, 0, 0))
+        out.append(struct.pack("<BBBBHBB", 0x21, 0xF9, 4, 2 << 2, DELAY, 0, 0))
         out.append(struct.pack("<BHHHHBB", 0x2C, 0, 0, WIDTH, len(part) // WIDTH, 0, 8))
         codes = lzw_encode(part)
         out += [bytes([len(codes[i : i + 255])]) + codes[i : i + 255] for i in range(0, len(codes), 255)]
@@ -182,6 +188,11 @@ def _sub_blocks(raw: bytes, at: int) -> tuple[bytes, int]:
 
 def decode(raw: bytes, compose: bool = True) -> list[Frame]:
     """Timed frames of a GIF."""
+    return list(timed_frames(raw, compose))
+
+
+def timed_frames(raw: bytes, compose: bool = True) -> Iterator[Frame]:
+    """The frames one after another; no more than one canvas and a copy of it are held."""
     if raw[:6] not in (b"GIF87a", b"GIF89a"):
         raise ValueError("not a GIF")
     width, height, flags, _, _ = struct.unpack_from("<HHBBB", raw, 6)
@@ -191,13 +202,13 @@ def decode(raw: bytes, compose: bool = True) -> list[Frame]:
         n = 3 << (flags & 7) + 1
         shared, at = np.frombuffer(raw[at : at + n], np.uint8).reshape(-1, 3), at + n
     canvas = np.zeros((height, width, 4), np.uint8) if compose else None
-    frames, control = [], (0, 0, None)
+    control = (0, 0, None)
     while True:
         if at >= len(raw):
             raise ValueError("the file has no trailer")
         kind = raw[at]
         if kind == 0x3B:
-            return frames
+            return
         if kind == 0x21:
             data, end = _sub_blocks(raw, at + 2)
             if raw[at + 1] == 0xF9:
@@ -227,28 +238,37 @@ def decode(raw: bytes, compose: bool = True) -> list[Frame]:
                 before = canvas.copy() if disposal == 3 else None
                 area = canvas[top : top + h, left : left + w]
                 part = image[: area.shape[0], : area.shape[1]]
-                seen = np.ones(part.shape, bool) if clear is None else part != clear
-                area[seen, :3] = palette[part[seen]]
-                area[seen, 3] = 255
+                seen = ... if clear is None else part != clear
+                drawn = part[seen]
+                if drawn.size and (palette is None or drawn.max() >= len(palette)):
+                    raise ValueError("a colour outside the palette")
+                if drawn.size:
+                    area[seen] = np.insert(palette, 3, 255, axis=1)[drawn]
                 shown = canvas.copy()
                 if disposal == 2:
                     canvas[top : top + h, left : left + w] = 0
                 elif disposal == 3:
                     canvas = before
-            frames.append(Frame(delay, disposal, image, shown))
+            yield Frame(delay, disposal, image, shown)
             control = (0, 0, None)
         else:
             raise ValueError(f"unknown block {kind:#x}")
 
 
-def histogram(frames: list[Frame]) -> list[int]:
-    """Counts of samples in ``BINS`` equal ranges of colour index, over all frames."""
-    total = np.zeros(BINS, np.int64)
+def histogram(frames: Iterable[Frame]) -> list[int]:
+    """Counts of drawn pixels of the composed canvases, by ``LEVELS`` of red, green and blue, over all frames."""
+    total = np.zeros(LEVELS**3, np.int64)
     for f in frames:
-        total += np.bincount(f.indices.ravel() * BINS // 256 if f.indices.dtype != np.uint8 else f.indices.ravel() // (256 // BINS), minlength=BINS)
+        total += _colours(f.canvas)
     return total.tolist()
 
 
+def _colours(canvas: np.ndarray) -> np.ndarray:
+    red, green, blue, drawn = (canvas[:, :, i] // (256 // LEVELS) for i in range(4))
+    colour = (red.astype(np.int16) * LEVELS + green) * LEVELS + blue
+    return np.bincount(colour[drawn > 0], minlength=LEVELS**3)
+
+
 def padded(text: str | None) -> tuple[int, bytes]:
     raw = (text or "").encode("utf-8")
     rest = -len(raw) % WIDTH if raw else WIDTH
@@ -275,27 +295,32 @@ def store_media(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return materialize(slim.mapInArrow(run, "id long, n_bytes long, media binary"), "media")
 
 
-FEATURES = "id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, frames int, duration int, histogram array<long>"
+FEATURES = (
+    "id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, "
+    "timed array<struct<frame_no int, delay int, disposal int, colours array<int>, pixels array<long>>>"
+)
+_TIMED = pa.list_(
+    pa.struct([("frame_no", pa.int32()), ("delay", pa.int32()), ("disposal", pa.int32()), ("colours", pa.list_(pa.int32())), ("pixels", pa.list_(pa.int64()))])
+)
+
+
+def describe(raw: bytes) -> tuple:
+    """Payload and file sizes and digests of a GIF, and its timed frames."""
+    digest, size, tail, timed = hashlib.sha256(), 0, b"", []
+    for no, f in enumerate(timed_frames(raw)):
+        part = f.indices.tobytes()
+        digest.update(part)
+        size, tail = size + len(part), (tail + part[-16:])[-16:]
+        counts = _colours(f.canvas)
+        met = np.flatnonzero(counts)
+        timed.append({"frame_no": no, "delay": f.delay, "disposal": f.disposal, "colours": met, "pixels": counts[met]})
+    return size, digest.hexdigest(), zlib.crc32(tail), len(raw), hashlib.sha256(raw).hexdigest(), timed
 
 
 def media_features(media: DataFrame) -> DataFrame:
-    """Decode stored media and describe payload, file and frames."""
-    arrow = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int32(), pa.int32(), pa.list_(pa.int64())]
-    names = [c.split()[0] for c in FEATURES.split(", ")]
-
-    def describe(raw: bytes) -> tuple:
-        frames = decode(raw, compose=False)
-        payload = b"".join(f.indices.tobytes() for f in frames)
-        return (
-            len(payload),
-            hashlib.sha256(payload).hexdigest(),
-            zlib.crc32(payload[-16:]),
-            len(raw),
-            hashlib.sha256(raw).hexdigest(),
-            len(frames),
-            sum(f.delay for f in frames),
-            histogram(frames),
-        )
+    """Decode and compose stored media; writes payload, file and timed frames of each row and returns the reread table."""
+    arrow = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), _TIMED]
+    names = ["id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "timed"]
 
     def run(batches):
         for b in batches:
@@ -307,4 +332,23 @@ def media_features(media: DataFrame) -> DataFrame:
                 rows = [(i, n, *seen[r]) for i, n, r in zip(ids, sizes, raws)]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), arrow)], names)
 
-    return media.select("id", "n_bytes", "media").mapInArrow(run, FEATURES)
+    return materialize(media.select("id", "n_bytes", "media").mapInArrow(run, FEATURES), "media-frames")
+
+
+def frame_table(features: DataFrame) -> DataFrame:
+    """``(id, frame_no, delay, disposal, histogram)``, one row for each frame; the histogram gives pixels by colour."""
+    frames = features.select("id", F.explode("timed").alias("f"))
+    return frames.select("id", "f.frame_no", "f.delay", "f.disposal", F.map_from_arrays("f.colours", "f.pixels").alias("histogram"))
+
+
+def totals(features: DataFrame) -> DataFrame:
+    """``features`` with number of frames, summed delays and the histogram over all frames as ``colour:pixels`` in hexadecimal and decimal."""
+    each = F.flatten(F.transform("timed", lambda f: F.arrays_zip(f["colours"].alias("colour"), f["pixels"].alias("n"))))
+    added = lambda colour: F.aggregate(F.filter("each", lambda e: e["colour"] == colour), F.lit(0).cast("long"), lambda n, e: n + e["n"])
+    shown = lambda colour: F.concat(F.lower(F.lpad(F.hex(colour), 3, "0")), F.lit(":"), added(colour).cast("string"))
+    return features.withColumn("each", each).select(
+        *features.columns,
+        F.size("timed").alias("frames"),
+        F.aggregate("timed", F.lit(0).cast("long"), lambda n, f: n + f["delay"]).alias("duration"),
+        F.transform(F.array_sort(F.array_distinct(F.transform("each", lambda e: e["colour"]))), shown).alias("histogram"),
+    )

@@ -72,7 +72,7 @@ def op7_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_gif_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     bounded_batches(spark)
-    found = gif_media.media_features(gif_media.store_media(table(spark, sf_dir, "documents")))
+    found = gif_media.totals(gif_media.media_features(gif_media.store_media(table(spark, sf_dir, "documents"))))
     feature = F.format_string("%d frames, %d cs: %s", "frames", "duration", F.array_join("histogram", ","))
     return found.select(
         F.col("id").alias("doc_id"), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", feature.alias("feature")

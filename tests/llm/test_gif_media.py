@@ -88,3 +88,18 @@ def test_media_table(spark):
         assert (r.n_bytes, r.payload_bytes, r.payload_sha256) == (n, len(payload), hashlib.sha256(payload).hexdigest())
         assert r.tail_crc32 == zlib.crc32(payload[-16:])
     assert g.media_features(g.store_media(docs.where("false"))).count() == 0
+
+
+def test_features_compose_palette_disposal_and_transparency(spark):
+    palette = bytes([0, 0, 0, 255, 0, 0, 0, 255, 0, 0, 0, 255])
+    raw = b"GIF89a" + struct.pack("<HHBBB", 2, 2, 0x81, 0, 0) + palette
+    raw += frame(0, 0, [[1, 1], [1, 1]], 1, None) + frame(0, 0, [[2, 0], [0, 2]], 3, 0, 7) + frame(1, 1, [[3]], 2, None) + frame(0, 0, [[0, 2], [0, 0]], 0, 0) + b";"
+    found = g.media_features(spark.createDataFrame([(1, 9, raw), (None, 9, raw)], "id long, n_bytes long, media binary"))
+    rows = sorted((r for r in g.frame_table(found).collect() if r.id == 1), key=lambda r: r.frame_no)
+    assert [(r.delay, r.disposal) for r in rows] == [(5, 1), (7, 3), (5, 2), (5, 0)]
+    red, green, blue = 0xF00, 0x0F0, 0x00F
+    assert [r.histogram for r in rows] == [{red: 4}, {red: 2, green: 2}, {red: 3, blue: 1}, {red: 2, green: 1}]
+    for r in g.totals(found).collect():
+        assert (r.frames, r.duration, r.histogram) == (4, 22, ["00f:1", "0f0:3", "f00:11"])
+    with pytest.raises(ValueError):
+        g.decode(raw[:10] + b"\0\0\0" + raw[25:])
