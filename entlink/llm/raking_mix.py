@@ -3,7 +3,12 @@
 Documents fall into cells of source, language and topic.  Raking scales the
 cells' token totals in turn to the target shares of each dimension until all
 three marginals hold, and a document's chance of being drawn is the budget's
-share of its cell over the cell's tokens.  Draws are by hash of identifier and
+share of its cell over the cell's tokens.  No cell gives more tokens than it
+has: the drawn shares are raked again under that bound, so what a full cell
+cannot give comes from cells of the same source, language and topic, and the
+drawn tokens hold the targets too.  A category asked for more than all its
+tokens gives all, and the others grow in proportion.  Targets that cannot hold
+are reported by a ``RakingWarning`` with the residual.  Draws are by hash of identifier and
 seed, so they are the same on any cluster and after any retry.
 
 A topic is the lexical field with most words in a text: every word of six or
@@ -13,19 +18,19 @@ Targets default to tempered shares (``share ** TEMPERATURE``, normalised), which
 lift small categories; explicit shares per category may be given, categories
 that they leave out get share zero.
 
-Raking runs on the cell table as DataFrame sweeps: nothing but the largest
-marginal error of each sweep reaches the driver.
+Raking runs over the cell table in one task; its size follows the categories
+that occur together, not the documents.  Only the last error reaches the driver.
 
 Defined results: null source or language is a category of its own; a null text
 counts as empty; an empty text has weight one token so that it can be drawn;
-equal identifiers are drawn alike; chances above one are cut to one and the
-surplus spread over the other cells in proportion; an empty table gives an
+equal identifiers are drawn alike; an empty table gives an
 empty table; columns of the input cannot clash with ours in ``mixture``.
 """
 
 from __future__ import annotations
 
 import re
+import warnings
 import zlib
 from collections.abc import Mapping
 
@@ -34,12 +39,20 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from entlink.storage import discard, materialize
+from entlink.storage import materialize
 
 TOPICS = 8
 TEMPERATURE = 0.5
-SWEEPS, TOLERANCE = 20, 1e-6
+SWEEPS, TOLERANCE = 20_000, 1e-6
+DRAWN_TOLERANCE = 1e-4
+STALLED = 200  # sweeps at least before targets may be called contradictory
 DIMS = ("source", "lang", "topic")
+
+
+class RakingWarning(UserWarning):
+    """Targets that the table cannot meet."""
+
+
 _LONG = re.compile(rb"[^\x20\x09-\x0D]{6,}")
 
 
@@ -86,46 +99,122 @@ def target_shares(cells: DataFrame, dim: str, shares: Mapping[str, float] | None
 def rake(cells: DataFrame, targets: Mapping[str, Mapping[str, float] | None] | None = None, temperature: float = TEMPERATURE,
          sweeps: int = SWEEPS, tolerance: float = TOLERANCE) -> DataFrame:
     """Cells with ``share``: fitted shares whose sums along each dimension equal the targets."""
+    return _fitted(cells, _goals(cells, targets, temperature), sweeps, tolerance)
+
+
+def _goals(cells: DataFrame, targets: Mapping[str, Mapping[str, float] | None] | None, temperature: float) -> dict[str, DataFrame]:
     targets = targets or {}
-    goals = {d: materialize(target_shares(cells, d, targets.get(d), temperature), "rake-goal") for d in DIMS}
+    return {d: materialize(target_shares(cells, d, targets.get(d), temperature), "rake-goal") for d in DIMS}
+
+
+def _fitted(cells: DataFrame, goals: Mapping[str, DataFrame], sweeps: int, tolerance: float) -> DataFrame:
     total = cells.agg(F.sum("tokens").alias("all")).first()["all"]
-    now = materialize(cells.withColumn("share", F.col("tokens") / F.lit(float(total or 1))), "rake")
-    for _ in range(sweeps):
-        fitted, worst = now, []
-        for d in DIMS:
-            sums = fitted.groupBy(d).agg(F.sum("share").alias("has")).join(goals[d], d)
-            factor = F.when(F.col("has") > 0, F.col("goal") / F.col("has")).otherwise(F.lit(0.0))
-            factors = sums.select(d, factor.alias(f"f_{d}"))
-            fitted = fitted.join(factors, d).withColumn("share", F.col("share") * F.col(f"f_{d}"))
-            # A factor of a category that is to vanish says nothing about convergence.
-            worst.append(F.max(F.when(F.col("share") > 0, F.abs(F.col(f"f_{d}") - 1))))
-        then = materialize(fitted, "rake")
-        errors = [e or 0.0 for e in then.agg(*worst).first()]
-        done = materialize(then.drop(*[f"f_{d}" for d in DIMS]), "rake")
-        discard(now)
-        discard(then)
-        now = done
-        if max(errors) <= tolerance:
-            break
-    return now
+    start = cells.withColumn("share", F.col("tokens") / F.lit(float(total or 1))).withColumn("cap", F.lit(float("inf")))
+    fitted, off = _swept(start, goals, sweeps, tolerance)
+    if off > tolerance:
+        warnings.warn(f"raking stopped {off:.2g} (relative) off its targets", RakingWarning, stacklevel=3)
+    return fitted.drop("cap")
 
 
-def chances(fitted: DataFrame, budget: float) -> DataFrame:
-    """Cells with ``weight`` (fitted over own share) and ``chance``; ``budget`` is a share of all tokens.
+def _swept(start: DataFrame, goals: Mapping[str, DataFrame], sweeps: int, tolerance: float) -> tuple[DataFrame, float]:
+    """Sweep until the sums of min(share, cap) are within ``tolerance`` of the goals; also the last relative error.
 
-    The chance is min(1, scale * share / tokens); the scale is such that expected tokens meet the budget,
-    found by fixing cells at one in rounds that each keep at least one more.
+    The sweeps run over the cell table in one task: a row for each source, language and topic that occur together.
     """
+    wide = start
+    for d in DIMS:
+        wide = wide.join(goals[d].withColumnRenamed("goal", f"g_{d}"), d)
+
+    def run(batches):
+        got = [b for b in batches if len(b)]
+        if got:
+            cells = pd.concat(got, ignore_index=True)
+            codes, wanted = [], []
+            for d in DIMS:
+                code, _ = pd.factorize(cells[d])
+                codes.append(code)
+                wanted.append(cells[f"g_{d}"].to_numpy()[np.unique(code, return_index=True)[1]])
+            share, off = sweep(codes, wanted, cells["share"].to_numpy(), cells["cap"].to_numpy(), sweeps, tolerance)
+            yield cells[[*DIMS, "tokens", "cap"]].assign(share=share, off=off)
+
+    done = wide.repartition(1).mapInPandas(run, "source string, lang string, topic string, tokens long, cap double, share double, off double")
+    done = materialize(done, "rake")
+    return done.drop("off"), float(done.agg(F.max("off").alias("off")).first()["off"] or 0.0)
+
+
+def sweep(codes: list[np.ndarray], goals: list[np.ndarray], share: np.ndarray, cap: np.ndarray, sweeps: int, tolerance: float) -> tuple[np.ndarray, float]:
+    """Scaled shares and the largest relative error of the last sweep; gives up once half the sweeps brought next to nothing."""
+    past = []
+    for _ in range(sweeps):
+        worst = 0.0
+        for code, goal in zip(codes, goals):
+            full = share >= cap
+            free = np.bincount(code, np.where(full, 0.0, share), len(goal))
+            fixed = np.bincount(code, np.where(full, cap, 0.0), len(goal))
+            has = free + fixed
+            asked = goal > 0
+            if asked.any():
+                worst = max(worst, float(np.abs(has[asked] / goal[asked] - 1).max()))
+            factor = np.ones(len(goal))
+            less = (goal <= fixed) & (has > 0)
+            more = (goal > fixed) & (free > 0)
+            factor[less] = goal[less] / has[less]
+            factor[more] = (goal[more] - fixed[more]) / free[more]
+            factor[has <= 0] = 0.0
+            # The bound keeps shares far beyond their cap from growing without end.
+            share = np.minimum(share * factor[code], cap * 1e6)
+        past.append(worst)
+        if worst <= tolerance or len(past) > STALLED and worst > 0.9 * past[len(past) // 2]:
+            break
+    return share, past[-1]
+
+
+def drawn_shares(fitted: DataFrame, goals: Mapping[str, DataFrame], budget: float) -> DataFrame:
+    """``fitted`` with shares that no cell's tokens bound any more: those of the tokens to be drawn."""
     total = float(fitted.agg(F.sum("tokens").alias("n")).first()["n"] or 0)
-    want, scale = budget * total, budget * total
-    for _ in range(64):
+    want = budget * total
+    bounded = {}
+    for d in DIMS:
+        own = materialize(fitted.groupBy(d).agg(F.sum("tokens").alias("tokens")).join(goals[d], d).withColumnRenamed("goal", "share"), "rake-bounded")
+        scale = _scale(own, want)
+        bounded[d] = materialize(own.select(d, (F.least(F.col("tokens"), F.col("share") * scale) / F.lit(want or 1.0)).alias("goal")), "rake-goal")
+    raked, _ = _swept(fitted.withColumn("cap", F.col("tokens") / F.lit(want or 1.0)), bounded, SWEEPS, DRAWN_TOLERANCE)
+    given = raked.withColumn("share", F.least("share", "cap")).drop("cap")
+    drawn = given.agg(F.sum("share").alias("s")).first()["s"] or 1.0
+    return given.withColumn("share", F.col("share") / F.lit(drawn))
+
+
+def drawn_marginals(cells: DataFrame, goals: Mapping[str, DataFrame]) -> DataFrame:
+    """``(dim, category, goal, drawn)`` of cells with tokens and chance: target and expected shares of the drawn tokens."""
+    parts = []
+    for d in DIMS:
+        own = cells.groupBy(d).agg(F.sum(F.col("tokens") * F.col("chance")).alias("n"))
+        all_ = cells.agg(F.sum(F.col("tokens") * F.col("chance")).alias("all"))
+        parts.append(own.join(goals[d], d).crossJoin(F.broadcast(all_)).select(F.lit(d).alias("dim"), F.col(d).alias("category"), "goal", (F.col("n") / F.col("all")).alias("drawn")))
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+def _scale(fitted: DataFrame, want: float) -> float:
+    """The scale at which min(tokens, scale * share) sums to ``want``, by fixing rows in rounds that each keep at least one more."""
+    scale = want
+    while True:
         full = F.col("share") * scale >= F.col("tokens")
         row = fitted.agg(F.sum(F.when(full, F.col("tokens"))).alias("spent"), F.sum(F.when(~full, F.col("share"))).alias("left")).first()
         left, spent = row["left"] or 0.0, float(row["spent"] or 0)
         grown = (want - spent) / left if left > 0 and want > spent else scale
         if grown <= scale * (1 + 1e-9):
-            break
+            return scale
         scale = grown
+
+
+def chances(fitted: DataFrame, budget: float) -> DataFrame:
+    """Cells with ``weight`` (fitted over own share) and ``chance``; ``budget`` is a share of all tokens.
+
+    The chance is min(1, scale * share / tokens); the scale is such that expected tokens meet the budget,
+    found by fixing cells at one in rounds that each keep at least one more.
+    """
+    total = float(fitted.agg(F.sum("tokens").alias("n")).first()["n"] or 0)
+    scale = _scale(fitted, budget * total)
     return fitted.select(
         *DIMS,
         (F.col("share") * total / F.col("tokens")).alias("weight"),
@@ -140,7 +229,17 @@ def draw(id_: Column, seed: int) -> Column:
 
 def cell_chances(known: DataFrame, budget: float, targets=None, temperature: float = TEMPERATURE) -> DataFrame:
     cells = materialize(known.groupBy(*DIMS).agg(F.sum("tokens").alias("tokens")), "rake-cells")
-    return materialize(chances(rake(cells, targets, temperature), budget), "rake-chances")
+    goals = _goals(cells, targets, temperature)
+    fitted = materialize(_fitted(cells, goals, SWEEPS, TOLERANCE), "rake-fitted")
+    drawn = chances(materialize(drawn_shares(fitted, goals, budget), "rake-drawn"), budget).select(*DIMS, "chance")
+    total = fitted.agg(F.sum("tokens").alias("all"))
+    weighted = fitted.crossJoin(F.broadcast(total)).select(*DIMS, "tokens", (F.col("share") * F.col("all") / F.col("tokens")).alias("weight"))
+    out = materialize(weighted.join(drawn, list(DIMS)), "rake-chances")
+    off = drawn_marginals(out, goals).groupBy("dim").agg(F.max(F.abs(F.col("goal") - F.col("drawn"))).alias("off")).where(F.col("off") > DRAWN_TOLERANCE).collect()
+    if off:
+        worst = ", ".join(f"{r['dim']} {r['off']:.2g}" for r in sorted(off))
+        warnings.warn(f"at a budget of {budget} the drawn shares miss their targets by up to: {worst}", RakingWarning, stacklevel=2)
+    return out.drop("tokens")
 
 
 def mixture(docs: DataFrame, budget: float = 0.5, targets=None, temperature: float = TEMPERATURE, seed: int = 7,

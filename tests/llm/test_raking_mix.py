@@ -57,3 +57,35 @@ def test_mixture_edges(spark):
 def test_topic_of_plain():
     assert m.topic_of(None) == (0, 0) and m.topic_of("a b") == (0, 2)
     assert m.topic_of("longword " * 3)[1] == 3
+
+
+def test_rake_goes_on_until_the_marginals_hold(spark):
+    # Sources almost tied to one language: slow to converge.
+    rows = [("a", "x", "0", 100), ("a", "y", "0", 100), ("b", "y", "0", 100)]
+    df = spark.createDataFrame(rows, "source string, lang string, topic string, tokens long")
+    got = m.rake(df, {"source": {"a": 0.8, "b": 0.2}, "lang": {"x": 0.79, "y": 0.21}}).collect()
+    assert sum(r.share for r in got if r.source == "a") == pytest.approx(0.8, rel=1e-5)
+    assert sum(r.share for r in got if r.lang == "x") == pytest.approx(0.79, rel=1e-5)
+
+
+def test_rake_reports_targets_that_cannot_hold(spark):
+    df = spark.createDataFrame([("a", "x", "0", 10), ("b", "y", "0", 10)], "source string, lang string, topic string, tokens long")
+    with pytest.warns(m.RakingWarning):
+        m.rake(df, {"source": {"a": 0.8, "b": 0.2}, "lang": {"x": 0.79, "y": 0.21}}).collect()
+
+
+def test_drawn_tokens_hold_the_targets(spark):
+    # The cell (a, x) cannot give what raking asks of it; other cells of source a and of language x can.
+    cells = {("a", "x", "0"): 100, ("a", "y", "0"): 400, ("b", "x", "0"): 400, ("b", "y", "0"): 1100}
+    rows = [(i, *k, v) for i, (k, v) in enumerate(cells.items())]
+    known = spark.createDataFrame(rows, "id long, source string, lang string, topic string, tokens long")
+    targets = {"source": {"a": 0.5, "b": 0.5}, "lang": {"x": 0.5, "y": 0.5}, "topic": {"0": 1.0}}
+    got = {(r.source, r.lang, r.topic): r.chance for r in m.cell_chances(known, 0.4, targets).collect()}
+    drawn = {k: got[k] * v for k, v in cells.items()}
+    total = sum(drawn.values())
+    assert total == pytest.approx(0.4 * sum(cells.values())) and max(got.values()) == pytest.approx(1.0)
+    for axis, d in enumerate(m.DIMS):
+        for value, goal in targets[d].items():
+            assert sum(v for k, v in drawn.items() if k[axis] == value) / total == pytest.approx(goal, abs=1e-3)
+    with pytest.warns(m.RakingWarning):
+        m.cell_chances(known, 0.9, targets).count()
