@@ -38,6 +38,8 @@ FILE_BYTES = 64 << 20
 RANGE_BYTES = 8 << 20
 VERSION = b"WARC/1.1\r\n"
 _LENGTH = re.compile(rb"(?mi)^content-length:[ \t]*(\d+)[ \t]*\r$")
+# The version line and the fields after it; anything else, such as another version line, ends the match.
+_FIELDS = re.compile(rb"WARC/1\.1\r\n(?:[^\x00-\x20\x7f:]+:[^\r\n]*\r\n(?:[ \t][^\r\n]*\r\n)*+)*+")
 HEAD_BYTES = 1 << 14
 
 
@@ -120,27 +122,43 @@ class _Window:
 
 
 def scan_range(file, size: int, start: int, stop: int) -> list[tuple]:
-    """Candidates that begin in ``[start, stop)``: offset, successor, header length and content length."""
+    """Candidates that begin in ``[start, stop)``: offset, successor, header length and content length.
+
+    Fields are read from a version line up to the first line that is none, and a version line is none, so no byte is
+    read for two candidates and the time is linear in the range, whatever a payload holds.
+    """
     win = _Window(file, size, start, stop + len(VERSION) - 1)
     found, at = [], win.data.find(VERSION)
     while at >= 0:
         off = start + at
-        head = win.span(off, HEAD_BYTES)
-        cut, reach = head.find(b"\r\n\r\n"), HEAD_BYTES
-        while cut < 0 and off + reach < size and reach < size:
-            reach *= 2
-            head = win.span(off, reach)
-            cut = head.find(b"\r\n\r\n")
-        length = _LENGTH.search(head[: cut + 1]) if cut >= 0 else None
+        fields = _FIELDS.match(win.data, at)
+        if win.data.find(b"\n", fields.end()) < 0:  # the last line of the range may go on beyond it
+            head = _header_across(win, off, size)
+        else:
+            head = win.data[at : fields.end() + 2] if win.data.startswith(b"\r\n", fields.end()) else b""
+        length = _LENGTH.search(head)
         if length:
-            body = off + cut + 4
-            end = body + int(length[1]) + 4
+            end = off + len(head) + int(length[1]) + 4
             if end <= size and win.span(end - 4, 4) == b"\r\n\r\n":
-                found.append((off, end, cut + 4, int(length[1])))
-        at = win.data.find(VERSION, at + 1)
+                found.append((off, end, len(head), int(length[1])))
+        at = win.data.find(VERSION, fields.end())
     return found
 
 
+def _header_across(win: _Window, off: int, size: int) -> bytes:
+    """The header at ``off`` with its blank line, read on as far as its fields go; empty if there is none."""
+    reach = 2 * HEAD_BYTES
+    while True:
+        raw = win.span(off, reach)
+        end = _FIELDS.match(raw).end()
+        if raw.startswith(b"\r\n", end):
+            return raw[: end + 2]
+        # A line that is cut by the end of what was read may still be a field.
+        if off + len(raw) >= size or b"\n" in raw[end:]:
+            return b""
+        reach *= 2
+
+
 def range_exits(offsets: np.ndarray, nexts: np.ndarray, stop: int) -> np.ndarray:
     """Per candidate, where its chain first lands at or beyond ``stop``, or -1 if it breaks before."""
     jump = nexts.copy()

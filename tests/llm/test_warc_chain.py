@@ -59,3 +59,30 @@ def test_range_exits_by_plain_walk():
         while at < 1000 and at in by:
             at = by[at]
         assert e == (at if at >= 1000 else -1)
+
+
+def test_scan_time_is_linear_in_hostile_payloads(tmp_path):
+    import time
+
+    took = {}
+    for n in (20_000, 80_000):
+        body = w.VERSION * n + b"a: b\r\n" * n + b"WARC/1.1\r\nContent-Length: 5\r\n\r\nhello\r\n\r\n"
+        path = tmp_path / f"{n}.warc"
+        path.write_bytes(b"WARC/1.1\r\nWARC-Type: response\r\nContent-Length: %d\r\n\r\n" % len(body) + body + b"\r\n\r\n")
+        size, at = path.stat().st_size, time.perf_counter()
+        with open(path, "rb") as f:
+            found = w.scan_range(f, size, 0, size)
+        took[n] = time.perf_counter() - at
+        assert [found[0][1], len(found)] == [size, 2]
+    assert took[80_000] < 12 * took[20_000] + 0.2
+
+
+def test_headers_across_range_ends(tmp_path):
+    records = [b"WARC/1.1\r\nX-Long: %s\r\n folded: line\r\nContent-Length: %d\r\n\r\n%s\r\n\r\n" % (b"v" * k, k % 7, b"p" * (k % 7)) for k in (3, 40_000, 17, 70_000, 5)]
+    path = tmp_path / "a.warc"
+    path.write_bytes(b"".join(records))
+    size, starts = path.stat().st_size, [sum(map(len, records[:i])) for i in range(len(records))]
+    for step in (50, 1000, 30_000):
+        with open(path, "rb") as f:
+            got = [x for at in range(0, size, step) for x in w.scan_range(f, size, at, min(size, at + step))]
+        assert [x[0] for x in got] == starts and [x[1] for x in got] == starts[1:] + [size]
