@@ -12,7 +12,7 @@ whose white space is all of that kind is the concatenation of its words' ids;
 those are encoded once each and kept in a bounded dictionary.  Any other text goes to the library whole.
 
 Defined results: a null text counts as empty and has the end id alone; equal
-identifiers are ordered by text; null identifiers come first; an empty table
+identifiers are ordered by their texts' hash, then text; null identifiers come first; an empty table
 gives no shards and no rows; other columns are ignored.
 """
 
@@ -180,8 +180,9 @@ def write_tokens(
         if table is not None:
             yield done()
 
-    slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    ranged = slim.repartitionByRange(parts, "id").sortWithinPartitions("id", "text")
+    slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("hash"))
+    # By identifier and hash, so that rows of one identifier, or of none, spread over ranges too.
+    ranged = slim.repartitionByRange(parts, "id", "hash").sortWithinPartitions("id", "hash", "text").select("id", "text")
     return materialize(ranged.mapInArrow(run, "part long, seq long, uri string, docs long, tokens long"), "token-manifest")
 
 
@@ -192,8 +193,11 @@ def stored_ids(table: sstable.Reader, value: bytes) -> bytes:
 
 def read_tokens(manifest: DataFrame, with_ids: bool = True) -> DataFrame:
     """``(id, start, n_tokens, ids_crc32, ids)`` of every document, from the files."""
-    before = F.coalesce(F.sum("tokens").over(Window.orderBy("part", "seq").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    shards = manifest.withColumn("start", before).select("uri", "start")  # one row per shard
+    until = lambda w: F.coalesce(F.sum("tokens").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    # Sums within each range, and one row for each range in the only window over all.
+    ranges = manifest.groupBy("part").agg(F.sum("tokens").alias("tokens")).select("part", until(Window.orderBy("part")).alias("before"))
+    shards = manifest.withColumn("within", until(Window.partitionBy("part").orderBy("seq"))).join(ranges, "part")
+    shards = shards.select("uri", (F.col("before") + F.col("within")).alias("start"))
     parts = int(manifest.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def run(batches):

@@ -3,6 +3,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from entlink.llm import sstable, token_store as ts
@@ -38,6 +39,27 @@ def test_encoder_equals_library_on_mixed_white_space():
         assert np.frombuffer(got, np.uint32).tolist() == t.encode(text, add_special_tokens=False).ids, repr(text)
 
 
+def test_encoder_equals_library_on_all_white_space():
+    """White space of every kind, doubled, leading, trailing and next to marks."""
+    t, e = Tokenizer.from_file(PATH), ts.BytePairEncoder(PATH)
+    spaces = [chr(c) for c in range(0x3001) if chr(c).isspace()] + ["\u200b", "\u2060", "\ufeff"]
+    rng = np.random.default_rng(1)
+    units = spaces + [" "] * 12 + ["\n"] * 6 + ["a", "the", "price", "10", "EUR", ",", ".", "x's", "é"] * 3
+    texts = ["".join(units[i] for i in rng.integers(0, len(units), int(rng.integers(1, 10)))) for _ in range(60_000)] + ["a  b c", "price  10\xa0EUR", ",\x1c,\n\xa0"]
+    want = [x.ids for x in t.encode_batch_fast(texts, add_special_tokens=False)]
+    for got, text, ids in zip(e.encode(texts), texts, want, strict=True):
+        assert np.frombuffer(got, np.uint32).tolist() == ids, repr(text)
+
+
+def test_rows_of_one_identifier_spread_over_shards(spark):
+    docs = spark.createDataFrame([(None if i % 2 else 7, f"text {i}") for i in range(4000)], "doc_id long, text string")
+    manifest = ts.write_tokens(docs, lambda: ts.BytePairEncoder(PATH))
+    assert manifest.agg(F.max("docs")).first()[0] < 1200
+    rows = sorted(ts.read_tokens(manifest).collect(), key=lambda r: r.start)
+    assert [r.start for r in rows] == [0, *np.cumsum([r.n_tokens for r in rows])[:-1].tolist()]
+    assert [r.id for r in rows] == [None] * 2000 + [7] * 2000
+
+
 def test_table_round_trip_and_lookup():
     rng = np.random.default_rng(0)
     ids = sorted(rng.integers(-(2**62), 2**62, 3000).tolist()) + [2**62, 2**62]
@@ -61,7 +83,7 @@ def test_store_reads_back_all_documents(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string, start int")
     manifest = ts.write_tokens(docs, lambda: ts.BytePairEncoder(PATH), shard_bytes=2000)
     got = sorted(ts.read_tokens(manifest).collect(), key=lambda r: r.start)
-    want = sorted(rows, key=lambda r: (r[0] is not None, r[0] or 0, r[1] is not None, r[1] or ""))
+    want = [tuple(r) for r in docs.orderBy(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"), "text").collect()]
     at = 0
     for g, (doc_id, text, _) in zip(got, want, strict=True):
         ids = t.encode(text or "", add_special_tokens=False).ids + [0]
