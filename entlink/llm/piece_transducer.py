@@ -1,25 +1,35 @@
 """SentencePiece encoding and decoding as a weighted finite-state transducer.
 
-A model file is compiled into a transducer: the normaliser (dummy prefix and
-escaped blanks), one path per piece from its characters to its identifier, and
-byte fallback from any character without a piece to its UTF-8 bytes.  Composed
-with an input it is a lattice of positions and piece arcs, and the encoding is
-its shortest path in the tropical semiring (least sum of weights).
-
-For a unigram model an arc's weight is minus its piece's score.  A merge model
-has no additive scores, but its encodings are regular too: a sequence of pieces
-is the encoding of its text exactly if every two neighbours, merged alone,
-come out as those two.  So an arc that follows piece a by piece b has weight
-zero if merging ``a + b`` gives ``[a, b]`` and infinity if not, every prefix has
-one path of weight zero, and that path is the model's own answer.  Verdicts on
-pairs are kept in a bounded dictionary, as are the paths of words.
-
-The lattice is cut where no piece can span: before an escaped blank (if no
+A model file is compiled into three machines that are composed with an input
+position by position, as far as paths of finite weight reach:
+
+* the normaliser, which rewrites blanks to the escape symbol, puts the dummy
+  prefix in front and, if the model asks for it, drops extra blanks;
+* the pieces, a trie whose paths spell a piece and write its identifier, with an
+  arc from any character that is no piece to its bytes (or to the unknown id);
+* the neighbours, an acceptor whose state is the last piece read.
+
+Weights are added along a path and the encoding is the path of least weight: the
+tropical semiring.  For a unigram model a piece weighs minus its score and any
+neighbours are free.  A merge model has no additive scores, but its encodings
+are regular: a sequence of pieces is the encoding of its text exactly if every
+two neighbours, merged alone, come out as those two.  So its pieces weigh
+nothing, and the neighbours ``a, b`` weigh nothing if merging ``a + b`` gives
+``[a, b]`` and infinity if not.  Either way one state of finite weight is enough
+for a position (a prefix of a text has one encoding by merges), so one
+relaxation over positions finds the path, in time linear in the text.  Weights of
+neighbours are kept in a bounded dictionary, as are the paths of words.
+
+The input is cut where no piece can span: before an escaped blank (if no
 piece has one inside after another character) and around a line break (if no
 longer piece has one).
 
+Read are unigram and merge models whose normaliser has no character map and
+escapes blanks, without user-defined pieces; others raise ``ValueError``.
+
 Defined results: a null text counts as empty and has no pieces; decoding gives
-the text back, except that the escape character itself comes back as a blank;
+the text back, except that the escape character itself comes back as a blank
+(and extra blanks are gone if the model drops them);
 an empty table gives an empty table; other columns are ignored.
 """
 
@@ -41,7 +51,9 @@ NORMAL, UNKNOWN, CONTROL, USER, BYTE, UNUSED = 1, 2, 3, 4, 6, 5
 UNIGRAM, BPE = 1, 2
 UNKNOWN_PENALTY = 10.0
 NEVER = float("-inf")
-KNOWN_WORDS, KNOWN_PAIRS = 300_000, 200_000
+FAR = float("inf")
+KNOWN_WORDS, KNOWN_PAIRS = 600_000, 300_000
+LONG = 64  # characters of a chunk that is not kept
 
 
 def _fields(buf: bytes) -> Iterator[tuple[int, int | bytes]]:
@@ -88,8 +100,9 @@ class Model:
         self.dummy_prefix = bool(normaliser.get(3, 1))
         if self.kind not in (UNIGRAM, BPE):
             raise ValueError("only unigram and merge models are known")
-        if normaliser.get(2, b"") or normaliser.get(4, 1) or not normaliser.get(5, 1) or trainer.get(24, 0):
-            raise ValueError("only the identity normaliser that keeps blanks is known")
+        self.fewer_blanks = bool(normaliser.get(4, 1))
+        if normaliser.get(2, b"") or not normaliser.get(5, 1) or trainer.get(24, 0):
+            raise ValueError("a character map, bare blanks and blanks as suffixes are not known")
         if any(t == USER for _, _, t in self.pieces):
             raise ValueError("user-defined pieces are not known")
 
@@ -101,7 +114,9 @@ class PieceTransducer:
         self.scores = {p: s for p, s, t in m.pieces if t == NORMAL}
         self.unknown = next(i for i, (_, _, t) in enumerate(m.pieces) if t == UNKNOWN)
         self.byte_ids = {int(p[3:5], 16): i for i, (p, _, t) in enumerate(m.pieces) if t == BYTE}
-        self.worst = min(self.scores.values(), default=0.0) - UNKNOWN_PENALTY
+        unigram = m.kind == UNIGRAM
+        self.weights = {p: -s if unigram else 0.0 for p, s in self.scores.items()}
+        self.fallback = UNKNOWN_PENALTY - min(self.scores.values(), default=0.0) if unigram else 0.0
         # Pieces by their characters: the arcs that leave a position.
         self.arcs: dict = {}
         for p in self.ids:
@@ -111,7 +126,8 @@ class PieceTransducer:
             node[""] = p
         self.cut_at_blank = not any(BLANK in p.lstrip(BLANK) for p in self.ids)
         self.cut_at_newline = not any("\n" in p and len(p) > 1 for p in self.ids)
-        self.verdicts: dict[str, dict[str, bool]] = {}
+        self.stories: dict[str, tuple[list, list] | None] = {}
+        self.verdicts: dict[str, dict[str, float]] = {}
         self.n_verdicts = 0
         self.led: dict[str, bytes] = {}  # paths of words after a blank
         self.bare: dict[str, bytes] = {}
@@ -124,6 +140,8 @@ class PieceTransducer:
     def story(self, text: str) -> tuple[list, list] | None:
         """How merging one piece alone goes: its first and its last part after each merge, each with the score of
         the merge that comes next.  None if merging does not end in the piece."""
+        if text in self.stories:
+            return self.stories[text]
         parts, scores, first, last = list(text), self.scores, [], []
         while True:
             best, where = NEVER, -1
@@ -134,7 +152,10 @@ class PieceTransducer:
             first.append((parts[0], best))
             last.append((parts[-1], best))
             if where < 0:
-                return (first, last) if len(parts) == 1 else None
+                found = (first, last) if len(parts) == 1 else None
+                if text in self.ids:  # pieces only, so the dictionary is no larger than the model
+                    self.stories[text] = found
+                return found
             parts[where : where + 2] = [parts[where] + parts[where + 1]]
 
     def follows(self, a: str, b: str) -> bool:
@@ -156,74 +177,53 @@ class PieceTransducer:
             else:
                 j += 1
 
-    def _verdict(self, a: str, b: str) -> bool:
+    def neighbours(self, a: str, b: str) -> float:
+        """Weight of piece ``b`` after piece ``a``, or at the start if that is empty."""
+        if self.model.kind == UNIGRAM:
+            return 0.0
         if self.n_verdicts >= KNOWN_PAIRS:
             self.verdicts, self.n_verdicts = {}, 0
-        found = self.follows(a, b) if a else self.story(b) is not None
-        self.verdicts.setdefault(a, {})[b] = found
+        good = self.follows(a, b) if a else self.story(b) is not None
+        found = self.verdicts.setdefault(a, {})[b] = 0.0 if good else FAR
         self.n_verdicts += 1
         return found
 
     def shortest_path(self, chunk: str) -> list[str]:
-        """Pieces along the shortest path of one chunk's lattice."""
-        return self._zero_path(chunk) if self.model.kind == BPE else self._least_path(chunk)
-
-    def _from(self, chunk: str, at: int) -> list[str]:
-        """Labels of the arcs that leave a position, shortest first."""
-        node = self.arcs
-        found = [] if chunk[at] in self.ids else [chunk[at]]
-        for c in chunk[at:]:
-            node = node.get(c)
-            if node is None:
-                break
-            if "" in node:
-                found.append(node[""])
-        return found
-
-    def _zero_path(self, chunk: str) -> list[str]:
-        """With weights of zero and infinity any path of weight zero is shortest, so arcs are tried depth first,
-        longest first; a position from which the end is out of reach is never entered twice."""
-        path, at, last, n, dead = [], 0, "", len(chunk), set()
-        arcs, verdicts = [self._from(chunk, 0)], self.verdicts
-        while at < n:
-            left, after = arcs[-1], verdicts.get(last) or verdicts.setdefault(last, {})
-            while left:
-                piece = left.pop()
-                then = at + len(piece)
-                if then in dead:
-                    continue
-                good = after.get(piece)
-                if good is None:
-                    good = self._verdict(last, piece)
-                    verdicts = self.verdicts
-                if good:
-                    path.append(piece)
-                    at, last = then, piece
-                    if at < n:
-                        arcs.append(self._from(chunk, at))
-                    break
-            else:
-                if not path:
-                    raise ValueError(f"no path through {chunk!r}")
-                dead.add(at)
-                arcs.pop()
-                at -= len(path.pop())
-                last = path[-1] if path else ""
-        return path
-
-    def _least_path(self, chunk: str) -> list[str]:
-        """Least sums of weights from position to position."""
-        n = len(chunk)
-        cost, by = [0.0] + [float("inf")] * n, [""] * (n + 1)
+        """Pieces along the path of least weight through one chunk composed with the machines."""
+        n, pieces, weights, trie, free = len(chunk), self.ids, self.weights, self.arcs, self.model.kind == UNIGRAM
+        cost, last = [0.0] + [FAR] * n, [""] * (n + 1)
         for at in range(n):
-            for piece in self._from(chunk, at):
-                weight = -self.scores.get(piece, self.worst)
-                if cost[at] + weight < cost[at + len(piece)]:
-                    cost[at + len(piece)], by[at + len(piece)] = cost[at] + weight, piece
+            here = cost[at]
+            if here == FAR:
+                continue
+            before = last[at]
+            known = self.verdicts.get(before)
+            if known is None:
+                known = self.verdicts[before] = {}
+            if chunk[at] not in pieces and here + self.fallback < cost[at + 1]:
+                cost[at + 1], last[at + 1] = here + self.fallback, chunk[at]
+            node, to = trie, at
+            while to < n:
+                node = node.get(chunk[to])
+                if node is None:
+                    break
+                to += 1
+                piece = node.get("")
+                if piece is None:
+                    continue
+                weight = here + weights[piece]
+                if weight >= cost[to]:
+                    continue
+                if not free:
+                    extra = known.get(piece)
+                    weight += self.neighbours(before, piece) if extra is None else extra
+                    if weight >= cost[to]:
+                        continue
+                cost[to], last[to] = weight, piece
         path, at = [], n
         while at:
-            path.append(by[at])
-            at -= len(by[at])
+            path.append(last[at])
+            at -= len(last[at])
         return path[::-1]
 
     def _ids(self, chunk: str) -> bytes:
@@ -238,34 +238,44 @@ class PieceTransducer:
                 out.append(self.unknown)
         return np.array(out, np.uint32).tobytes()
 
+    def _make_room(self, wanted: int) -> None:
+        """Keep the words after a blank within bounds: short ones recur most and stay."""
+        if len(self.led) + wanted > KNOWN_WORDS:
+            short = {w: v for w, v in self.led.items() if len(w) < 7}
+            self.led = short if len(short) < KNOWN_WORDS // 2 else {}
+
+    def _bare(self, chunk: str) -> bytes:
+        found = self.bare.get(chunk)
+        if found is None:
+            found = self._ids(chunk)
+            if len(chunk) < LONG:
+                if len(self.bare) > KNOWN_WORDS // 4:
+                    self.bare.clear()
+                self.bare[chunk] = found
+        return found
+
     def _line(self, line: str, lead: bool) -> Iterator[bytes]:
         words = line.split(" ")
-        if self.cut_at_blank and "" not in words and BLANK not in line:
+        if not self.cut_at_blank:
+            yield self._ids((BLANK if lead else "") + line.replace(" ", BLANK))
+        elif "" not in words and BLANK not in line:
             first, rest = words[0], words[1:]
             wanted = {first, *rest} if lead else set(rest)
             new = [w for w in wanted if w not in self.led]
-            if len(self.led) + len(new) > KNOWN_WORDS:
-                short = {w: v for w, v in self.led.items() if len(w) < 7}  # short words recur most
-                self.led = short if len(short) < KNOWN_WORDS // 2 else {}
+            if new:
+                self._make_room(len(new))
                 new = [w for w in wanted if w not in self.led]
             for w in new:
                 self.led[w] = self._ids(BLANK + w)
-            if lead:
-                yield self.led[first]
-            else:
-                if first not in self.bare:
-                    if len(self.bare) > KNOWN_WORDS // 4:
-                        self.bare.clear()
-                    self.bare[first] = self._ids(first)
-                yield self.bare[first]
+            yield self.led[first] if lead else self._bare(first)
             yield from map(self.led.__getitem__, rest)
         else:
-            symbols = (BLANK if lead else "") + line.replace(" ", BLANK)
-            for chunk in re.findall(f"{BLANK}+[^{BLANK}]*|[^{BLANK}]+", symbols) if self.cut_at_blank else [symbols]:
-                yield self._ids(chunk)
+            yield from map(self._bare, re.findall(f"{BLANK}+[^{BLANK}]*|[^{BLANK}]+", (BLANK if lead else "") + line.replace(" ", BLANK)))
 
     def encode(self, text: str | None) -> bytes:
         """Identifiers of a whole text as little-endian unsigned 32-bit bytes."""
+        if text and self.model.fewer_blanks:
+            text = re.sub(" +", " ", text.strip(" "))
         if not text:
             return b""
         lines = text.split("\n") if self.cut_at_newline else [text]
@@ -298,22 +308,26 @@ class PieceTransducer:
 
 
 @lru_cache(maxsize=1)
-def compiled(model_path: str) -> PieceTransducer:
-    """The transducer of a model file, once for each Python worker."""
-    with open(model_path, "rb") as f:
-        return PieceTransducer(f.read())
+def compiled(model: bytes) -> PieceTransducer:
+    """The transducer of a model, once for each Python worker."""
+    return PieceTransducer(model)
 
 
 RESULT = "id long, n_pieces long, ids_crc32 long, round_trip boolean, ids binary"
 
 
 def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = True) -> DataFrame:
-    """Encode every whole text, decode it again and compare: ``RESULT``, ids as little-endian 32-bit."""
+    """Encode every whole text, decode it again and compare: ``RESULT``, ids as little-endian 32-bit.
+
+    Only the driver reads the model's file; executors get its bytes.
+    """
+    with open(model_path, "rb") as f:
+        model = docs.sparkSession.sparkContext.broadcast(f.read())
     names = [c.split()[0] for c in RESULT.split(", ")]
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary()]
 
     def run(batches):
-        t = compiled(model_path)
+        t = compiled(model.value)
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)

@@ -34,8 +34,9 @@ def op2_sentencepiece_wfst(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op3_token_sstable(spark: SparkSession, sf_dir: str) -> DataFrame:
     bounded_batches(spark)
-    path = tokenizer_path("byte_bpe_50k.json")
-    manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), lambda: token_store.bpe_encoder(path))
+    with open(tokenizer_path("byte_bpe_50k.json"), "rb") as f:
+        vocabulary = spark.sparkContext.broadcast(f.read())
+    manifest = token_store.write_tokens(table(spark, sf_dir, "documents"), lambda: token_store.bpe_encoder(vocabulary.value))
     return token_store.read_tokens(manifest, with_ids=False).select(F.col("id").alias("doc_id"), "start", "n_tokens", "ids_crc32")
 
 

@@ -52,11 +52,12 @@ class BytePairEncoder:
     met again in the older moves to the younger.  So words that recur stay, and memory has a bound.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, source: str | bytes):
+        """``source`` is the path of a vocabulary file or what it holds."""
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tokenizer = Tokenizer.from_file(path)
+        self.tokenizer = Tokenizer.from_buffer(source) if isinstance(source, bytes) else Tokenizer.from_file(source)
         newline = self.tokenizer.encode("\n", add_special_tokens=False).ids
         self.newline = array("I", newline).tobytes()
         # The short cut needs byte-level pre-tokens and one id for a line break.
@@ -122,9 +123,9 @@ class BytePairEncoder:
 
 
 @lru_cache(maxsize=1)
-def bpe_encoder(path: str) -> BytePairEncoder:
-    """The encoder of a vocabulary file, once for each Python worker."""
-    return BytePairEncoder(path)
+def bpe_encoder(source: str | bytes) -> BytePairEncoder:
+    """The encoder of a vocabulary, once for each Python worker."""
+    return BytePairEncoder(source)
 
 
 def key_of(doc_id: int | None) -> bytes:

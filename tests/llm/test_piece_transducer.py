@@ -81,3 +81,26 @@ def test_documents_query(spark):
     rows = pt.encode_documents(docs, PATH).collect()
     assert len(rows) == 4 and all(r.round_trip for r in rows)
     assert pt.encode_documents(docs.where("false"), PATH).count() == 0
+
+
+def test_time_is_linear_without_blanks():
+    import time
+
+    t, took = mine(), {}
+    for n in (200_000, 4_000_000):
+        text = "abcdefghijklmnopqrstuvwxyz日本語"
+        text = (text * (n // len(text) + 1))[:n]
+        at = time.perf_counter()
+        raw = t.encode(text)
+        took[n] = time.perf_counter() - at
+        assert t.decode(raw) == text
+    assert took[4_000_000] < 80 * took[200_000] and took[4_000_000] < 40
+
+
+def test_model_that_drops_extra_blanks():
+    pieces = [("<unk>", 0.0, 2), ("<s>", 0.0, 3), ("</s>", 0.0, 3)] + [(w, -float(i + 1), 1) for i, w in enumerate(["▁a", "b", "▁", "a", "ab"])]
+    raw = b"".join(message((1, message((1, p.encode()), (2, s), (3, k)))) for p, s, k in pieces)
+    raw += message((2, message((3, 1), (4, len(pieces)))), (3, message((1, b"identity"), (3, 1), (4, 1))))
+    sp, t = sentencepiece.SentencePieceProcessor(model_proto=raw), pt.PieceTransducer(raw)
+    for text in ["", "  ", " a  b ", "a   a b", "ab", "   ab  ab"]:
+        assert np.frombuffer(t.encode(text), np.uint32).tolist() == sp.encode(text), text
