@@ -6,24 +6,30 @@ the documents.  Cutting that order into runs of equal row counts gives shards
 whose files cover small boxes in every dimension, so min/max statistics prune
 on any of them.
 
-Equal-depth cuts come from ``percentile_approx`` over an order-preserving
-64-bit key of the value, which is one aggregate with a bounded result.  The
-global order is a range partitioning, so no task sees more than its range: a
-row's rank is its place in its range plus the sizes of the ranges before.
+The step of a value is the share of rows with lesser values, times the number of
+steps, rounded down.  Values are counted first and the counts summed in order by
+range, so the cuts are exact and the same on any cluster; at most one edge for
+each step reaches the driver.  The curve is walked once for each cell of the
+grid, not for each row.  The global order is a range partitioning, so no task
+sees more than its range.
 
 Defined results: nulls fall into the first step; a null text has size 1 and the
-checksum of nothing; ties are ordered by identifier, then size and checksum;
-an empty table gives an empty table; other columns of the input are ignored.
+checksum of nothing; ties are ordered by identifier (null first), then size and
+checksum; repeated rows each have a slot; an empty table gives an empty table;
+other columns of the input are ignored, and ``write_shards`` keeps them all.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
+from entlink.operators.ordering import ranked, sums_before
 from entlink.storage import materialize
 
+#: Cells of a grid that may be broadcast with their place on the curve.
+MOST_CELLS = 1 << 16
+
 
 def curve_tables(dims: int) -> tuple[list[int], list[int]]:
     """Transition tables of the curve: for state and quadrant, the next state and the digit.
@@ -71,86 +77,79 @@ def hilbert_index(coords: list[Column], bits: int) -> Column:
     return F.aggregate(quadrants, start, walk, lambda acc: acc["index"])
 
 
-def order_key(value: Column, kind: T.DataType, common: int) -> Column:
-    """A double that orders as the value does: numbers themselves, strings by six bytes after the common prefix."""
-    if isinstance(kind, T.NumericType):
-        return value.cast("double")
-    text = value.cast("string")
-    if common:
-        text = F.substring(text, common + 1, 6)
-    padded = F.rpad(F.hex(F.substring(F.encode(text, "UTF-8"), 1, 6)), 12, "0")
-    return F.conv(padded, 16, 10).cast("double")
-
-
-def quantised(df: DataFrame, dims: list[str], bits: int) -> list[Column]:
-    """Equal-depth step of each column of ``df``, by cuts taken over all rows."""
-    kinds = {f.name: f.dataType for f in df.schema}
-    texts = [d for d in dims if not isinstance(kinds[d], T.NumericType)]
-    common = dict.fromkeys(dims, 0)
-    if texts:
-        ends = df.agg(*[f(d).alias(f"{n}_{d}") for d in texts for n, f in (("lo", F.min), ("hi", F.max))]).first()
-        for d in texts:
-            lo, hi = str(ends[f"lo_{d}"] or ""), str(ends[f"hi_{d}"] or "")
-            common[d] = next((i for i, (a, b) in enumerate(zip(lo, hi)) if a != b), min(len(lo), len(hi)))
-    keys = [order_key(F.col(d), kinds[d], common[d]) for d in dims]
-    share = [i / (1 << bits) for i in range(1, 1 << bits)]
-    cuts = df.agg(*[F.percentile_approx(k, share, 10000).alias(f"c{i}") for i, k in enumerate(keys)]).first()
-    steps = []
-    for i, k in enumerate(keys):
-        edges = sorted(set(cuts[i] or []))
-        steps.append(sum((F.when(k >= e, 1).otherwise(0) for e in edges), F.lit(0)) if edges else F.lit(0))
-    return [F.coalesce(s, F.lit(0)) for s in steps]
-
-
-def curve_order(docs: DataFrame, dims: list[str], id_col: str = "doc_id", text_col: str = "text", bits: int = 5) -> DataFrame:
-    """Documents with curve index and global rank: id, ``size``, ``text_crc32``, ``curve``, ``rank``, ``total``."""
-    spark = docs.sparkSession
+def edges(df: DataFrame, column: str, bits: int) -> list[tuple[int, object]]:
+    """``(step, least value)`` of every equal-depth step that holds values, in order; exact."""
+    counts = materialize(df.where(F.col(column).isNotNull()).groupBy(F.col(column).alias("value")).agg(F.count("*").alias("n")), "hilbert-counts")
+    total = counts.agg(F.sum("n").alias("n")).first()["n"]
+    if not total:
+        return []
+    below = sums_before(counts, ["value"], "n", "below", "hilbert-values")
+    step = F.floor(F.col("below") * (1 << bits) / F.lit(total)).cast("int")
+    found = below.groupBy(step.alias("step")).agg(F.min("value").alias("value")).collect()  # 2**bits rows at most
+    return sorted((r["step"], r["value"]) for r in found)
+
+
+def step_of(value: Column, cut: list[tuple[int, object]]) -> Column:
+    """The step whose edge is the greatest that does not exceed the value; null falls into the first."""
+    out = F.lit(0)
+    for step, edge in cut[1:]:
+        out = F.when(value >= F.lit(edge), F.lit(step)).otherwise(out)
+    return out
+
+
+def curve_index(steps: list[Column], bits: int, spark) -> tuple[Column, DataFrame | None]:
+    """The cell of a point, and the table ``(cell, curve)`` to join it with; None if the cell is the index itself."""
+    dims = len(steps)
+    if 1 << bits * dims > MOST_CELLS:
+        return hilbert_index(steps, bits), None
+    cell = sum((F.shiftleft(s.cast("long"), bits * k) for k, s in enumerate(steps)), F.lit(0).cast("long"))
+    mask = (1 << bits) - 1
+    back = [F.shiftright("id", bits * k).bitwiseAND(mask) for k in range(dims)]
+    return cell, spark.range(1 << bits * dims).select(F.col("id").alias("cell"), hilbert_index(back, bits).alias("curve"))
+
+
+def curve_order(docs: DataFrame, dims: list[str], id_col: str = "doc_id", text_col: str = "text", bits: int = 5, carry: bool = False) -> tuple[DataFrame, int]:
+    """Documents with curve index and global rank: id, ``size``, ``text_crc32``, ``curve``, ``rank``; and their number.
+
+    With ``carry`` the whole row comes along as the struct ``row``.
+    """
     text = F.coalesce(F.col(text_col), F.lit(""))
     slim = docs.select(
         F.col(id_col).alias("id"),
         *[F.col(d).alias(f"dim_{i}") for i, d in enumerate(dims)],
         (F.octet_length(text) + 1).cast("long").alias("size"),
         F.crc32(F.encode(text, "UTF-8")).alias("text_crc32"),
+        *([F.struct("*").alias("row")] if carry else []),
     )
-    slim = materialize(slim, "hilbert-meta")
+    kept = ["row"] if carry else []
+    meta = materialize(slim.drop("row"), "hilbert-meta")
     names = [f"dim_{i}" for i in range(len(dims))] + ["size"]
-    points = slim.select("id", "size", "text_crc32", hilbert_index(quantised(slim, names, bits), bits).alias("curve"))
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    cell, curve = curve_index([step_of(F.col(n), edges(meta, n, bits)) for n in names], bits, docs.sparkSession)
+    points = (slim if carry else meta).withColumn("cell", cell)
+    # The grid has at most MOST_CELLS rows.
+    points = points.withColumn("curve", F.col("cell")) if curve is None else points.join(F.broadcast(curve), "cell")
     keys = ["curve", "id", "size", "text_crc32"]
-    sorted_rows = points.repartitionByRange(parts, *keys).sortWithinPartitions(*keys)
-    placed = materialize(sorted_rows.withColumn("place", F.monotonically_increasing_id()), "hilbert-order")
-    # monotonically_increasing_id has the partition number above bit 33 and the row number below
-    placed = placed.withColumn("part", F.shiftright("place", 33)).withColumn("within", F.col("place").bitwiseAND((1 << 33) - 1))
-    sizes = sorted(placed.groupBy("part").count().collect())  # one row per range
-    base, before = [], 0
-    for part, n in sizes:
-        base.append((part, before))
-        before += n
-    offsets = spark.createDataFrame(base, "part long, before long")
-    return placed.join(F.broadcast(offsets), "part").select(
-        "id", "size", "text_crc32", "curve", (F.col("before") + F.col("within")).alias("rank"), F.lit(before).cast("long").alias("total")
-    )
+    return ranked(points.select(*keys, *kept), keys, "rank", "hilbert-order")
+
+
+def _shard_and_slot(ordered: DataFrame, total: int, shards: int) -> tuple[Column, Column]:
+    # Shard s holds ranks from floor(s * total / shards) up to the next such bound.
+    shard = F.floor(((F.col("rank") + 1) * shards - 1) / F.lit(max(1, total)))
+    return shard.cast("int"), (F.col("rank") - F.floor(shard * F.lit(total) / shards)).cast("long")
 
 
 def assign_shards(
     docs: DataFrame, shards: int = 16, dims: tuple[str, ...] = ("lang", "source"), id_col: str = "doc_id", text_col: str = "text"
 ) -> DataFrame:
     """Shard and slot of every document; row counts of shards differ by one at most."""
-    ordered = curve_order(docs, list(dims), id_col, text_col)
-    # Shard s holds ranks from floor(s * total / shards) up to the next such bound.
-    shard = F.floor(((F.col("rank") + 1) * shards - 1) / F.col("total"))
-    return ordered.withColumn("shard", shard.cast("int")).select(
-        F.col("id").alias(id_col),
-        "size",
-        "text_crc32",
-        "curve",
-        "shard",
-        (F.col("rank") - F.floor(F.col("shard") * F.col("total") / shards)).cast("long").alias("slot"),
-    )
+    ordered, total = curve_order(docs, list(dims), id_col, text_col)
+    shard, slot = _shard_and_slot(ordered, total, shards)
+    return ordered.select(F.col("id").alias(id_col), "size", "text_crc32", "curve", shard.alias("shard"), slot.alias("slot"))
 
 
-def write_shards(docs: DataFrame, path: str, shards: int = 16, dims: tuple[str, ...] = ("lang", "source"), id_col: str = "doc_id") -> None:
-    """Write whole documents as Parquet, one folder per shard, rows in curve order."""
-    placed = assign_shards(docs, shards, dims, id_col).select(F.col(id_col).alias("_id"), F.col("shard").alias("_shard"), F.col("slot").alias("_slot"))
-    whole = docs.join(placed, F.col(id_col).eqNullSafe(F.col("_id"))).drop("_id")
-    whole.repartition("_shard").sortWithinPartitions("_shard", "_slot").drop("_slot").write.partitionBy("_shard").parquet(path)
+def write_shards(docs: DataFrame, path: str, shards: int = 16, dims: tuple[str, ...] = ("lang", "source"), id_col: str = "doc_id", text_col: str = "text") -> None:
+    """Write whole documents as Parquet, one folder per shard; each range of the order is a task that writes its own files, rows in curve order."""
+    ordered, total = curve_order(docs, list(dims), id_col, text_col, carry=True)
+    shard, slot = _shard_and_slot(ordered, total, shards)
+    rows = ordered.select("row.*", shard.alias("_shard"), slot.alias("_slot"))
+    rows.sortWithinPartitions("_shard", "_slot").drop("_slot").write.partitionBy("_shard").parquet(path)

@@ -105,6 +105,19 @@ QUERIES = {
     "op10_raking_mix": op10_raking_mix,
 }
 
+def _curve_sql(dims: int, bits: int) -> str:
+    """DuckDB expression of the curve index of the list ``steps``: the walk over its transition tables."""
+    nxt, digit = hilbert_shards.curve_tables(dims)
+    table = str([n * (1 << dims) + d for n, d in zip(nxt, digit, strict=True)])
+    quadrant = " + ".join(f"(((steps[{k + 1}] >> b) & 1) << {k})" for k in range(dims))
+    walk = f"""list_reduce(list_transform(range({bits - 1}, -1, -1), lambda b: {quadrant}),
+        lambda acc, q: [{table}[acc[1] * {1 << dims} + q + 1] >> {dims}, (acc[2] << {dims}) | ({table}[acc[1] * {1 << dims} + q + 1] % {1 << dims})], [0, 0])"""
+    return walk.replace("lambda acc, q:", "lambda acc, q0:").replace("+ q +", "+ q0[1] +").replace(quadrant, f"[{quadrant}]") + "[2]"
+
+
+#: Step of a value: the share of known values below it, times 32; null falls into the first step.
+_STEP = lambda c: f"CASE WHEN {c} IS NULL THEN 0 ELSE ((rank() OVER (ORDER BY {c} NULLS LAST) - 1) * 32 // count({c}) OVER ()) END"
+
 FOLD = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 ORACLES = {
@@ -122,6 +135,18 @@ ORACLES = {
                CASE WHEN n >= 100 AND page_id > head THEN head END AS refers_to
         FROM g
     """,
+    # Exact steps by rank, the walk along the curve, then equal runs; crc32 byte by byte from its own table.
+    "op7_hilbert_sharding": f"""
+        WITH crc AS (SELECT list_transform(range(256), lambda n: list_reduce(range(8), lambda c, k: CASE WHEN c % 2 = 1 THEN xor(3988292384, c // 2) ELSE c // 2 END, n)) AS crc),
+        d AS (SELECT doc_id, lang, source, strlen(coalesce(text, '')) + 1 AS size,
+                     list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'), lambda x: ('0x' || x)::BIGINT) AS bytes FROM documents),
+        s AS (SELECT doc_id, size::BIGINT AS size, xor(4294967295, list_reduce(bytes, lambda c, x: xor(c >> 8, crc[(xor(c, x) & 255) + 1]), 4294967295)) AS text_crc32,
+                     [{_STEP('lang')}, {_STEP('source')}, {_STEP('size')}]::BIGINT[] AS steps FROM d, crc),
+        c AS (SELECT doc_id, size, text_crc32, ({_curve_sql(3, 5)})::BIGINT AS curve FROM s),
+        r AS (SELECT *, row_number() OVER (ORDER BY curve, doc_id NULLS FIRST, size, text_crc32) - 1 AS rank, count(*) OVER () AS total FROM c)
+        SELECT doc_id, size, text_crc32, 'rows' AS law, (((rank + 1) * 16 - 1) // total)::INTEGER AS shard,
+               (rank - (((rank + 1) * 16 - 1) // total) * total // 16)::BIGINT AS slot, NULL::INTEGER AS grown_shard, curve FROM r
+    """,
     # The same rules in plain windows and a recursive walk from parent to parent.
     "op5_quote_threads": r"""
         WITH RECURSIVE m AS (

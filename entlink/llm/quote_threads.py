@@ -28,7 +28,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from entlink.llm.ordering import ranked
+from entlink.operators.ordering import ranked
 from entlink.storage import materialize
 
 MARKS = r"^(?:[ \t]?>)+"
