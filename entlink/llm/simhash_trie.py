@@ -19,6 +19,15 @@ A trie with more than ``CROWDED`` leaves is dealt out again by its next level:
 the remaining 48 bits are cut into four sub-blocks of 12, one of which must
 agree too.
 
+Similar documents.  Fingerprints of 64 bits cannot tell documents that share
+four fifths of their shingles from the rest: such pairs differ in ten bits on
+average.  ``similar_classes`` therefore takes 512 bits of the set of five-word
+shingles, in which those pairs differ in 78 bits, give or take 8, and others in
+about 250.  The same join of tries under a budget finds them, with prefixes
+drawn from the bits in another order each time: the number of tries follows from
+the number of documents, the similarity and the recall wanted of pairs that are
+just similar enough (more similar ones are found more often).
+
 Defined results: null text counts as empty; null identifiers are carried but
 name a class only if no other identifier does; equal texts have equal
 fingerprints, so copies meet before any join; other columns are ignored.
@@ -33,6 +42,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from entlink.llm.components import connected_components
+from entlink.llm.unions import Classes
+from entlink.llm.wide_trie import links_in_groups, majority, permutation, prefixes, tries_for
 from entlink.storage import materialize
 
 SEED = 42
@@ -74,49 +85,13 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return slim.mapInArrow(run, "id long, fp long")
 
 
-class _Classes:
-    """Union-find over the leaves of one sorted array, with vectorised reads."""
-
-    def __init__(self, n: int):
-        self.parent = np.arange(n)
-        self.root = np.arange(n)
-        self.changes = np.arange(n)
-
-    def find(self, x: int) -> int:
-        p = self.parent
-        while p[x] != x:
-            p[x] = p[p[x]]
-            x = p[x]
-        return int(x)
-
-    def link(self, a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
-        made = []
-        for x, y in zip(a.tolist(), b.tolist()):
-            rx, ry = self.find(x), self.find(y)
-            if rx != ry:
-                self.parent[max(rx, ry)] = min(rx, ry)
-                made.append((x, y))
-        if made:
-            root = self.parent.copy()
-            while not np.array_equal(root, root[root]):
-                root = root[root]
-            self.root = root
-            self.changes = np.concatenate(([0], np.cumsum(root[1:] != root[:-1])))
-        return made
-
-    def one_class(self, alo, ahi, blo, bhi):
-        """Whether all leaves of both ranges are in one class already."""
-        flat = (self.changes[alo] == self.changes[ahi - 1]) & (self.changes[blo] == self.changes[bhi - 1])
-        return flat & (self.root[alo] == self.root[blo])
-
-
 def trie_links(keys: np.ndarray, depth: int, budget: int = BUDGET) -> list[tuple[int, int]]:
     """Spanning links between positions of ``keys`` (sorted, distinct, 64 bits) at most ``budget`` bits apart,
     among keys whose first ``depth`` bits agree."""
     n = len(keys)
     if n < 2:
         return []
-    classes, links = _Classes(n), []
+    classes, links = Classes(n), []
     head = keys >> np.uint64(64 - depth) if depth else np.zeros(n, np.uint64)
     cut = np.flatnonzero(np.concatenate(([True], head[1:] != head[:-1], [True])))
     lo, hi = cut[:-1], cut[1:]
@@ -140,17 +115,17 @@ def trie_links(keys: np.ndarray, depth: int, budget: int = BUDGET) -> list[tuple
         own = (alo == blo) & (ahi == bhi)
         cross = err < budget
         sides = [
-            (alo, amid, bmid, bhi, err + 1, cross),
-            (amid, ahi, blo, bmid, err + 1, cross & ~own),
-            (amid, ahi, bmid, bhi, err, True),
-            (alo, amid, blo, bmid, err, True),
+            (alo[cross], amid[cross], bmid[cross], bhi[cross], err[cross] + 1),
+            (amid[cross & ~own], ahi[cross & ~own], blo[cross & ~own], bmid[cross & ~own], err[cross & ~own] + 1),
+            (amid, ahi, bmid, bhi, err),
+            (alo, amid, blo, bmid, err),
         ]
-        for al, ah, bl, bh, e, ok in sides:
-            good = (al < ah) & (bl < bh) & ok & ~((al == bl) & (ah == bh) & (ah - al == 1))
-            k = np.flatnonzero(good)
-            for i in range(0, len(k), FRONTIER):
-                j = k[i : i + FRONTIER]
-                stack.append((al[j], ah[j], bl[j], bh[j], d + 1, e[j].astype(np.int8)))
+        # One block for all four, so that blocks stay long; like branches stand last and are walked first.
+        al, ah, bl, bh, e = (np.concatenate(c) for c in zip(*sides))
+        k = np.flatnonzero((al < ah) & (bl < bh) & ~((al == bl) & (ah == bh) & (ah - al == 1)))
+        for i in range(0, len(k), FRONTIER):
+            j = k[i : i + FRONTIER]
+            stack.append((al[j], ah[j], bl[j], bh[j], d + 1, e[j].astype(np.int8)))
     return links
 
 
@@ -220,6 +195,17 @@ def near_links(distinct: DataFrame, crowded: int = CROWDED) -> DataFrame:
     return keyed.repartition(parts, "kind", "head").select("fp", "key", "kind").mapInArrow(join, "u long, v long")
 
 
+def _by_row(prints: DataFrame, every: DataFrame, id_col: str) -> DataFrame:
+    """Class of every row of ``prints`` (id, fp); ``every`` has fp, copies and component_id once for each fingerprint."""
+    # A fingerprint of more than one in HOT_SHARE rows would load one task; there are fewer than HOT_SHARE of them.
+    total = every.agg(F.sum("copies").alias("total"))
+    hot = every.join(F.broadcast(total), F.col("copies") * HOT_SHARE > F.col("total")).select("fp", "component_id")
+    rows = prints.join(F.broadcast(hot), "fp").unionByName(
+        prints.join(F.broadcast(hot), "fp", "left_anti").join(every.select("fp", "component_id"), "fp")
+    )
+    return rows.select(F.col("id").alias(id_col), "fp", "component_id")
+
+
 def near_duplicate_classes(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 3
 ) -> DataFrame:
@@ -231,11 +217,105 @@ def near_duplicate_classes(
     named = linked.groupBy("root").agg(F.min("least").alias("class"))
     classes = linked.join(named, "root").select("fp", "class")
     every = distinct.join(classes, "fp", "left").select("fp", "copies", F.coalesce("class", "least").alias("component_id"))
-    every = materialize(every, "simhash-classes")
-    # A fingerprint of more than one in HOT_SHARE rows would load one task; there are fewer than HOT_SHARE of them.
-    total = distinct.agg(F.sum("copies").alias("total"))
-    hot = every.join(F.broadcast(total), F.col("copies") * HOT_SHARE > F.col("total")).select("fp", "component_id")
-    rows = prints.join(F.broadcast(hot), "fp").unionByName(
-        prints.join(F.broadcast(hot), "fp", "left_anti").join(every.select("fp", "component_id"), "fp")
-    )
-    return rows.select(F.col("id").alias(id_col), "fp", "component_id")
+    return _by_row(prints, materialize(every, "simhash-classes"), id_col)
+
+
+WIDE_WORDS = 8
+_MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
+
+
+def wide_fingerprint(text: str | None, width: int = 5) -> bytes:
+    """The SimHash of 512 bits of the set of a text's shingles; 64 zero bytes if it has no words."""
+    words = (text or "").encode("utf-8").lower().split()
+    if not words:
+        return bytes(8 * WIDE_WORDS)
+    one = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
+    n = max(1, len(words) - width + 1)
+    shingles = np.zeros(n, np.uint64)
+    for k in range(min(width, len(words))):
+        shingles = (shingles ^ (shingles >> np.uint64(29))) * _MIX[0] + one[k : k + n]
+    shingles = np.unique(shingles)
+    wide = shingles[:, None] + _MIX[0] * np.arange(1, WIDE_WORDS + 1, dtype=np.uint64)
+    for shift, factor in ((30, _MIX[1]), (27, _MIX[2])):
+        wide ^= wide >> np.uint64(shift)
+        wide *= factor
+    wide ^= wide >> np.uint64(31)
+    return majority(wide)
+
+
+def wide_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5) -> DataFrame:
+    """``(id, fp)``, the fingerprint as 64 bytes."""
+
+    def run(batches):
+        for b in batches:
+            fps = [wide_fingerprint(t, width) for t in b.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.binary())], ["id", "fp"])
+
+    slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    return slim.mapInArrow(run, "id long, fp binary")
+
+
+def _spread(nodes: DataFrame, bits: int, tries: int, salt: int) -> DataFrame:
+    """``(grp, node, fp)``: each row of (grp, node, fp) once for every trie, under the hash of its group, the trie and the prefix."""
+
+    def run(batches):
+        orders = [permutation(64 * WIDE_WORDS, salt + t) for t in range(tries)]
+        for b in batches:
+            for at in range(0, b.num_rows, 2048):
+                part = b.slice(at, 2048)
+                raw = np.frombuffer(b"".join(part.column("fp").to_pylist()), np.uint8).reshape(part.num_rows, -1)
+                flat = np.unpackbits(raw, axis=1)
+                held = part.column("grp").to_numpy().view(np.uint64)
+                for t, order in enumerate(orders):
+                    head = prefixes(flat, order, bits)
+                    grp = (held ^ ((head << np.uint64(8)) + np.uint64(t) + np.uint64(salt << 56))) * _MIX[1]
+                    grp = (grp ^ (grp >> np.uint64(32))) * _MIX[2]
+                    yield pa.RecordBatch.from_arrays([pa.array(grp.view(np.int64)), part.column("node"), part.column("fp")], ["grp", "node", "fp"])
+
+    return nodes.select("grp", "node", "fp").mapInArrow(run, "grp long, node long, fp binary")
+
+
+def similar_links(distinct: DataFrame, similarity: float = 0.8, recall: float = 0.95, crowded: int = CROWDED) -> DataFrame:
+    """Spanning links ``(u, v)`` between the nodes of ``distinct`` (node, fp) whose shingle sets are similar by their fingerprints.
+
+    Groups of more than ``crowded`` rows are dealt out again by prefixes of other bits, so no task holds a family of near copies whole.
+    """
+    n = distinct.count()
+    bits, tries, budget = tries_for(n, 64 * WIDE_WORDS, similarity, recall)
+    first = materialize(_spread(distinct.select(F.lit(0).cast("long").alias("grp"), "node", "fp"), bits, tries, 1), "similar-tries")
+    full = materialize(first.groupBy("grp").agg(F.count("*").alias("n")).where(F.col("n") > crowded).select("grp"), "similar-full")
+    parts = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def join(batches):
+        got = [b for b in batches if b.num_rows]
+        if got:
+            t = pa.Table.from_batches(got)
+            raw = np.frombuffer(b"".join(t.column("fp").to_pylist()), np.uint8).reshape(t.num_rows, -1)
+            node = t.column("node").to_numpy()
+            made = links_in_groups(t.column("grp").to_numpy(), raw, budget)
+            if made:
+                a, b = np.array(made).T
+                yield pa.RecordBatch.from_arrays([pa.array(node[a]), pa.array(node[b])], ["u", "v"])
+
+    calm, busy = first, None
+    if full.head(1):
+        busy = first.join(full, "grp", "left_semi")
+        calm = first.join(full, "grp", "left_anti")
+        more, again, _ = tries_for(1 << 14, 64 * WIDE_WORDS, similarity, recall)
+        calm = calm.unionByName(_spread(busy, more, again, 2))
+    return calm.repartition(parts, "grp").mapInArrow(join, "u long, v long")
+
+
+def similar_classes(
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, recall: float = 0.95
+) -> DataFrame:
+    """One row per document: id, ``fp`` (64 bytes) and ``component_id``, the least id of its class of similar documents.
+
+    A class has no name where no row has an identifier.
+    """
+    prints = materialize(wide_fingerprints(docs, id_col, text_col, width), "similar")
+    distinct = materialize(prints.groupBy("fp").agg(F.min("id").alias("node"), F.count("*").alias("copies")), "similar-distinct")
+    links = materialize(similar_links(distinct.where("node is not null"), similarity, recall), "similar-links")
+    roots = materialize(connected_components(links), "similar-roots")
+    every = distinct.join(roots, "node", "left").select("fp", "copies", F.coalesce("root", "node").alias("component_id"))
+    return _by_row(prints, materialize(every, "similar-classes"), id_col)
