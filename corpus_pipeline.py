@@ -17,7 +17,7 @@ TOKEN_SHARE = 0.8
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier does not reject."""
+    """Documents that the classifier does not reject; null and empty texts are scored as texts without words, repeated rows alike."""
     bounded_batches(spark)
     weights = quality_ftrl.fit(docs, table(spark, sf_dir, "labels"))
     rows = docs.select(F.struct("*").alias("row"), F.col("text").alias("text"))
@@ -25,26 +25,29 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts the one with the smallest identifier."""
+    """Of equal texts the one with the smallest identifier; null counts as empty, and of repeated rows one stays."""
     return exact_dedup.survivors(docs)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near copies the one with the smallest identifier; rows without identifier stay."""
+    """Of each class of documents with similar sets of five-word shingles (0.8 or more) the one with the smallest identifier.
+
+    Rows without identifier stay, texts without words are one class, and a repeated identifier goes or stays with all its rows.
+    """
     bounded_batches(spark)
-    classes = simhash_trie.near_duplicate_classes(docs)
+    classes = simhash_trie.similar_classes(docs)
     gone = materialize(classes.where("doc_id > component_id").select("doc_id").distinct(), "near-gone")
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A sample of ``TOKEN_SHARE`` of all tokens with tempered source, language and topic shares."""
+    """A sample of ``TOKEN_SHARE`` of all tokens with tempered source, language and topic shares; null source or language is a category."""
     bounded_batches(spark)
     return raking_mix.sampled(docs, budget=TOKEN_SHARE)
 
 
 def pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Piece identifiers of every document."""
+    """Piece identifiers of every document, none for null and empty texts."""
     bounded_batches(spark)
     found = piece_transducer.encode_documents(docs, tokenizer_path("piece_bpe_32k.model"))
     return found.select(F.col("id").alias("doc_id"), "n_pieces", "ids_crc32", "round_trip", "ids")
