@@ -8,6 +8,8 @@ written here cut lineage: a lost executor costs a re-read, not a recompute.
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import shutil
 import tempfile
 import uuid
@@ -84,6 +86,17 @@ def bounded_batches(spark: SparkSession, rows: int = 1024) -> None:
         spark.conf.set(name, rows)
 
 
+def release_memory() -> None:
+    """Give freed memory back to the system at the end of a task: Python workers live on, and many share a machine."""
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # where the C library has it
+    if trim:
+        trim(0)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given Parquet tables."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
