@@ -46,13 +46,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from entlink.storage import release_memory
+
 BLANK = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, BYTE, UNUSED = 1, 2, 3, 4, 6, 5
 UNIGRAM, BPE = 1, 2
 UNKNOWN_PENALTY = 10.0
 NEVER = float("-inf")
 FAR = float("inf")
-KNOWN_WORDS, KNOWN_PAIRS = 600_000, 300_000
+KNOWN_WORDS, KNOWN_PAIRS = 400_000, 200_000
 LONG = 64  # characters of a chunk that is not kept
 
 
@@ -337,6 +339,7 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
                     rows.append((doc_id, len(raw) // 4, zlib.crc32(raw), t.decode(raw) == (text or ""), raw if with_ids else None))
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names)
         t.forget()  # the worker goes on to other tasks
+        release_memory()
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     return slim.mapInArrow(run, RESULT)

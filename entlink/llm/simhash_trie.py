@@ -43,8 +43,8 @@ from pyspark.sql import functions as F
 
 from entlink.llm.components import connected_components
 from entlink.llm.unions import Classes
-from entlink.llm.wide_trie import links_in_groups, majority, permutation, prefixes, tries_for
-from entlink.storage import materialize
+from entlink.llm.wide_trie import FEW, bit_counts, leaf_pairs, links_in_groups, permutation, prefixes, tries_for
+from entlink.storage import materialize, release_memory
 
 SEED = 42
 BUDGET = 3
@@ -80,6 +80,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         for b in batches:
             fps = np.fromiter((fingerprint(t, width) for t in b.column(1).to_pylist()), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], ["id", "fp"])
+        release_memory()
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     return slim.mapInArrow(run, "id long, fp long")
@@ -102,13 +103,13 @@ def trie_links(keys: np.ndarray, depth: int, budget: int = BUDGET) -> list[tuple
         alo, ahi, blo, bhi, d, err = stack.pop()
         open_ = ~classes.one_class(alo, ahi, blo, bhi)
         alo, ahi, blo, bhi, err = alo[open_], ahi[open_], blo[open_], bhi[open_], err[open_]
-        leaf = (ahi - alo == 1) & (bhi - blo == 1)
-        if leaf.any():
-            a, b = alo[leaf], blo[leaf]
+        few = (ahi - alo) * (bhi - blo) <= FEW
+        if few.any():
+            a, b = leaf_pairs(alo[few], ahi[few], blo[few], bhi[few])
             near = np.bitwise_count(keys[a] ^ keys[b]) <= budget
             near &= classes.root[a] != classes.root[b]
             links += classes.link(a[near], b[near])
-            alo, ahi, blo, bhi, err = alo[~leaf], ahi[~leaf], blo[~leaf], bhi[~leaf], err[~leaf]
+            alo, ahi, blo, bhi, err = alo[~few], ahi[~few], blo[~few], bhi[~few], err[~few]
         if not len(alo) or d == 64:
             continue
         amid, bmid = _split(keys, alo, ahi, d), _split(keys, blo, bhi, d)
@@ -221,6 +222,7 @@ def near_duplicate_classes(
 
 
 WIDE_WORDS = 8
+AT_ONCE = 1 << 14  # shingles whose 512 bits are held at a time
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
 
 
@@ -235,12 +237,15 @@ def wide_fingerprint(text: str | None, width: int = 5) -> bytes:
     for k in range(min(width, len(words))):
         shingles = (shingles ^ (shingles >> np.uint64(29))) * _MIX[0] + one[k : k + n]
     shingles = np.unique(shingles)
-    wide = shingles[:, None] + _MIX[0] * np.arange(1, WIDE_WORDS + 1, dtype=np.uint64)
-    for shift, factor in ((30, _MIX[1]), (27, _MIX[2])):
-        wide ^= wide >> np.uint64(shift)
-        wide *= factor
-    wide ^= wide >> np.uint64(31)
-    return majority(wide)
+    counts = np.zeros(64 * WIDE_WORDS, np.int64)
+    for at in range(0, len(shingles), AT_ONCE):
+        wide = shingles[at : at + AT_ONCE, None] + _MIX[0] * np.arange(1, WIDE_WORDS + 1, dtype=np.uint64)
+        for shift, factor in ((30, _MIX[1]), (27, _MIX[2])):
+            wide ^= wide >> np.uint64(shift)
+            wide *= factor
+        wide ^= wide >> np.uint64(31)
+        counts += bit_counts(wide)
+    return np.packbits(counts * 2 > len(shingles)).tobytes()
 
 
 def wide_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5) -> DataFrame:
@@ -250,6 +255,7 @@ def wide_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
         for b in batches:
             fps = [wide_fingerprint(t, width) for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps, pa.binary())], ["id", "fp"])
+        release_memory()
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     return slim.mapInArrow(run, "id long, fp binary")
@@ -296,6 +302,8 @@ def similar_links(distinct: DataFrame, similarity: float = 0.8, recall: float =
             if made:
                 a, b = np.array(made).T
                 yield pa.RecordBatch.from_arrays([pa.array(node[a]), pa.array(node[b])], ["u", "v"])
+            del got, t, raw, made
+        release_memory()
 
     calm, busy = first, None
     if full.head(1):

@@ -11,18 +11,19 @@ from entlink.llm.unions import Classes
 FRONTIER = 1 << 13
 ADDED_AT_ONCE = 192  # rows whose bits are counted by unpacking
 HELD_DEPTHS = 48
+FEW = 16  # pairs of leaves below two nodes that are compared without walking on
 
 
 def _bit_sums(rows: np.ndarray) -> np.ndarray:
     return np.unpackbits(rows.astype(">u8").view(np.uint8).reshape(len(rows), -1), axis=1).sum(axis=0, dtype=np.int64)
 
 
-def majority(rows: np.ndarray) -> bytes:
-    """Bits, highest first, that more than half of the rows of 64-bit words have.
+def bit_counts(rows: np.ndarray) -> np.ndarray:
+    """How many rows of 64-bit words have each bit, highest first.
 
     Many rows are added as bit planes: three rows of one weight become one of that weight and one of twice the weight.
     """
-    sums, weight, n = np.zeros(64 * rows.shape[1], np.int64), 1, len(rows)
+    sums, weight = np.zeros(64 * rows.shape[1], np.int64), 1
     while len(rows) > ADDED_AT_ONCE:
         carried = []
         while len(rows) >= 3:
@@ -33,8 +34,7 @@ def majority(rows: np.ndarray) -> bytes:
             rows = np.concatenate((x ^ c, rows[3 * m :]))
         sums += weight * _bit_sums(rows)
         rows, weight = np.concatenate(carried), 2 * weight
-    sums += weight * _bit_sums(rows)
-    return np.packbits(sums * 2 > n).tobytes()
+    return sums + weight * _bit_sums(rows)
 
 
 def permutation(size: int, seed: int) -> np.ndarray:
@@ -61,6 +61,17 @@ def tries_for(n: int, size: int, similarity: float, recall: float) -> tuple[int,
     return bits, tries, int(size * differ + 1.3 * math.sqrt(size * differ * (1 - differ)))
 
 
+def leaf_pairs(alo: np.ndarray, ahi: np.ndarray, blo: np.ndarray, bhi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All pairs of a leaf below the first and one below the second node, once each where the nodes are one."""
+    across = bhi - blo
+    size = (ahi - alo) * across
+    of = np.repeat(np.arange(len(size)), size)
+    at = np.arange(len(of)) - np.repeat(np.cumsum(size) - size, size)
+    a, b = alo[of] + at // across[of], blo[of] + at % across[of]
+    once = (a < b) | (alo[of] != blo[of])
+    return a[once], b[once]
+
+
 def links_in_groups(group: np.ndarray, raw: np.ndarray, budget: int) -> list[tuple[int, int]]:
     """Spanning links between rows of one group at most ``budget`` bits apart: positions in the input.
 
@@ -91,13 +102,13 @@ def links_in_groups(group: np.ndarray, raw: np.ndarray, budget: int) -> list[tup
         alo, ahi, blo, bhi, d, err = stack.pop()
         open_ = ~classes.one_class(alo, ahi, blo, bhi)
         alo, ahi, blo, bhi, err = alo[open_], ahi[open_], blo[open_], bhi[open_], err[open_]
-        leaf = (ahi - alo == 1) & (bhi - blo == 1)
-        if leaf.any():
-            a, b = alo[leaf], blo[leaf]
+        few = (ahi - alo) * (bhi - blo) <= FEW
+        if few.any():
+            a, b = leaf_pairs(alo[few], ahi[few], blo[few], bhi[few])
             near = np.bitwise_count(words[a] ^ words[b]).sum(axis=1, dtype=np.int64) <= budget
             near &= classes.root[a] != classes.root[b]
             links += classes.link(a[near], b[near])
-            alo, ahi, blo, bhi, err = alo[~leaf], ahi[~leaf], blo[~leaf], bhi[~leaf], err[~leaf]
+            alo, ahi, blo, bhi, err = alo[~few], ahi[~few], blo[~few], bhi[~few], err[~few]
         if not len(alo):
             continue
         if d == words.shape[1] * 64:  # equal fingerprints
