@@ -39,7 +39,6 @@ import re
 import struct
 import zlib
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -298,10 +297,6 @@ class PieceTransducer:
         again = np.concatenate(([False], (ids[1:] == self.unknown) & (ids[:-1] == self.unknown)))
         return ids[~again].tobytes()
 
-    def forget(self) -> None:
-        """Give back the memory of all words and verdicts."""
-        self.led, self.bare, self.verdicts, self.n_verdicts = {}, {}, {}, 0
-
     def decode(self, raw: bytes) -> str:
         """The text of identifiers: the same transducer with input and output exchanged."""
         surface = self.surface
@@ -309,12 +304,6 @@ class PieceTransducer:
         return text[1:] if self.model.dummy_prefix and text[:1] == " " else text
 
 
-@lru_cache(maxsize=1)
-def compiled(model: bytes) -> PieceTransducer:
-    """The transducer of a model, once for each Python worker."""
-    return PieceTransducer(model)
-
-
 RESULT = "id long, n_pieces long, ids_crc32 long, round_trip boolean, ids binary"
 
 
@@ -329,7 +318,7 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
     kinds = [pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary()]
 
     def run(batches):
-        t = compiled(model.value)
+        t = PieceTransducer(model.value)  # a tenth of a second; a worker that goes on to other tasks keeps nothing
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
@@ -338,7 +327,7 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
                     raw = t.encode(text)
                     rows.append((doc_id, len(raw) // 4, zlib.crc32(raw), t.decode(raw) == (text or ""), raw if with_ids else None))
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), kinds)], names)
-        t.forget()  # the worker goes on to other tasks
+        del t
         release_memory()
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))

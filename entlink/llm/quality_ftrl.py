@@ -19,12 +19,16 @@ training row every score is 0.5; other columns are ignored.
 from __future__ import annotations
 
 import zlib
+from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from entlink.storage import release_memory
+
 BITS = 18
 MASK = (1 << BITS) - 1
 MAX_TRAIN = 6000
@@ -116,6 +120,7 @@ def scored(docs: DataFrame, weights: np.ndarray, id_col: str = "doc_id", text_co
         for b in batches:
             s = np.fromiter((score(w, features(t)) for t in b.column(1).to_pylist()), np.float64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(s)], ["id", "score"])
+        release_memory()
 
     slim = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
     return slim.mapInArrow(run, "id long, score double").withColumnRenamed("id", id_col)
@@ -126,8 +131,10 @@ def with_score(docs: DataFrame, weights: np.ndarray, text_col: str = "text", sco
     shared = docs.sparkSession.sparkContext.broadcast(weights)
 
     @F.pandas_udf("double")
-    def run(texts):
+    def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         w = shared.value
-        return texts.map(lambda t: score(w, features(t)))
+        for texts in batches:
+            yield pd.Series([score(w, features(t)) for t in texts], dtype=float)
+        release_memory()
 
     return docs.withColumn(score_col, run(F.coalesce(F.col(text_col), F.lit(""))))

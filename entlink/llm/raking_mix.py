@@ -32,14 +32,14 @@ from __future__ import annotations
 import re
 import warnings
 import zlib
-from collections.abc import Mapping
+from collections.abc import Iterator, Mapping
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from entlink.storage import materialize
+from entlink.storage import materialize, release_memory
 
 TOPICS = 8
 TEMPERATURE = 0.5
@@ -66,8 +66,10 @@ def topic_of(text: str | None) -> tuple[int, int]:
 
 def topic_column(text: Column) -> Column:
     @F.pandas_udf("topic int, tokens long")
-    def run(texts: pd.Series) -> pd.DataFrame:
-        return pd.DataFrame([topic_of(t) for t in texts], columns=["topic", "tokens"])
+    def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        for texts in batches:
+            yield pd.DataFrame([topic_of(t) for t in texts], columns=["topic", "tokens"])
+        release_memory()
 
     return run(text)
 
