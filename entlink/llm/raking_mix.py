@@ -8,37 +8,49 @@ has: the drawn shares are raked again under that bound, so what a full cell
 cannot give comes from cells of the same source, language and topic, and the
 drawn tokens hold the targets too.  A category asked for more than all its
 tokens gives all, and the others grow in proportion.  Targets that cannot hold
-are reported by a ``RakingWarning`` with the residual.  Draws are by hash of identifier and
-seed, so they are the same on any cluster and after any retry.
+are reported by a ``RakingWarning`` with the residual.
 
-A topic is the lexical field with most words in a text: every word of six or
-more bytes belongs to one of ``TOPICS`` fields by its crc32.  Tokens are words.
+Draws.  Within a cell documents stand in order of length, ties by hash of
+what they hold and the seed, and a document is drawn where the sum of the chances
+up to it passes the next whole number after the cell's random start.  So each
+document is drawn with its chance, a cell gives its number of documents to the
+nearest whole, and its drawn tokens differ from the expected ones by less than
+its longest document.  Nothing depends on how rows are dealt out.
+
+Topics are ``TOPICS`` clusters of the documents' words: square roots of hashed
+word counts, less the corpus mean, at unit length, clustered by ``ROUNDS`` of
+spherical k-means over all documents from starts that are far apart in a sample
+of ``STARTS``.  Vectors are whole numbers, so sums and clusters are the same on
+any cluster.  Tokens are words.
 
 Targets default to tempered shares (``share ** TEMPERATURE``, normalised), which
-lift small categories; explicit shares per category may be given, categories
-that they leave out get share zero.
+lift small categories; explicit shares per category may be given (``None`` is
+the key of null), categories that they leave out get share zero.
 
 Raking runs over the cell table in one task; its size follows the categories
-that occur together, not the documents.  Only the last error reaches the driver.
-
-Defined results: null source or language is a category of its own; a null text
-counts as empty; an empty text has weight one token so that it can be drawn;
-equal identifiers are drawn alike; an empty table gives an
-empty table; columns of the input cannot clash with ours in ``mixture``.
+that occur together, not the documents.  Only the last error, and the sums of
+``TOPICS`` clusters, reach the driver.
+
+Defined results: null source or language is a category of its own, apart from
+the empty string; a null text counts as empty; an empty text has weight one
+token so that it can be drawn; rows equal in identifier, text, source and
+language are drawn alike, as one unit; an empty table gives an empty table; columns of the input
+cannot clash with ours.
 """
 
 from __future__ import annotations
 
-import re
 import warnings
 import zlib
 from collections.abc import Iterator, Mapping
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from entlink.operators.ordering import ranked
 from entlink.storage import materialize, release_memory
 
 TOPICS = 8
@@ -53,36 +65,117 @@ class RakingWarning(UserWarning):
     """Targets that the table cannot meet."""
 
 
-_LONG = re.compile(rb"[^\x20\x09-\x0D]{6,}")
+#: Hashed words of a topic vector, its length in whole numbers, rounds of clustering and rows that starts are chosen from.
+DIM, UNIT, ROUNDS, STARTS = 128, 1000, 4, 512
+
+
+def word_vector(text: str | None) -> tuple[int, np.ndarray]:
+    """Number of words, and square roots of their counts by hash at length ``UNIT``, of one whole text."""
+    words = (text or "").encode("utf-8").lower().split()
+    if not words:
+        return 0, np.zeros(DIM, np.int16)
+    counts = np.sqrt(np.bincount(np.fromiter(map(zlib.crc32, words), np.int64, len(words)) % DIM, minlength=DIM))
+    return len(words), np.rint(counts * (UNIT / np.linalg.norm(counts))).astype(np.int16)
+
+
+def _category(column: str) -> Column:
+    """A category as a string that is never null: empty for null, else the value behind a mark."""
+    return F.coalesce(F.concat(F.lit("="), F.col(column).cast("string")), F.lit(""))
+
 
+def _key(id_col: str, text_col: str, source_col: str, lang_col: str) -> Column:
+    """Rows with the same key are one unit."""
+    return F.xxhash64(id_col, text_col, _category(source_col), _category(lang_col))
 
-def topic_of(text: str | None) -> tuple[int, int]:
-    """Topic and number of words of one whole text; ties go to the least topic."""
-    raw = (text or "").encode("utf-8").lower()
-    long = _LONG.findall(raw)
-    fields = np.fromiter(map(zlib.crc32, long), np.int64, len(long)) % TOPICS
-    return int(np.bincount(fields, minlength=TOPICS).argmax()), len(raw.split())
 
+def _marked(targets: Mapping[str, Mapping | None] | None) -> dict:
+    """Targets by the strings of ``_category``."""
+    mark = lambda d, k: str(k) if d == "topic" else "" if k is None else f"={k}"
+    return {d: shares and {mark(d, k): v for k, v in shares.items()} for d, shares in (targets or {}).items()}
 
-def topic_column(text: Column) -> Column:
-    @F.pandas_udf("topic int, tokens long")
+
+def _shown(category: str) -> Column:
+    return F.when(F.col(category) != "", F.substring(F.col(category), F.lit(2), F.length(category))).alias(category)
+
+
+def _vectors(docs: DataFrame, id_col: str, text_col: str, source_col: str, lang_col: str) -> DataFrame:
+    @F.pandas_udf("tokens long, vec binary")
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         for texts in batches:
-            yield pd.DataFrame([topic_of(t) for t in texts], columns=["topic", "tokens"])
+            rows = [word_vector(t) for t in texts]
+            yield pd.DataFrame({"tokens": [n for n, _ in rows], "vec": [v.tobytes() for _, v in rows]})
         release_memory()
 
-    return run(text)
+    slim = docs.select(F.col(id_col).alias("id"), _key(id_col, text_col, source_col, lang_col).alias("key"), _category(source_col).alias("source"), _category(lang_col).alias("lang"), run(F.col(text_col)).alias("t"))
+    return slim.select("id", "key", "source", "lang", F.greatest(F.col("t.tokens"), F.lit(1)).alias("tokens"), F.col("t.vec").alias("vec"))
+
+
+def _matrix(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.int16).reshape(len(column), DIM)
+
+
+def _nearest(x: np.ndarray, mean: np.ndarray, centres: np.ndarray) -> np.ndarray:
+    """Cluster of each vector; a vector's own length does not matter, and ties go to the least cluster."""
+    return (np.round((x - mean) @ centres.T, 6)).argmax(axis=1)
+
+
+def _unit(x: np.ndarray) -> np.ndarray:
+    return x / np.maximum(1e-9, np.linalg.norm(x, axis=-1, keepdims=True))
+
+
+def topic_centres(known: DataFrame, topics: int = TOPICS, rounds: int = ROUNDS) -> tuple[np.ndarray, np.ndarray]:
+    """Corpus mean and cluster centres of the vectors of ``known`` (key, vec); every round reads all of them."""
+
+    def sums(centres):
+        shared = known.sparkSession.sparkContext.broadcast(centres)
+
+        def run(batches):
+            total, n = np.zeros((topics, DIM), np.int64), np.zeros(topics, np.int64)
+            for b in batches:
+                x = _matrix(b.column(0))
+                own = _nearest(x, *shared.value) if shared.value is not None else np.zeros(len(x), np.int64)
+                which = (own[:, None] == np.arange(topics)).astype(float)
+                total += np.rint(which.T @ x).astype(np.int64)  # exact: whole numbers far below 2**53
+                n += np.bincount(own, minlength=topics)
+            yield pa.RecordBatch.from_arrays([pa.array(range(topics)), pa.array(n), pa.array(total.tolist())], ["topic", "n", "total"])
+
+        parts = known.select("vec").mapInArrow(run, "topic long, n long, total array<long>")
+        cells = parts.select("topic", "n", F.posexplode("total").alias("i", "v")).groupBy("topic", "i").agg(F.sum("n").alias("n"), F.sum("v").alias("v"))
+        total, n = np.zeros((topics, DIM)), np.zeros(topics)
+        for r in cells.collect():  # topics * DIM rows
+            total[r.topic, r.i], n[r.topic] = r.v, r.n
+        return total, n
+
+    total, n = sums(None)
+    mean = total[0] / max(1.0, n[0])
+    sample = known.select("key", "vec").orderBy(F.xxhash64("key"), "key").limit(STARTS).collect()
+    if not sample:
+        return mean, np.zeros((topics, DIM))
+    x = _unit(np.array([np.frombuffer(r.vec, np.int16) for r in sample]) - mean)
+    starts = [0]
+    while len(starts) < topics:  # the vector least like those chosen so far
+        starts.append(int(np.round((x @ x[starts].T).max(axis=1), 9).argmin()))
+    centres = x[starts]
+    for _ in range(rounds):
+        total, n = sums((mean, centres))
+        moved = _unit(total - n[:, None] * mean)
+        centres = np.where((n > 0)[:, None], moved, centres)
+    return mean, centres
 
 
 def described(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", lang_col: str = "lang") -> DataFrame:
-    """``(id, source, lang, topic, tokens)`` of every document."""
-    slim = docs.select(
-        F.col(id_col).alias("id"),
-        F.coalesce(F.col(source_col).cast("string"), F.lit("")).alias("source"),
-        F.coalesce(F.col(lang_col).cast("string"), F.lit("")).alias("lang"),
-        topic_column(F.col(text_col)).alias("t"),
-    )
-    return slim.select("id", "source", "lang", F.col("t.topic").cast("string").alias("topic"), F.greatest(F.col("t.tokens"), F.lit(1)).alias("tokens"))
+    """``(id, key, source, lang, topic, tokens)`` of every document, written once."""
+    known = materialize(_vectors(docs, id_col, text_col, source_col, lang_col), "mix-vectors")
+    shared = docs.sparkSession.sparkContext.broadcast(topic_centres(known))
+
+    def run(batches):
+        for b in batches:
+            topic = pa.array(_nearest(_matrix(b.column(5)), *shared.value)).cast(pa.string())
+            yield pa.RecordBatch.from_arrays([*b.columns[:4], topic, b.column(4)], ["id", "key", "source", "lang", "topic", "tokens"])
+
+    kind = known.schema["id"].dataType.simpleString()
+    out = known.select("id", "key", "source", "lang", "tokens", "vec").mapInArrow(run, f"id {kind}, key long, source string, lang string, topic string, tokens long")
+    return materialize(out, "mix-docs")
 
 
 def target_shares(cells: DataFrame, dim: str, shares: Mapping[str, float] | None, temperature: float = TEMPERATURE) -> DataFrame:
@@ -224,9 +317,16 @@ def chances(fitted: DataFrame, budget: float) -> DataFrame:
     )
 
 
-def draw(id_: Column, seed: int) -> Column:
-    """A number in [0, 1) that is a function of identifier and seed."""
-    return F.shiftrightunsigned(F.xxhash64(F.lit(seed), id_), 11) / float(1 << 53)
+def drawn_units(known: DataFrame, cells: DataFrame, seed: int) -> DataFrame:
+    """``(key, selected)`` once for each identifier and text: draws at even steps along each cell, shortest first."""
+    units = known.groupBy("key", *DIMS).agg(F.sum("tokens").alias("tokens")).withColumn("draw", F.xxhash64(F.lit(seed), "key"))
+    placed, _ = ranked(units, [*DIMS, "tokens", "draw", "key"], "rank", "mix-order")
+    first = placed.groupBy(*DIMS).agg(F.min("rank").alias("first"))
+    start = F.shiftrightunsigned(F.xxhash64(F.lit(seed), *DIMS), 11) / float(1 << 53)
+    chance = cells.join(first, list(DIMS)).select(*DIMS, "first", "chance", start.alias("start"))
+    along = lambda r: F.floor(F.col("start") + r * F.col("chance") + 1e-9)
+    at = F.col("rank") - F.col("first")
+    return placed.join(chance, list(DIMS)).select("key", (along(at + 1) > along(at)).alias("selected"))
 
 
 def cell_chances(known: DataFrame, budget: float, targets=None, temperature: float = TEMPERATURE) -> DataFrame:
@@ -247,22 +347,18 @@ def cell_chances(known: DataFrame, budget: float, targets=None, temperature: flo
 def mixture(docs: DataFrame, budget: float = 0.5, targets=None, temperature: float = TEMPERATURE, seed: int = 7,
             id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id, source, lang, topic, tokens, weight, chance and whether it is drawn."""
-    known = materialize(described(docs, id_col, text_col), "mix-docs")
-    cells = cell_chances(known, budget, targets, temperature)
-    out = known.join(cells, list(DIMS))
-    return out.select(F.col("id").alias(id_col), *DIMS, "tokens", "weight", "chance", (draw(F.col("id"), seed) < F.col("chance")).alias("selected"))
+    known = described(docs, id_col, text_col)
+    cells = cell_chances(known, budget, _marked(targets), temperature)
+    drawn = materialize(drawn_units(known, cells, seed), "mix-drawn")
+    out = known.join(cells, list(DIMS)).join(drawn, "key")
+    return out.select(F.col("id").alias(id_col), _shown("source"), _shown("lang"), "topic", "tokens", "weight", "chance", "selected")
 
 
 def sampled(docs: DataFrame, budget: float = 0.5, targets=None, temperature: float = TEMPERATURE, seed: int = 7,
             id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", lang_col: str = "lang") -> DataFrame:
     """The drawn documents, whole, with the columns of the input."""
-    slim = described(docs, id_col, text_col, source_col, lang_col).select(*DIMS, "tokens")
-    cells = cell_chances(slim, budget, targets, temperature).select(*[F.col(d).alias(f"_{d}") for d in DIMS], F.col("chance").alias("_chance"))
-    rows = docs.select(
-        F.struct("*").alias("row"),
-        F.coalesce(F.col(source_col).cast("string"), F.lit("")).alias("_source"),
-        F.coalesce(F.col(lang_col).cast("string"), F.lit("")).alias("_lang"),
-        topic_column(F.col(text_col))["topic"].cast("string").alias("_topic"),
-        draw(F.col(id_col), seed).alias("_draw"),
-    )
-    return rows.join(cells, ["_source", "_lang", "_topic"]).where("_draw < _chance").select("row.*")
+    known = described(docs, id_col, text_col, source_col, lang_col)
+    drawn = drawn_units(known, cell_chances(known, budget, _marked(targets), temperature), seed)
+    left = materialize(drawn.where("not selected").select(F.col("key").alias("_key")), "mix-left")
+    rows = docs.select(F.struct("*").alias("row"), _key(id_col, text_col, source_col, lang_col).alias("_key"))
+    return rows.join(left, "_key", "left_anti").select("row.*")

@@ -95,6 +95,13 @@ def test_op10_marginals(spark, docs):
     norm = sum(v**0.5 for v in tokens.values())
     for s, v in tokens.items():
         assert fitted[s] == pytest.approx(v**0.5 / norm, rel=2e-2)
+    # What is drawn holds what the chances promise, cell by cell, within one document.
+    cells = {}
+    for r in rows:
+        cells.setdefault((r.source, r.lang, r.topic), []).append(r)
+    for own in cells.values():
+        expected, drawn = sum(r.chance * r.tokens for r in own), sum(r.tokens for r in own if r.selected)
+        assert abs(expected - drawn) <= max(r.tokens for r in own)
 
 
 def test_only_registered_names_and_columns(spark):

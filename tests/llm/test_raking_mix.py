@@ -54,9 +54,50 @@ def test_mixture_edges(spark):
     assert m.sampled(docs.where("false")).count() == 0
 
 
-def test_topic_of_plain():
-    assert m.topic_of(None) == (0, 0) and m.topic_of("a b") == (0, 2)
-    assert m.topic_of("longword " * 3)[1] == 3
+def test_word_vectors():
+    assert m.word_vector(None)[0] == 0 and not m.word_vector("")[1].any()
+    n, v = m.word_vector("b a A b b b a a")
+    assert n == 8 and sorted(v[v > 0]) == [707, 707]
+
+
+def test_topics_are_clusters_of_words(spark):
+    rng = np.random.default_rng(4)
+    words = [[f"t{t}w{i}" for i in range(40)] for t in range(4)]
+    rows = [(i, " ".join(rng.choice(words[i % 4], 60)), "en", "s") for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = {r.id: r.topic for r in m.described(docs.repartition(5)).collect()}
+    assert got == {r.id: r.topic for r in m.described(docs.coalesce(1)).collect()}
+    # Every cluster holds one field of words: eight clusters over four fields.
+    fields = {}
+    for i, t in got.items():
+        fields.setdefault(t, set()).add(i % 4)
+    assert all(len(f) == 1 for f in fields.values()) and len(fields) >= 4
+
+
+def test_draws_are_even_and_whole(spark):
+    """Realised tokens of each cell are within its longest document of the expected ones, and draws follow the chances."""
+    rng = np.random.default_rng(9)
+    rows = [(i, " ".join(["w"] * int(rng.integers(1, 200)) + [f"x{i}"]), ["en", "fr"][i % 2], f"s{i % 5}") for i in range(3000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    out = m.mixture(docs, budget=0.3).collect()
+    cells = {}
+    for r in out:
+        cells.setdefault((r.source, r.lang, r.topic), []).append(r)
+    for own in cells.values():
+        expected, drawn = sum(r.chance * r.tokens for r in own), sum(r.tokens for r in own if r.selected)
+        assert abs(expected - drawn) <= max(r.tokens for r in own) + 1
+        assert abs(sum(r.selected for r in own) - sum(r.chance for r in own)) <= 1
+    whole = sum(r.tokens for r in out if r.selected)
+    for s in range(5):
+        share = sum(r.tokens for r in out if r.selected and r.source == f"s{s}") / whole
+        assert share == pytest.approx(sum(r.chance * r.tokens for r in out if r.source == f"s{s}") / sum(r.chance * r.tokens for r in out), rel=0.05)
+
+
+def test_null_is_a_category_apart(spark):
+    docs = spark.createDataFrame([(i, f"word {i}", "en", [None, "", "a"][i % 3]) for i in range(300)], "doc_id long, text string, lang string, source string")
+    out = m.mixture(docs, 0.4, {"source": {None: 0.5, "": 0.25, "a": 0.25}}).collect()
+    tokens = {s: sum(r.tokens * r.chance for r in out if r.source == s) for s in (None, "", "a")}
+    assert tokens[None] / sum(tokens.values()) == pytest.approx(0.5, abs=1e-3) and tokens[""] / sum(tokens.values()) == pytest.approx(0.25, abs=1e-3)
 
 
 def test_rake_goes_on_until_the_marginals_hold(spark):
