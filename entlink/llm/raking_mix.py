@@ -59,6 +59,7 @@ SWEEPS, TOLERANCE = 20_000, 1e-6
 DRAWN_TOLERANCE = 1e-4
 STALLED = 200  # sweeps at least before targets may be called contradictory
 DIMS = ("source", "lang", "topic")
+FEW_CELLS = 100_000  # rows of four numbers and three names
 
 
 class RakingWarning(UserWarning):
@@ -317,16 +318,21 @@ def chances(fitted: DataFrame, budget: float) -> DataFrame:
     )
 
 
+def _beside(rows: DataFrame, cells: DataFrame) -> DataFrame:
+    """Rows with the columns of their cell; up to ``FEW_CELLS`` cells are broadcast, so a large cell's rows stay where they are."""
+    return rows.join(F.broadcast(cells) if cells.count() <= FEW_CELLS else cells, list(DIMS))
+
+
 def drawn_units(known: DataFrame, cells: DataFrame, seed: int) -> DataFrame:
     """``(key, selected)`` once for each identifier and text: draws at even steps along each cell, shortest first."""
     units = known.groupBy("key", *DIMS).agg(F.sum("tokens").alias("tokens")).withColumn("draw", F.xxhash64(F.lit(seed), "key"))
     placed, _ = ranked(units, [*DIMS, "tokens", "draw", "key"], "rank", "mix-order")
     first = placed.groupBy(*DIMS).agg(F.min("rank").alias("first"))
     start = F.shiftrightunsigned(F.xxhash64(F.lit(seed), *DIMS), 11) / float(1 << 53)
-    chance = cells.join(first, list(DIMS)).select(*DIMS, "first", "chance", start.alias("start"))
+    chance = materialize(cells.join(first, list(DIMS)).select(*DIMS, "first", "chance", start.alias("start")), "mix-steps")
     along = lambda r: F.floor(F.col("start") + r * F.col("chance") + 1e-9)
     at = F.col("rank") - F.col("first")
-    return placed.join(chance, list(DIMS)).select("key", (along(at + 1) > along(at)).alias("selected"))
+    return _beside(placed, chance).select("key", (along(at + 1) > along(at)).alias("selected"))
 
 
 def cell_chances(known: DataFrame, budget: float, targets=None, temperature: float = TEMPERATURE) -> DataFrame:
@@ -350,7 +356,7 @@ def mixture(docs: DataFrame, budget: float = 0.5, targets=None, temperature: flo
     known = described(docs, id_col, text_col)
     cells = cell_chances(known, budget, _marked(targets), temperature)
     drawn = materialize(drawn_units(known, cells, seed), "mix-drawn")
-    out = known.join(cells, list(DIMS)).join(drawn, "key")
+    out = _beside(known, cells).join(drawn, "key")
     return out.select(F.col("id").alias(id_col), _shown("source"), _shown("lang"), "topic", "tokens", "weight", "chance", "selected")
 
 
