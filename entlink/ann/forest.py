@@ -1,28 +1,31 @@
 """Forest of random hyperplane trees.
 
-A node takes two of its points and splits by the plane between them; leaves
-hold at most ``leaf_size`` points of the sample.  Planes are grown on the
-driver from a bounded sample and broadcast; every row of the base is assigned
-to one leaf per tree and stored by (tree, leaf).  A query visits leaves best
-first, by the smallest margin by which a plane was crossed, until its budget of
-candidates is met; candidates are merged and ranked by exact distance.
+A node takes two of its points and splits by the plane between them.  Planes are
+grown on the driver from a bounded sample and broadcast; the larger the base is
+beside the sample, the smaller the sample's leaves, so a leaf of the base stays
+small.  Every row of the base is assigned to one leaf per tree, a whole batch
+going down a tree level by level, and stored by (tree, leaf).  A query visits
+leaves best first, by the smallest margin by which a plane was crossed, until its
+budget of candidates is met; candidates are merged and ranked by exact distance.
+Vectors travel as 32-bit floats in bytes.
 """
 
 from __future__ import annotations
 
-import heapq
 import pickle
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from entlink.ann.exact import BLOCK, linked_frame, nearest_positions
 from entlink.operators.rank import top_n
+from entlink.storage import materialize
 
 SAMPLE = 50_000
-LEAVES_AT_ONCE = 32  # leaves in one bucket of a tree
+LEAST_LEAF = 4  # sample points in a leaf, however large the base is
+ROWS_AT_ONCE = 16_384  # base rows, about, of the leaves in one bucket of a tree
 
 
 class Tree:
@@ -32,6 +35,8 @@ class Tree:
         self.normal, self.offset, self.kids, self.sizes = [], [], [], []
         self.root = self._grow(points, np.arange(len(points)), leaf_size, rng, 0)
         self.normal = np.array(self.normal).reshape(-1, points.shape[1])
+        self.offset, self.kids = np.array(self.offset), np.array(self.kids, int).reshape(-1, 2)
+        self.sizes = np.array(self.sizes)
 
     def _leaf(self, n: int) -> int:
         self.sizes.append(n)
@@ -56,25 +61,50 @@ class Tree:
         self.kids[node] = (self._grow(x, own[~side], leaf_size, rng, depth + 1), self._grow(x, own[side], leaf_size, rng, depth + 1))
         return node
 
-    def leaf_of(self, x: np.ndarray) -> int:
-        node = self.root
-        while node >= 0:
-            node = self.kids[node][int(self.normal[node] @ x + self.offset[node] > 0)]
+    def leaf_of(self, x: np.ndarray) -> np.ndarray:
+        """The leaf of every row of ``x``, one level of the tree at a time."""
+        node = np.full(len(x), self.root)
+        while (live := np.flatnonzero(node >= 0)).size:
+            at = node[live]
+            right = np.einsum("ij,ij->i", self.normal[at], x[live]) + self.offset[at] > 0
+            node[live] = self.kids[at, right.astype(int)]
         return -node - 1
 
-    def leaves_of(self, x: np.ndarray, budget: int) -> list[int]:
-        """Leaves best first, until they hold ``budget`` sample points."""
-        heap, found, held = [(0.0, 0, self.root)], [], 0
-        while heap and held < budget:
-            cost, _, node = heapq.heappop(heap)
-            while node >= 0:
-                m = self.normal[node] @ x + self.offset[node]
-                near, far = self.kids[node][int(m > 0)], self.kids[node][int(m <= 0)]
-                heapq.heappush(heap, (max(cost, abs(m)), len(heap), far))
-                node = near
-            found.append(-node - 1)
-            held += max(1, self.sizes[-node - 1])
-        return found
+    def leaves_of(self, x: np.ndarray, budget: int) -> tuple[np.ndarray, np.ndarray]:
+        """Rows of ``x`` and their leaves, best first, until these hold ``budget`` sample points.
+
+        The cost of a leaf is the largest margin of the planes that its path crosses against the row's own side.
+        """
+        cost = np.zeros((len(x), len(self.sizes)))
+        if len(self.normal):
+            margin = x @ self.normal.T + self.offset
+            reach = [(self.root, np.zeros(len(x)))]
+            while reach:
+                node, so_far = reach.pop()
+                if node < 0:
+                    cost[:, -node - 1] = so_far
+                    continue
+                m = margin[:, node]
+                reach += [(self.kids[node, 0], np.where(m > 0, np.maximum(so_far, m), so_far)), (self.kids[node, 1], np.where(m > 0, so_far, np.maximum(so_far, -m)))]
+        order = np.argsort(cost, axis=1, kind="stable")
+        held = np.cumsum(np.maximum(1, self.sizes)[order], axis=1)
+        taken = np.concatenate((np.ones((len(x), 1), bool), held[:, :-1] < budget), axis=1)
+        rows, place = np.nonzero(taken)
+        return rows, order[rows, place]
+
+
+def packed(vec: Column) -> Column:
+    """Vectors as 32-bit floats in bytes."""
+
+    @F.pandas_udf("binary")
+    def run(vecs: pd.Series) -> pd.Series:
+        return vecs.map(lambda v: np.asarray(v, "<f4").tobytes())
+
+    return run(vec)
+
+
+def matrix(raw: pd.Series) -> np.ndarray:
+    return np.frombuffer(b"".join(raw), "<f4").reshape(len(raw), -1).astype(float) if len(raw) else np.zeros((0, 0))
 
 
 class Forest:
@@ -87,37 +117,55 @@ class Forest:
         total = base.count()
         rows = base.orderBy(F.xxhash64("id"), "id").limit(sample).collect() if total > sample else base.orderBy("id").collect()
         points = np.array([r.vec for r in rows], float)
-        forest = cls([Tree(points, leaf_size, np.random.default_rng([seed, t])) for t in range(trees)] if len(points) else [], max(1.0, total / max(1, len(points))))
+        scale = max(1.0, total / max(1, len(points)))
+        own = max(LEAST_LEAF, int(leaf_size / scale))
+        forest = cls([Tree(points, own, np.random.default_rng([seed, t])) for t in range(trees)] if len(points) else [], scale)
         forest.leaves = forest.assign(base)
         return forest
 
     def assign(self, base: DataFrame) -> DataFrame:
-        """``(tree, leaf, id, vec)`` of every base row in every tree."""
+        """``(tree, leaf, id, vec)`` of every base row in every tree, vectors packed."""
         trees = base.sparkSession.sparkContext.broadcast(self.trees)
 
         @F.pandas_udf("array<int>")
         def leaf_ids(vecs: pd.Series) -> pd.Series:
-            return vecs.map(lambda v: [t.leaf_of(np.asarray(v, float)) for t in trees.value])
+            x = matrix(vecs)
+            return pd.Series(list(np.array([t.leaf_of(x) for t in trees.value], np.int32).T.reshape(len(x), -1)))
+
+        slim = base.select("id", packed(F.col("vec")).alias("vec"))
+        return slim.select("id", "vec", F.posexplode(leaf_ids("vec")).alias("tree", "leaf"))
 
-        return base.select("id", "vec", F.posexplode(leaf_ids("vec")).alias("tree", "leaf"))
+    def stored(self) -> DataFrame:
+        """Write the leaves to the shared folder and use those from now on."""
+        self.leaves = materialize(self.leaves, "leaves")
+        return self.leaves
 
     def query(self, queries: DataFrame, n: int = 10, budget: int = 400, metric: str = "cosine") -> DataFrame:
         """``(query_id, result_id, distance, rank)`` by visiting about ``budget`` candidates in every tree."""
         trees, share = queries.sparkSession.sparkContext.broadcast(self.trees), max(1, int(budget / self.scale))
+        counts = [len(t.sizes) for t in self.trees]
+        mean = self.scale * max((t.sizes.sum() / len(t.sizes) for t in self.trees), default=1.0)
+        buckets = max(1, int(max(counts, default=1) * mean / ROWS_AT_ONCE))
 
         @F.pandas_udf("array<struct<tree:int,leaf:int>>")
         def probes(vecs: pd.Series) -> pd.Series:
-            return vecs.map(lambda v: [{"tree": i, "leaf": leaf} for i, t in enumerate(trees.value) for leaf in t.leaves_of(np.asarray(v, float), share)])
+            x, found = matrix(vecs), [[] for _ in range(len(vecs))]
+            for at in range(0, len(x), BLOCK):
+                for i, t in enumerate(trees.value):
+                    for row, leaf in zip(*(v.tolist() for v in t.leaves_of(x[at : at + BLOCK], share))):
+                        found[at + row].append({"tree": i, "leaf": leaf})
+            return pd.Series(found)
 
         kind = dict(self.leaves.dtypes)["id"], dict(queries.dtypes)["id"]
-        asked = queries.select("id", "vec", F.explode(probes("vec")).alias("p")).select(F.col("id").alias("id"), F.col("vec").alias("vec"), F.col("p.tree").alias("tree"), F.col("p.leaf").alias("leaf"))
+        slim = queries.select("id", packed(F.col("vec")).alias("vec"))
+        asked = slim.select("id", "vec", F.explode(probes("vec")).alias("p")).select("id", "vec", F.col("p.tree").alias("tree"), F.col("p.leaf").alias("leaf"))
 
         def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-            """The best ``n`` within every leaf of one bucket: a leaf holds few rows, and no others can matter."""
+            """The best ``n`` within the leaves of one bucket: a leaf holds few rows, and no others can matter."""
             left, right = left.sort_values("leaf", kind="stable"), right.sort_values(["leaf", "id"], kind="stable")
             found = [(np.zeros(0, int), np.zeros(0, int), np.zeros(0))]
             if len(left) and len(right):
-                q, b = np.stack(left.vec).astype(float), np.stack(right.vec).astype(float)
+                q, b = matrix(left.vec), matrix(right.vec)
                 ql, bl = left.leaf.to_numpy(), right.leaf.to_numpy()
                 for leaf in np.intersect1d(ql, bl):
                     (i, j), (k, m) = (np.searchsorted(x, [leaf, leaf + 1]) for x in (ql, bl))
@@ -127,7 +175,6 @@ class Forest:
             return linked_frame(left, right, *(np.concatenate(x) for x in zip(*found)))
 
         keys = ["tree", "bucket"]
-        buckets = max(1, max((len(t.sizes) for t in self.trees), default=1) // LEAVES_AT_ONCE)
         bucket = (F.col("leaf") % buckets).alias("bucket")
         # New names for old columns: queries and leaves may come from the same frame.
         asked = asked.select("id", "vec", "tree", "leaf", bucket)

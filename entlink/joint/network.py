@@ -4,10 +4,6 @@ from __future__ import annotations
 
 import numpy as np
 
-PUBLISHED = {"relation": (1023, 512, 256), "text": (1024, 256), "keep": 0.75, "rate": 1e-5, "decay": 0.9, "every": 1000, "margin": 0.001}
-SMALL = {"relation": (256, 128, 64), "text": (256, 64), "keep": 0.9, "rate": 2e-3, "decay": 0.9, "every": 1000, "margin": 0.1}
-
-
 def elu(x: np.ndarray) -> np.ndarray:
     return np.where(x > 0, x, np.expm1(np.minimum(x, 0)))
 

@@ -7,16 +7,19 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-ENCODERS: dict[str, Callable] = {}
+#: Text encoders by name: objects with ``encode(texts, width)`` that give a matrix, as known to ``Config.encoder``.
+ENCODERS: dict[str, object] = {}
+#: Towers by name: functions of (widths, seed, keep) that give a tower, as known to ``Config.tower``.
 TOWERS: dict[str, Callable] = {}
 
 
-def register_encoder(name: str, factory: Callable) -> None:
+def register_encoder(name: str, encoder: object) -> None:
     """Make a user's text encoder known by name."""
-    ENCODERS[name] = factory
+    ENCODERS[name] = encoder
 
 
 def register_tower(name: str, factory: Callable) -> None:
+    """Make a user's network known by name."""
     TOWERS[name] = factory
 
 

@@ -7,10 +7,11 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from entlink.functions.text import hashed_bag
+from entlink.joint.registry import ENCODERS, TOWERS, register_encoder, register_tower
 from entlink.joint.network import Adam, Sgd, SkewSampler, Tower, UniformSampler, learning_rate, loss_and_gradients
 
 WEIGHTS = "entity_type string, step int, side string, layer int, kind string, rows int, cols int, values array<double>, loss double, rate double"
@@ -33,11 +34,13 @@ class Config:
     sampler: str = "skew"
     seed: int = 1
     checkpoints: tuple[int, ...] = ()
+    text_dim: int = 128  # width of an encoded text attribute in the relation's vector
+    encoder: str = "bag"  # of registry.ENCODERS
+    tower: str = "dense"  # of registry.TOWERS
 
 
 #: The published widths, rate, decay, margin and keep; batch and number of steps are not published.
 PUBLISHED = Config(dim=1024, relation=(512, 256), text=(256,), steps=2400, keep=0.75, rate=1e-5, margin=0.001, checkpoints=(0, 100, 200, 600, 1200, 2400))
-SNAPSHOTS = (0, 100, 200, 600, 1200, 2400)
 
 
 def bags(texts, dim: int) -> np.ndarray:
@@ -46,13 +49,44 @@ def bags(texts, dim: int) -> np.ndarray:
     return out / np.maximum(1e-9, np.linalg.norm(out, axis=1, keepdims=True))
 
 
+class BagEncoder:
+    """The encoder ``bag``: unit hashed bags of words and character trigrams, of any width."""
+
+    def encode(self, texts, width: int) -> np.ndarray:
+        return bags(texts, width)
+
+
+register_encoder("bag", BagEncoder())
+register_tower("dense", lambda widths, seed, keep: Tower(widths, seed, keep))
+
+
+def encoded(text: Column, width: int, encoder: str = "bag") -> Column:
+    """A text by a registered encoder, in one Arrow function; null counts as empty."""
+    model = ENCODERS[encoder]
+
+    @F.pandas_udf("array<float>")
+    def run(texts: pd.Series) -> pd.Series:
+        return pd.Series(list(model.encode(texts.tolist(), width).astype(np.float32)))
+
+    return run(F.coalesce(text, F.lit("")))
+
+
+def mention_vector(config: Config) -> Column:
+    """v_T of a mention (span, text, context): a quarter of the width for the span, a half for the sentence, a quarter for its context."""
+    quarter = config.dim // 4
+    parts = (("span", quarter), ("text", config.dim - 2 * quarter), ("context", quarter))
+    return F.concat(*[encoded(F.col(c), w, config.encoder) for c, w in parts])
+
+
 def fit_towers(r: np.ndarray, t: np.ndarray, pairs: np.ndarray, r_inst: np.ndarray, t_inst: np.ndarray, c: Config,
                start: tuple[Tower, Tower] | None = None, popularity: np.ndarray | None = None) -> Iterator[tuple[int, Tower, Tower, float, float]]:
     """Yields (step, relation tower, text tower, loss per pair, rate) at every checkpoint and at the end.
 
-    A batch holds the tuples and mentions of the drawn pairs; all pairs of one instance in it are matches.
+    A batch holds the tuples and mentions of the drawn pairs; all pairs of one instance in it are matches.  A batch
+    without a non-match, which happens where few instances are known, gets the tuples of another instance.
     """
-    gr, gt = start or (Tower((c.dim, *c.relation), c.seed, c.keep), Tower((c.dim, *c.text), c.seed + 1, c.keep))
+    make = TOWERS[c.tower]
+    gr, gt = start or (make((r.shape[1], *c.relation), c.seed, c.keep), make((t.shape[1], *c.text), c.seed + 1, c.keep))
     rng = np.random.default_rng(c.seed)
     opt = (Adam if c.optimizer == "adam" else Sgd)(gr.parameters() + gt.parameters())
     sampler = (SkewSampler if c.sampler == "skew" else UniformSampler)(len(pairs), seed=c.seed)
@@ -66,7 +100,11 @@ def fit_towers(r: np.ndarray, t: np.ndarray, pairs: np.ndarray, r_inst: np.ndarr
         ri, ti = np.unique(pick[:, 0]), np.unique(pick[:, 1])
         match = r_inst[ri][:, None] == t_inst[ti][None]
         if match.all():
-            continue
+            others = np.flatnonzero(r_inst != r_inst[ri[0]])
+            if not len(others):  # a single instance: nothing to tell apart
+                continue
+            ri = np.append(ri, rng.choice(others, min(len(others), c.batch), replace=False))
+            match = r_inst[ri][:, None] == t_inst[ti][None]
         x, y = gr.forward(r[ri], rng), gt.forward(t[ti], rng)
         total, dx, dy = loss_and_gradients(x, y, match, c.margin, c.positive)
         loss, rate = total / len(pick), learning_rate(step, c.rate, c.decay, c.every)
@@ -83,32 +121,37 @@ def _rows(kind: str, step: int, towers: dict[str, Tower], loss: float, rate: flo
     ]
 
 
-def train(tuples: DataFrame, mentions: DataFrame, config: Config, max_rows: int = 20_000) -> DataFrame:
+def train(tuples: DataFrame, mentions: DataFrame, config: Config, max_rows: int = 20_000, start: dict[str, tuple[Tower, Tower]] | None = None) -> DataFrame:
     """Weights of every entity type.
 
-    ``tuples`` has entity_type, tuple_id, instance_id, text; ``mentions`` has entity_type, mention_id,
-    instance_id, text and holds training mentions only.  One task trains a type on at most ``max_rows`` rows of
-    each side, drawn by hash: a documented bound of training, not of linking.
+    ``tuples`` has entity_type, tuple_id, instance_id, vec; ``mentions`` has entity_type, mention_id, instance_id,
+    vec and holds training mentions only.  One task trains a type on at most ``max_rows`` rows of each side: a
+    documented bound of training, not of linking.  Both sides take instances in one order, by hash, and of every
+    instance its first row before any second, so the rows kept match each other at any size of the tables.
+    Towers in ``start`` are trained on: retraining begins with the weights at hand.
     """
-    left = tuples.select("entity_type", F.col("tuple_id").alias("id"), "instance_id", "text", F.lit("tuple").alias("side"))
-    right = mentions.select("entity_type", F.col("mention_id").alias("id"), "instance_id", "text", F.lit("mention").alias("side"))
-    from pyspark.sql import Window
-
-    w = Window.partitionBy("entity_type", "side").orderBy(F.xxhash64("id"), "id")
-    rows = left.unionByName(right).withColumn("n", F.row_number().over(w)).where(F.col("n") <= max_rows).drop("n")
+    left = tuples.select("entity_type", F.col("tuple_id").alias("id"), "instance_id", "vec", F.lit("tuple").alias("side"))
+    right = mentions.select("entity_type", F.col("mention_id").alias("id"), "instance_id", "vec", F.lit("mention").alias("side"))
+    own = Window.partitionBy("entity_type", "side", "instance_id").orderBy(F.xxhash64("id"), "id")
+    some = Window.partitionBy("entity_type", "side").orderBy("turn", F.xxhash64("instance_id"), "instance_id")
+    # Spark keeps the first rows of each group in every task before it shuffles.
+    rows = left.unionByName(right).withColumn("turn", F.row_number().over(own)).where(F.col("turn") <= max_rows)
+    rows = rows.withColumn("n", F.row_number().over(some)).where(F.col("n") <= max_rows).drop("n", "turn")
 
     def learn(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["side", "id"], kind="stable")
         a, b = pdf[pdf.side == "tuple"], pdf[pdf.side == "mention"]
+        if not len(a) or not len(b):
+            return pd.DataFrame(columns=[c.split()[0] for c in WEIGHTS.split(", ")])
         codes = {v: i for i, v in enumerate(sorted(set(a.instance_id) | set(b.instance_id)))}
         ri, ti = a.instance_id.map(codes).to_numpy(int), b.instance_id.map(codes).to_numpy(int)
         first = {}
         for i, inst in enumerate(ri):
             first.setdefault(inst, []).append(i)
         pairs = np.array([(first[inst][j % len(first[inst])], j) for j, inst in enumerate(ti) if inst in first]).reshape(-1, 2)
-        out = []
-        for step, gr, gt, loss, rate in fit_towers(bags(a.text.tolist(), config.dim), bags(b.text.tolist(), config.dim), pairs, ri, ti, config):
-            out += _rows(pdf.entity_type.iloc[0], step, {"relation": gr, "text": gt}, loss, rate)
+        out, kind = [], pdf.entity_type.iloc[0]
+        for step, gr, gt, loss, rate in fit_towers(np.stack(a.vec).astype(float), np.stack(b.vec).astype(float), pairs, ri, ti, config, (start or {}).get(kind)):
+            out += _rows(kind, step, {"relation": gr, "text": gt}, loss, rate)
         return pd.DataFrame(out, columns=[c.split()[0] for c in WEIGHTS.split(", ")])
 
     return rows.groupBy("entity_type").applyInPandas(learn, WEIGHTS)
@@ -127,20 +170,6 @@ def load_tower(weights: DataFrame, entity_type: str, side: str, step: int) -> To
     return tower
 
 
-def embed(spark: SparkSession, text: Column, tower: Tower, dim: int) -> Column:
-    """Unit embeddings of texts: encoder and tower in one Arrow function, weights broadcast once."""
-    shared = spark.sparkContext.broadcast(tower)
-
-    @F.pandas_udf("array<double>")
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        g = shared.value
-        for texts in batches:
-            e = g.forward(bags(texts.tolist(), dim))
-            yield pd.Series(list(e / np.maximum(1e-12, np.linalg.norm(e, axis=1, keepdims=True))))
-
-    return run(F.coalesce(text, F.lit("")))
-
-
 def partial_gradients(frame: DataFrame, towers: tuple[Tower, Tower], config: Config) -> tuple[float, list[np.ndarray]]:
     """Sum of loss gradients over partitions, each a batch of its own: one step of data-parallel training.
 
@@ -172,7 +201,8 @@ def partial_gradients(frame: DataFrame, towers: tuple[Tower, Tower], config: Con
 def train_distributed(frame: DataFrame, config: Config, steps: int) -> tuple[tuple[Tower, Tower], list[float]]:
     """Synchronous data-parallel training of one large type: the driver holds weights, tasks hold rows."""
     c = replace(config, keep=1.0)
-    towers = Tower((c.dim, *c.relation), c.seed), Tower((c.dim, *c.text), c.seed + 1)
+    one = frame.select(F.size("r_vec").alias("r"), F.size("t_vec").alias("t")).first()
+    towers = Tower((one.r if one else c.dim, *c.relation), c.seed), Tower((one.t if one else c.dim, *c.text), c.seed + 1)
     opt, losses = Adam(towers[0].parameters() + towers[1].parameters()), []
     n = max(1, frame.count())
     for step in range(steps):

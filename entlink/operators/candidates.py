@@ -8,10 +8,11 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from entlink.functions.text import tokens
+from entlink.functions.text import h, tokens
+from entlink.operators.ordering import ranked
 
 
 def equal(names: DataFrame, texts: DataFrame) -> DataFrame:
@@ -20,26 +21,92 @@ def equal(names: DataFrame, texts: DataFrame) -> DataFrame:
     return names.select(F.col("id").alias("name_id"), key.alias("k")).join(texts.select(F.col("id").alias("text_id"), key.alias("k")), "k").select("name_id", "text_id")
 
 
+EDGE = 3  # characters of cut tokens that serve as keys
+
+
 def contained(names: DataFrame, texts: DataFrame) -> DataFrame:
-    """``(name_id, text_id)`` where the whole name occurs in the text.
+    """``(name_id, text_id)`` where the whole name occurs in the text; inputs are (id, text).
 
-    The join key is the name's rarest inner token in the texts; a name's first and last token may be cut in
-    the text, so only tokens between them are keys, and names without such a token join on bare containment.
+    A name's first and last token may be part of longer ones in the text, so keys are what must stand there whole:
+    the rarest of the tokens between them; for two tokens the end of the first with the beginning of the second; for
+    one token the words of the texts that hold it, found by their runs of letters; for names without letters or digits
+    their first character.  An empty name occurs nowhere.
     """
-    inner = F.array_distinct(F.slice(tokens(F.col("text")), 2, F.greatest(F.size(tokens(F.col("text"))) - 2, F.lit(0))))
-    name_tokens = names.select("id", F.explode(inner).alias("token"))
-    text_tokens = texts.select("id", F.explode(F.array_distinct(tokens(F.col("text")))).alias("token"))
-    df = text_tokens.join(name_tokens.select("token").distinct(), "token", "left_semi").groupBy("token").agg(F.count("*").alias("df"))
-    rarest = name_tokens.join(df, "token").withColumn("n", F.row_number().over(Window.partitionBy("id").orderBy("df", "token"))).where("n = 1")
-    keys = rarest.select(F.col("id").alias("name_id"), "token")
-    hits = keys.join(text_tokens.withColumnRenamed("id", "text_id"), "token").select("name_id", "text_id")
-    whole = hits.join(names.select(F.col("id").alias("name_id"), F.col("text").alias("name")), "name_id").join(
-        texts.select(F.col("id").alias("text_id"), "text"), "text_id"
-    )
-    found = whole.where(F.contains("text", "name")).select("name_id", "text_id")
-    short = names.where(F.size(inner) == 0).select(F.col("id").alias("name_id"), F.col("text").alias("name"))
-    loose = short.join(texts.select(F.col("id").alias("text_id"), "text"), F.contains("text", "name")).select("name_id", "text_id")
-    return found.unionByName(loose)
+    t = tokens(F.col("text"))
+    named = names.where(F.length("text") > 0).select(F.col("id").alias("name_id"), F.col("text").alias("name"), t.alias("t"))
+    read = texts.select(F.col("id").alias("text_id"), t.alias("t"))
+    words = read.select("text_id", F.explode(F.array_distinct("t")).alias("token"))
+    keys = [
+        _by_inner_token(named.where(F.size("t") > 2), words),
+        _by_adjacent_ends(named.where(F.size("t") == 2), read),
+        _by_word_part(named.where(F.size("t") == 1), words),
+        _by_character(named.where(F.size("t") == 0), texts),
+    ]
+    hits = reduce(DataFrame.unionByName, keys).distinct()
+    whole = hits.join(named.select("name_id", "name"), "name_id").join(texts.select(F.col("id").alias("text_id"), "text"), "text_id")
+    return whole.where(F.contains("text", "name")).select("name_id", "text_id")
+
+
+def _by_inner_token(named: DataFrame, words: DataFrame) -> DataFrame:
+    inner = named.select("name_id", F.explode(F.array_distinct(F.slice("t", F.lit(2), F.greatest(F.size("t") - 2, F.lit(0))))).alias("token"))
+    return _rarest(inner, words).join(words, "token").select("name_id", "text_id")
+
+
+def _rarest(name_tokens: DataFrame, words: DataFrame) -> DataFrame:
+    """``(name_id, token)``: the token of each name that stands in the fewest texts, of equals the first by spelling."""
+    df = words.join(name_tokens.select("token").distinct(), "token", "left_semi").groupBy("token").agg(F.count("*").alias("df"))
+    best = F.row_number().over(Window.partitionBy("name_id").orderBy("df", "token"))
+    return name_tokens.join(df, "token").withColumn("n", best).where("n = 1").select("name_id", "token")
+
+
+def _by_adjacent_ends(named: DataFrame, read: DataFrame) -> DataFrame:
+    ends = lambda left, right, a, b: F.concat_ws(" ", F.lit(f"{a}{b}"), F.substring(left, -a, a), F.substring(right, 1, b))
+    sides = [F.least(F.length(F.get("t", F.lit(i))), F.lit(EDGE)) for i in (0, 1)]
+    out = None
+    for a in range(1, EDGE + 1):
+        for b in range(1, EDGE + 1):
+            # Names whose tokens have fewer characters than the edge are keyed by as many as they have.
+            own = named.where((sides[0] == a) & (sides[1] == b)).select("name_id", ends(F.get("t", F.lit(0)), F.get("t", F.lit(1)), a, b).alias("key"))
+            out = own if out is None else out.unionByName(own)
+    forms = [(a, b) for a in range(1, EDGE + 1) for b in range(1, EDGE + 1)]
+    pairs = lambda a, b: F.transform(F.sequence(F.lit(1), F.size("t") - 1), lambda i: ends(F.get("t", i - 1), F.get("t", i), a, b))
+    wanted = {(r.a, r.b) for r in named.select(sides[0].alias("a"), sides[1].alias("b")).distinct().collect()}  # nine at most
+    if not wanted:
+        return named.select("name_id", F.lit(None).cast(read.schema["text_id"].dataType).alias("text_id")).where("false")
+    every = F.array_distinct(F.concat(*[pairs(a, b) for a, b in forms if (a, b) in wanted]))
+    seen = read.where(F.size("t") > 1).select("text_id", F.explode(every).alias("key"))
+    return out.join(seen, "key").select("name_id", "text_id")
+
+
+def _grams(word) -> Column:
+    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.length(word) - EDGE + 1, F.lit(1))), lambda i: F.substring(word, i, F.lit(EDGE))))
+
+
+def _by_word_part(named: DataFrame, words: DataFrame) -> DataFrame:
+    one = named.select("name_id", F.get("t", F.lit(0)).alias("part"))
+    vocabulary = words.select("token").distinct()
+    long = one.where(F.length("part") >= EDGE).withColumn("gram", F.substring("part", 1, EDGE))
+    grams = vocabulary.select("token", F.explode(_grams(F.col("token"))).alias("gram"))
+    short = one.where(F.length("part") < EDGE).withColumn("gram", F.col("part"))
+    parts = lambda n: F.transform(F.sequence(F.lit(1), F.length("token")), lambda i: F.substring("token", i, F.lit(n)))
+    pieces = F.array_distinct(F.flatten(F.array(*[parts(n) for n in range(1, EDGE)])))
+    small = vocabulary.select("token", F.explode(pieces).alias("gram"))
+    found = long.join(grams, "gram").unionByName(short.join(small, "gram")).where(F.contains("token", "part"))
+    return found.select("name_id", "token").distinct().join(words, "token").select("name_id", "text_id")
+
+
+def _by_character(named: DataFrame, texts: DataFrame) -> DataFrame:
+    signs = F.array_distinct(F.split(F.regexp_replace(F.coalesce("text", F.lit("")), r"[\p{L}\p{N}]", ""), ""))
+    seen = texts.select(F.col("id").alias("text_id"), F.explode(signs).alias("sign")).where("sign != ''")
+    return named.select("name_id", F.substring("name", 1, 1).alias("sign")).join(seen, "sign").select("name_id", "text_id")
+
+
+def blocks(names: DataFrame, texts: DataFrame) -> DataFrame:
+    """``(name_id, text_id)`` of each name and the texts that hold its rarest word: a name's block."""
+    t = F.array_distinct(tokens(F.col("text")))
+    words = texts.select(F.col("id").alias("text_id"), F.explode(t).alias("token"))
+    own = names.select(F.col("id").alias("name_id"), F.explode(t).alias("token"))
+    return _rarest(own, words).join(words, "token").select("name_id", "text_id")
 
 
 def shared_word(names: DataFrame, texts: DataFrame, min_overlap: int = 1, max_df: int | None = None) -> DataFrame:
@@ -74,10 +141,8 @@ def union_of(pools: dict[str, DataFrame]) -> DataFrame:
 
 def non_matches(names: DataFrame, texts: DataFrame, gold: DataFrame, n_per: int = 2) -> DataFrame:
     """Negatives for each name: the texts whose hash follows the name's in hash order, unless gold."""
-    from entlink.functions.text import h
-
-    total = texts.count()
-    order = texts.select(F.col("id").alias("text_id"), F.row_number().over(Window.orderBy(h(F.col("id").cast("string")), "id")).alias("at"))
+    hashed = texts.select(F.col("id").alias("text_id"), h(F.col("id").cast("string")).alias("hash"))
+    order, total = ranked(hashed, ["hash", "text_id"], "at", "negatives")
     picks = names.select(F.col("id").alias("name_id"), F.explode(F.sequence(F.lit(1), F.lit(n_per))).alias("i"))
-    picks = picks.withColumn("at", (h(F.concat(F.col("name_id").cast("string"), F.lit("#"), F.col("i").cast("string"))) % total + 1).cast("int"))
+    picks = picks.withColumn("at", h(F.concat(F.col("name_id").cast("string"), F.lit("#"), F.col("i").cast("string"))) % max(1, total))
     return picks.join(order, "at").select("name_id", "text_id").distinct().join(gold, ["name_id", "text_id"], "left_anti")

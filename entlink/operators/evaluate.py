@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from entlink.operators.ordering import ranked, sums_before
+
 KS = (1, 5, 10)
 
 
@@ -52,9 +54,12 @@ def profile(tuples: DataFrame, columns: list[str], instance: str, mentions: Data
 def skew(gold: DataFrame, item: str) -> DataFrame:
     """Items by popularity with their rank and the share that they and all more popular ones hold."""
     counts = gold.groupBy(item).agg(F.count("*").alias("n"))
-    w = Window.orderBy(F.desc("n"), item)
-    total = F.sum("n").over(Window.partitionBy(F.lit(1)))
-    return counts.select(item, "n", F.row_number().over(w).alias("rank"), F.round(F.sum("n").over(w.rowsBetween(Window.unboundedPreceding, 0)) / total, 6).alias("share"))
+    order = [F.desc("n"), F.col(item).asc_nulls_first()]
+    placed, _ = ranked(counts, order, "rank", "skew")
+    before = sums_before(placed, ["rank"], "n", "before", "skew-sums")
+    total = counts.agg(F.sum("n").alias("total"))  # one row
+    share = F.round((F.col("before") + F.col("n")) / F.col("total"), 6)
+    return before.crossJoin(F.broadcast(total)).select(item, "n", (F.col("rank") + 1).cast("int").alias("rank"), share.alias("share"))
 
 
 def ann_recall(approx: DataFrame, exact: DataFrame) -> DataFrame:
@@ -77,7 +82,11 @@ def separation(scores: DataFrame, margin: float) -> DataFrame:
 
 def drift(old: DataFrame, new: DataFrame, column: str) -> DataFrame:
     """Total variation between the distributions of a column in two versions of a table."""
-    share = lambda df, name: df.groupBy(column).agg(F.count("*").alias("n")).select(column, (F.col("n") / F.sum("n").over(Window.partitionBy(F.lit(1)))).alias(name))
+
+    def share(df: DataFrame, name: str) -> DataFrame:
+        total = df.agg(F.count("*").alias("total"))  # one row
+        return df.groupBy(column).agg(F.count("*").alias("n")).crossJoin(F.broadcast(total)).select(column, (F.col("n") / F.col("total")).alias(name))
+
     both = share(old, "p").join(share(new, "q"), column, "full")
     return both.agg(F.round(F.sum(F.abs(F.coalesce("p", F.lit(0.0)) - F.coalesce("q", F.lit(0.0)))) / 2, 6).alias("total_variation"))
 

@@ -40,8 +40,7 @@ def single_positive_loss(scores: DataFrame, side: str, margin: float) -> DataFra
 
 def sampler_weights(counts: DataFrame, power: float = 1.0, omit_above: float = 4.0) -> DataFrame:
     """Weight of every true pair by how often it was seen; pairs seen far more than the mean are left out."""
-    mean = F.avg("seen").over(Window.partitionBy(F.lit(1)))
-    rows = counts.withColumn("mean_seen", mean)
+    rows = counts.crossJoin(F.broadcast(counts.agg(F.avg("seen").alias("mean_seen"))))  # one row
     return rows.where(F.col("seen") <= omit_above * F.col("mean_seen") + 1).withColumn("weight", F.pow(1.0 + F.col("seen"), F.lit(-power))).drop("mean_seen")
 
 

@@ -12,58 +12,94 @@ from pyspark.sql import functions as F
 
 from entlink.ann.exact import grouped_knn
 from entlink.joint.network import Tower
-from entlink.joint.train import Config, bags, load_tower, train
+from entlink.joint.train import Config, encoded, load_tower, mention_vector, train
 from entlink.operators.evaluate import hit_at_k
-from entlink.sources.mentions import TYPE_NAMES, entity_type, with_split
+from entlink.operators.vectorize import signature
+from entlink.sources.mentions import TYPE_NAMES, entity_type, relations, with_split
+from entlink.spec import BY_NAME
 from entlink.storage import materialize
 
 
-def entity_frames(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = TYPE_NAMES) -> tuple[DataFrame, DataFrame]:
-    """Tuples and split mentions of several types, each marked with its type."""
-    both = [entity_type(spark, sf_dir, n) for n in types]
-    cols = ["mention_id", "tuple_id", "instance_id", "channel", "text"]
-    tuples = reduce(DataFrame.unionByName, [t.select(F.lit(n).alias("entity_type"), "tuple_id", "instance_id", "text") for n, (t, _) in zip(types, both)])
-    mentions = reduce(DataFrame.unionByName, [m.select(F.lit(n).alias("entity_type"), *cols) for n, (_, m) in zip(types, both)])
-    return materialize(tuples, "tuples"), materialize(with_split(mentions), "mentions")
+def relation_vectors(spark: SparkSession, sf_dir: str, name: str, config: Config, depth: int = 3, tables: dict[str, DataFrame] | None = None) -> DataFrame:
+    """``(tuple_id, vec)``: the typed blocks and foreign-key sums of a type's relation, side by side."""
+    encode = lambda column, width: encoded(column, width, config.encoder)
+    found, _ = signature(tables or relations(spark, sf_dir), BY_NAME[name], config.text_dim, depth, encode=encode)
+    return found.select(F.col("key").cast("string").alias("tuple_id"), F.col("v_r").cast("array<float>").alias("vec"))
 
 
-def embedded(df: DataFrame, towers: dict[str, Tower], dim: int) -> DataFrame:
-    """Add ``vec``: every text by its type's tower, or the bare encoding where there is none."""
+def with_inputs(tuples: DataFrame, mentions: DataFrame, vectors: DataFrame | None, config: Config) -> tuple[DataFrame, DataFrame]:
+    """Add ``vec``, what the towers read: relation vectors against span, sentence and context, or without
+    ``vectors`` bags of both texts in one space."""
+    if vectors is None:
+        text = encoded(F.col("text"), config.dim, config.encoder)
+        return tuples.withColumn("vec", text), mentions.withColumn("vec", text)
+    return tuples.join(vectors, "tuple_id"), mentions.withColumn("vec", mention_vector(config))
+
+
+def entity_frames(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = TYPE_NAMES, config: Config = Config(), inputs: str = "signature") -> tuple[DataFrame, DataFrame]:  # noqa: B008
+    """Tuples and split mentions of several types, each marked with its type, with what the towers read.
+
+    ``inputs`` is ``signature`` (relation vectors), ``attributes`` (without foreign keys) or ``string`` (bags of texts).
+    """
+    cols, tables = ["mention_id", "tuple_id", "instance_id", "channel", "text"], relations(spark, sf_dir)
+    left, right = [], []
+    for n in types:
+        t, m = entity_type(spark, sf_dir, n)
+        vectors = None if inputs == "string" else relation_vectors(spark, sf_dir, n, config, 0 if inputs == "attributes" else 3, tables)
+        t, m = with_inputs(t, m, vectors, config)
+        left.append(t.select(F.lit(n).alias("entity_type"), "tuple_id", "instance_id", "text", "vec"))
+        right.append(m.select(F.lit(n).alias("entity_type"), *cols, "vec"))
+    return materialize(reduce(DataFrame.unionByName, left), "tuples"), materialize(with_split(reduce(DataFrame.unionByName, right)), "mentions")
+
+
+def embedded(df: DataFrame, towers: dict[str, Tower]) -> DataFrame:
+    """``vec`` passed through the type's tower; as it is where there is none."""
     shared = df.sparkSession.sparkContext.broadcast(towers)
 
     @F.pandas_udf("array<float>")
     def run(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
-        for kinds, texts in batches:
-            x = bags(texts.tolist(), dim)
-            out = np.empty(len(x), object)
+        for kinds, vecs in batches:
+            out = vecs.to_numpy(copy=True)
             for kind in kinds.unique():
-                own = np.flatnonzero((kinds == kind).to_numpy())
                 tower = shared.value.get(kind)
-                e = tower.forward(x[own]) if tower is not None else x[own]
-                for i, v in zip(own, e):
-                    out[i] = v.astype(np.float32)
+                own = np.flatnonzero((kinds == kind).to_numpy())
+                if tower is not None:
+                    for i, v in zip(own, tower.forward(np.stack(out[own]).astype(float)).astype(np.float32)):
+                        out[i] = v
             yield pd.Series(out)
 
-    return df.withColumn("vec", run("entity_type", F.coalesce("text", F.lit(""))))
+    return df.withColumn("vec", run("entity_type", "vec"))
 
 
-def trained(tuples: DataFrame, mentions: DataFrame, config: Config) -> DataFrame:
-    """Weights from training mentions; tuples of unseen instances take no part."""
+def trained(tuples: DataFrame, mentions: DataFrame, config: Config, start: DataFrame | None = None) -> DataFrame:
+    """Weights from training mentions; tuples of unseen instances take no part.  ``start`` are weights to begin with."""
     seen = mentions.where("split = 'train'")
     known = tuples.join(seen.select("entity_type", "instance_id").distinct(), ["entity_type", "instance_id"], "left_semi")
-    return materialize(train(known, seen, config), "weights")
+    begin = None
+    if start is not None:
+        last = {r.entity_type: r.step for r in start.groupBy("entity_type").agg(F.max("step").alias("step")).collect()}  # one row per type
+        begin = {k: tuple(load_tower(start, k, side, step) for side in ("relation", "text")) for k, step in last.items()}
+    return materialize(train(known, seen, config, start=begin), "weights")
+
 
+def links_of(tuples: DataFrame, mentions: DataFrame, weights: DataFrame | None, config: Config, n: int = 10, by: str = "tuple", metric: str = "cosine",
+             step: int | None = None, pool: str = "split") -> DataFrame:
+    """Ranked links of every type and split, with ``correct``; without weights by what the towers read.
 
-def links_of(tuples: DataFrame, mentions: DataFrame, weights: DataFrame | None, config: Config, n: int = 10, by: str = "tuple", metric: str = "cosine", step: int | None = None) -> DataFrame:
-    """Ranked links of every type and split, with ``correct``; without weights by bare encodings."""
+    ``pool`` tells which mentions a tuple is compared with: those of its ``split``, or ``all`` mentions of the type.
+    """
     types = [r.entity_type for r in tuples.select("entity_type").distinct().collect()]  # one row per type
     step = config.steps if step is None else step
     gr, gt = ({}, {}) if weights is None else ({k: load_tower(weights, k, s, step) for k in types} for s in ("relation", "text"))
-    e_t, e_m = materialize(embedded(tuples, gr, config.dim), "e-tuples"), materialize(embedded(mentions, gt, config.dim), "e-mentions")
-    grp = F.concat_ws("|", "entity_type", "split").alias("grp")
+    e_t, e_m = materialize(embedded(tuples, gr), "e-tuples"), materialize(embedded(mentions, gt), "e-mentions")
     pools = mentions.select("entity_type", "instance_id", "split").distinct()
+    grp = F.concat_ws("|", "entity_type", "split").alias("grp")
     t_rows = e_t.join(pools, ["entity_type", "instance_id"]).select(grp, F.col("tuple_id").alias("id"), "vec")
-    m_rows = e_m.select(grp, F.col("mention_id").alias("id"), "vec")
+    if pool == "all" and by == "tuple":
+        splits = mentions.select("entity_type", "split").distinct()
+        m_rows = e_m.drop("split").join(splits, "entity_type").select(grp, F.col("mention_id").alias("id"), "vec")
+    else:
+        m_rows = e_m.select(grp, F.col("mention_id").alias("id"), "vec")
     queries, base = (t_rows, m_rows) if by == "tuple" else (m_rows, t_rows)
     found = grouped_knn(queries, base, n, metric).withColumn("entity_type", F.split("grp", r"\|")[0]).withColumn("split", F.split("grp", r"\|")[1])
     t_key, m_key = ("query_id", "result_id") if by == "tuple" else ("result_id", "query_id")
@@ -73,7 +109,10 @@ def links_of(tuples: DataFrame, mentions: DataFrame, weights: DataFrame | None,
     return out.withColumn("correct", F.col("t_inst") == F.col("m_inst")).select("entity_type", "split", "query_id", "result_id", "distance", "rank", "channel", "correct")
 
 
-def accuracy_table(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = TYPE_NAMES, config: Config = Config(), **how) -> DataFrame:  # noqa: B008
-    """Hit rates at 1, 5 and 10 of every type over training, test and unseen entities."""
-    tuples, mentions = entity_frames(spark, sf_dir, types)
-    return hit_at_k(links_of(tuples, mentions, trained(tuples, mentions, config), config, **how), ["entity_type", "split"])
+def accuracy_table(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = TYPE_NAMES, config: Config = Config(), pools: tuple[str, ...] = ("split",),  # noqa: B008
+                   inputs: str = "signature") -> DataFrame:
+    """Hit rates at 1, 5 and 10 of every type over training, test and unseen entities, against each pool of mentions."""
+    tuples, mentions = entity_frames(spark, sf_dir, types, config, inputs)
+    weights = trained(tuples, mentions, config)
+    rows = [hit_at_k(links_of(tuples, mentions, weights, config, pool=p), ["entity_type", "split"]).withColumn("pool", F.lit(p)) for p in pools]
+    return reduce(DataFrame.unionByName, rows)

@@ -46,6 +46,11 @@ def spoken_name(name: Column, channel: Column, seed: Column) -> Column:
 
 def verbalized(parts: DataFrame, fanout: int = FANOUT) -> DataFrame:
     """``fanout`` sentences for every part: mention_id, tuple_id, instance_id, channel, text."""
+    return spoken_parts(parts, fanout).drop("span")
+
+
+def spoken_parts(parts: DataFrame, fanout: int = FANOUT) -> DataFrame:
+    """As ``verbalized``, with ``span``, the words of the text that name the part."""
     rows = parts.withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(fanout - 1))))
     key, i = F.col("p_partkey").cast("string"), F.col("i").cast("string")
     seed = F.concat(key, F.lit("#"), i)
@@ -60,7 +65,7 @@ def verbalized(parts: DataFrame, fanout: int = FANOUT) -> DataFrame:
         .when(form == 2, F.concat(F.lit("Among "), kind, F.lit(" goods the "), said, F.lit(" is the pride of "), brand, F.lit(".")))
         .otherwise(F.concat(F.lit("Our shop keeps a "), said, F.lit(". It has size "), size, F.lit(" and was made by "), brand, F.lit(".")))
     )
-    return rows.select(F.col("seed").alias("mention_id"), key.alias("tuple_id"), F.col("p_name").alias("instance_id"), "channel", text.alias("text"))
+    return rows.select(F.col("seed").alias("mention_id"), key.alias("tuple_id"), F.col("p_name").alias("instance_id"), "channel", text.alias("text"), said.alias("span"))
 
 
 def _spoken(rows: DataFrame, key: str, words: list[Column], instance: Column | None = None, fanout: int = FANOUT) -> DataFrame:
@@ -74,7 +79,7 @@ def _spoken(rows: DataFrame, key: str, words: list[Column], instance: Column | N
     )
     return rows.select(
         F.concat(k, F.lit("#"), F.col("_i").cast("string")).alias("mention_id"), k.alias("tuple_id"), (instance if instance is not None else k).alias("instance_id"),
-        F.lit("clean").alias("channel"), text.alias("text"),
+        F.lit("clean").alias("channel"), text.alias("text"), words[0].alias("span"),
     )
 
 
@@ -90,14 +95,44 @@ def paragraphs(pages: DataFrame) -> DataFrame:
     return parts.select("page_id", "no", clean.alias("text")).where("text != ''")
 
 
+def relations(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    """The relations that the entity types vectorise, by the table names of their specifications."""
+    found = {n: table(spark, sf_dir, n) for n in ("region", "nation", "customer", "supplier", "part", "orders", "benchmark", "documents")}
+    pages = table(spark, sf_dir, "pages")
+    found["pages"] = pages.select("page_id", "url", F.regexp_extract("html", "<title>(.*?)</title>", 1).alias("title"))
+    found["conversations"] = table(spark, sf_dir, "conversations").where("turn = 0")
+    return found
+
+
+def _sentence_mentions(pairs: DataFrame, docs: DataFrame, which) -> DataFrame:
+    """Mentions from single sentences of documents, with their neighbours: pairs has tuple_id, instance_id, doc_id and what ``which`` reads."""
+    some = docs.join(pairs.select("doc_id").distinct(), "doc_id", "left_semi")
+    sents = with_context(sentences(some)).withColumn("text", F.trim("text"))
+    rows = sents.join(pairs, "doc_id").where(which)
+    key = F.concat_ws("#", "tuple_id", F.col("doc_id").cast("string"), F.col("sent_no").cast("string"))
+    return rows.select(key.alias("mention_id"), "tuple_id", "instance_id", F.lit("natural").alias("channel"), "text", F.lit("").alias("span"), "context")
+
+
 def entity_type(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
-    """Tuples (tuple_id, instance_id, text) and mentions (mention_id, tuple_id, instance_id, channel, text) of a type."""
+    """Tuples (tuple_id, instance_id, text) and mentions (mention_id, tuple_id, instance_id, channel, text, span, context) of a type.
+
+    ``span`` holds the words that name the entity, ``text`` the sentence and ``context`` what stands around it.
+    """
+    tuples, mentions = _entity_type(spark, sf_dir, name)
+    if "context" not in mentions.columns:  # what follows the first sentence
+        mentions = mentions.withColumn("context", F.regexp_extract("text", r"^[^.]*\.\s+(.+)$", 1))
+    if "span" not in mentions.columns:
+        mentions = mentions.withColumn("span", F.lit(""))
+    return tuples, mentions
+
+
+def _entity_type(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
     t = lambda n: table(spark, sf_dir, n)
     num = lambda c: F.round(F.col(c)).cast("bigint").cast("string")
     if name in ("product-name", "product"):
         part = t("part")
         inst = F.col("p_name") if name == "product-name" else None
-        mentions = verbalized(part)
+        mentions = spoken_parts(part)
         if inst is None:
             mentions = mentions.withColumn("instance_id", F.col("tuple_id"))
         return _tuples(part, "p_partkey", [F.col("p_name"), F.col("p_brand"), F.lower("p_type"), F.concat(F.lit("size "), F.col("p_size").cast("string"))], inst), mentions
@@ -121,10 +156,11 @@ def entity_type(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame,
         from entlink.operators.candidates import contained
 
         items, docs = t("benchmark"), t("documents")
-        pairs = contained(items.select(F.col("item_id").alias("id"), "text"), docs.select(F.col("doc_id").alias("id"), "text"))
-        found = pairs.join(docs, F.col("text_id") == F.col("doc_id"))
+        found = contained(items.select(F.col("item_id").alias("id"), "text"), docs.select(F.col("doc_id").alias("id"), "text"))
         k = F.col("name_id").cast("string")
-        mentions = found.select(F.concat(k, F.lit("#"), F.col("doc_id").cast("string")).alias("mention_id"), k.alias("tuple_id"), k.alias("instance_id"), F.lit("natural").alias("channel"), "text")
+        pairs = found.join(items, F.col("name_id") == F.col("item_id")).select(k.alias("tuple_id"), k.alias("instance_id"), F.col("text_id").alias("doc_id"), F.col("text").alias("passage"))
+        # The sentences of a document that the passage holds.
+        mentions = _sentence_mentions(pairs, docs, (F.length("text") >= 20) & F.contains("passage", "text"))
         return _tuples(items, "item_id", [F.col("text")]), mentions
     if name == "page":
         pages = t("pages")
@@ -138,8 +174,8 @@ def entity_type(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame,
         root = docs.groupBy(F.md5("text").alias("copy")).agg(F.min("doc_id").alias("root"), F.count("*").alias("n")).where("n > 1")
         rows = docs.withColumn("copy", F.md5("text")).join(root, "copy")
         inst = F.col("root").cast("string")
-        k = F.col("doc_id").cast("string")
-        mentions = rows.where("doc_id > root").select(k.alias("mention_id"), k.alias("tuple_id"), inst.alias("instance_id"), F.lit("natural").alias("channel"), "text")
+        pairs = rows.where("doc_id > root").select(inst.alias("tuple_id"), inst.alias("instance_id"), "doc_id")
+        mentions = _sentence_mentions(pairs, docs, F.col("sent_no") == F.pmod(F.xxhash64("doc_id"), F.lit(3)))
         return _tuples(rows.where("doc_id = root"), "doc_id", [F.col("lang"), F.col("source"), F.col("text")], inst), mentions
     if name == "dialogue":
         turns = t("conversations")

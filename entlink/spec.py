@@ -52,10 +52,12 @@ CUSTOMER = EntitySpec(
 )
 SUPPLIER = EntitySpec("supplier", "supplier", "s_suppkey", "s_suppkey", {"s_name": TEXT, "s_acctbal": NUMBER}, (ForeignKey("s_nationkey", NATION, "n_nationkey"),))
 ORDER = EntitySpec(
-    "order", "orders", "o_orderkey", "o_orderkey", {"o_orderstatus": ONE_HOT, "o_totalprice": NUMBER, "o_orderpriority": ONE_HOT}, (ForeignKey("o_custkey", CUSTOMER, "c_custkey"),)
+    "order", "orders", "o_orderkey", "o_orderkey", {"o_orderkey": TEXT, "o_orderstatus": ONE_HOT, "o_totalprice": NUMBER, "o_orderpriority": ONE_HOT}, (ForeignKey("o_custkey", CUSTOMER, "c_custkey"),)
 )
 PASSAGE = EntitySpec("passage", "benchmark", "item_id", "item_id", {"text": TEXT})
-PAGE = EntitySpec("page", "pages", "page_id", "page_id", {"url": TEXT})
+PAGE = EntitySpec("page", "pages", "page_id", "page_id", {"url": TEXT, "title": TEXT})
 COPIED = EntitySpec("copied-document", "documents", "doc_id", "doc_id", {"text": TEXT, "lang": ONE_HOT, "source": ONE_HOT, "n_chars": NUMBER})
+# The relation of a dialogue holds its first turn; see ``sources.mentions.relations``.
 DIALOGUE = EntitySpec("dialogue", "conversations", "conv_id", "conv_id", {"text": TEXT})
 TYPES = (PART, PRODUCT, CUSTOMER, SUPPLIER, ORDER, NATION, PASSAGE, PAGE, COPIED, DIALOGUE)
+BY_NAME = {s.name: s for s in TYPES}

@@ -8,30 +8,60 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from entlink.ann.exact import exact_knn
-from entlink.functions.text import python_tokens
+from entlink.functions.text import bucket_and_sign, python_tokens
 from entlink.joint.network import Tower
-from entlink.joint.train import bags
+from entlink.joint.registry import ENCODERS
+from entlink.joint.train import Config, encoded
+from entlink.operators.vectorize import Codec, codecs, fk_vector, signature
 from entlink.plans.link import link
-from entlink.spec import EntitySpec
+from entlink.spec import NUMBER, TEXT, EntitySpec
 from entlink.storage import materialize
 
 
-def register_embeddings(spark: SparkSession, spec: EntitySpec, relation: Tower, text: Tower, dim: int) -> tuple[str, str]:
-    """Make ``embed_<type>(column, ...)`` and ``embed_mention_<type>(text)`` known to SQL.
+def register_embeddings(spark: SparkSession, spec: EntitySpec, tables: dict[str, DataFrame], relation: Tower, text: Tower, config: Config) -> tuple[str, str]:
+    """Make ``embed_<type>(attribute, ..., context, ...)`` and ``embed_mention_<type>(span, sentence, context)`` known to SQL.
 
-    The arity of the first follows the attributes of the relation; weights are broadcast once.
+    The first takes the attributes of the relation in declared order, each in its own type, and then for every foreign
+    key the summed vector of what it refers to (column ``context_<column>`` of the view ``<type>_context``; null
+    counts as zeros).  Statistics of the relation's columns and the weights are taken once and broadcast.
     """
-    kind = spec.name.replace("-", "_")
+    kind, model = spec.name.replace("-", "_"), ENCODERS[config.encoder]
+    fitted = codecs(tables[spec.table], spec, config.text_dim)
+    encode = lambda column, width: encoded(column, width, config.encoder)
+    around, widths = tables[spec.table].select(F.col(spec.key).alias("key"), *[F.col(f.column).alias(f"_{f.column}") for f in spec.foreign_keys]), []
+    for fk in spec.foreign_keys:
+        target, layout = signature(tables, fk.target, config.text_dim, encode=encode)
+        widths.append(layout[-1][2] + layout[-1][3])
+        around = fk_vector(around, f"_{fk.column}", target.withColumnRenamed("v_r", "v_fk"), "key", "v_fk", widths[-1], f"context_{fk.column}")
+    around.drop(*[f"_{f.column}" for f in spec.foreign_keys]).createOrReplaceTempView(f"{kind}_context")
     shared = spark.sparkContext.broadcast((relation, text))
 
+    def block(codec: Codec, values: pd.Series) -> np.ndarray:
+        if codec.kind == TEXT:
+            return model.encode(values.astype(object).where(values.notna(), "").astype(str).tolist(), codec.width)
+        if codec.kind == NUMBER:
+            v = pd.to_numeric(values, errors="coerce").to_numpy(float)
+            return np.nan_to_num((v - codec.mean) / codec.dev if codec.dev else np.zeros(len(v)))[:, None]
+        known = {v: i for i, v in enumerate(codec.values)}
+        out = np.zeros((len(values), codec.width))
+        for i, v in enumerate(values):
+            place = None if v is None or v != v else known.get(str(v), len(known) + bucket_and_sign(str(v), codec.shared)[0] if codec.shared else None)
+            if place is not None:
+                out[i, place] = 1.0
+        return out
+
     @F.pandas_udf("array<double>")
     def tuples(*columns: pd.Series) -> pd.Series:
-        joined = pd.concat([c.astype(object).where(c.notna(), "").astype(str) for c in columns], axis=1).agg(" ".join, axis=1)
-        return pd.Series(list(shared.value[0].forward(bags(joined.tolist(), dim))))
+        blocks = [block(c, v) for c, v in zip(fitted, columns)]
+        for width, vecs in zip(widths, columns[len(fitted) :]):
+            blocks.append(np.array([np.zeros(width) if v is None else np.asarray(v, float) for v in vecs]).reshape(-1, width))
+        return pd.Series(list(shared.value[0].forward(np.concatenate(blocks, axis=1))))
 
     @F.pandas_udf("array<double>")
-    def mentions(texts: pd.Series) -> pd.Series:
-        return pd.Series(list(shared.value[1].forward(bags(texts.fillna("").tolist(), dim))))
+    def mentions(span: pd.Series, sentence: pd.Series, context: pd.Series) -> pd.Series:
+        quarter = config.dim // 4
+        parts = ((span, quarter), (sentence, config.dim - 2 * quarter), (context, quarter))
+        return pd.Series(list(shared.value[1].forward(np.concatenate([model.encode(v.fillna("").tolist(), w) for v, w in parts], axis=1))))
 
     names = f"embed_{kind}", f"embed_mention_{kind}"
     spark.udf.register(names[0], tuples)

@@ -85,9 +85,10 @@ def test_training_separates_matches():
 
 def test_weight_table_round_trip_and_distributed_steps(spark):
     tuples, mentions = data()
-    t = spark.createDataFrame([("x", str(i), n, s) for i, n, s in tuples], "entity_type string, tuple_id string, instance_id string, text string")
-    m = spark.createDataFrame([("x", str(i), n, s) for i, n, s in mentions], "entity_type string, mention_id string, instance_id string, text string")
     c = Config(steps=5, dim=64, relation=(16, 8), text=(8,))
+    vec = lambda s: bags([s], 64)[0].tolist()
+    t = spark.createDataFrame([("x", str(i), n, vec(s)) for i, n, s in tuples], "entity_type string, tuple_id string, instance_id string, vec array<double>")
+    m = spark.createDataFrame([("x", str(i), n, vec(s)) for i, n, s in mentions], "entity_type string, mention_id string, instance_id string, vec array<double>")
     w = train(t, m, c)
     assert load_tower(w, "x", "relation", 5).forward(np.ones((2, 64))).shape == (2, 8)
     by = {n: s for _, n, s in tuples}

@@ -4,18 +4,32 @@ from pyspark.sql import functions as F
 
 from entlink import sqlsurface as q
 from entlink.joint.network import Tower
-from entlink.spec import PART
+from entlink.joint.train import Config, encoded
+from entlink.operators.vectorize import signature
+from entlink.spec import CUSTOMER, PART
 
 SF = "/root/testdata/sf0.001"
 
 
-def test_embedding_functions_in_sql(spark):
-    names = q.register_embeddings(spark, PART, Tower((32, 8), 1), Tower((32, 8), 2), 32)
-    assert names == ("embed_product_name", "embed_mention_product_name")
-    spark.read.parquet(f"{SF}/part.parquet").createOrReplaceTempView("t_part")
-    got = spark.sql("SELECT p_partkey, embed_product_name(p_name, p_brand, p_size) AS e, embed_mention_product_name(p_name) AS m FROM t_part").collect()
-    assert len(got) == 200 and all(len(r.e) == 8 and len(r.m) == 8 for r in got)
-    assert spark.sql("SELECT embed_product_name(NULL, 'x', 1) AS e").first().e is not None
+@pytest.mark.parametrize("spec", [PART, CUSTOMER])
+def test_embedding_functions_take_typed_columns(spark, spec):
+    """The SQL function of raw columns gives what the tower makes of the relation's signature."""
+    c = Config(dim=32, text_dim=16)
+    tables = {n: spark.read.parquet(f"{SF}/{n}.parquet") for n in ("part", "customer", "nation", "region")}
+    sig, layout = signature(tables, spec, c.text_dim, encode=lambda col, w: encoded(col, w))
+    width = layout[-1][2] + layout[-1][3]
+    towers = Tower((width, 8), 1), Tower((32, 8), 2)
+    name, said = q.register_embeddings(spark, spec, tables, *towers, c)
+    tables[spec.table].createOrReplaceTempView("t_rel")
+    kind = spec.name.replace("-", "_")
+    args = ", ".join([*spec.attributes, *[f"context_{f.column}" for f in spec.foreign_keys]])
+    got = {r.key: r.e for r in spark.sql(f"SELECT key, {name}({args}) AS e FROM t_rel JOIN {kind}_context ON {spec.key} = key").collect()}
+    want = {r.key: towers[0].forward(np.array([r.v_r], float))[0] for r in sig.collect()}
+    assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], atol=1e-6) for k in want)
+    nulls = ", ".join(f"CAST(NULL AS {t.simpleString()})" for t in [tables[spec.table].schema[a].dataType for a in spec.attributes])
+    nulls += "".join(", CAST(NULL AS array<double>)" for _ in spec.foreign_keys)
+    assert len(spark.sql(f"SELECT {name}({nulls}) AS e").first().e) == 8
+    assert len(spark.sql(f"SELECT {said}('red rod', 'a red rod.', NULL) AS e").first().e) == 8
 
 
 def test_link_predicate(spark):
