@@ -16,11 +16,12 @@ import pickle
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from entlink.ann.exact import BLOCK, linked_frame, nearest_positions
-from entlink.operators.rank import top_n
+from entlink.ann.exact import BLOCK, nearest_positions
 from entlink.storage import materialize
 
 SAMPLE = 50_000
@@ -36,7 +37,7 @@ class Tree:
         self.root = self._grow(points, np.arange(len(points)), leaf_size, rng, 0)
         self.normal = np.array(self.normal).reshape(-1, points.shape[1])
         self.offset, self.kids = np.array(self.offset), np.array(self.kids, int).reshape(-1, 2)
-        self.sizes = np.array(self.sizes)
+        self.sizes = np.array(self.sizes)  # of the sample
 
     def _leaf(self, n: int) -> int:
         self.sizes.append(n)
@@ -75,22 +76,39 @@ class Tree:
 
         The cost of a leaf is the largest margin of the planes that its path crosses against the row's own side.
         """
-        cost = np.zeros((len(x), len(self.sizes)))
+        cost = np.zeros((len(self.sizes), len(x)), np.float32)
         if len(self.normal):
-            margin = x @ self.normal.T + self.offset
-            reach = [(self.root, np.zeros(len(x)))]
+            margin = (self.normal @ x.T + self.offset[:, None]).astype(np.float32)
+            reach = [(self.root, np.zeros(len(x), np.float32))]
             while reach:
                 node, so_far = reach.pop()
                 if node < 0:
-                    cost[:, -node - 1] = so_far
+                    cost[-node - 1] = so_far
                     continue
-                m = margin[:, node]
-                reach += [(self.kids[node, 0], np.where(m > 0, np.maximum(so_far, m), so_far)), (self.kids[node, 1], np.where(m > 0, so_far, np.maximum(so_far, -m)))]
-        order = np.argsort(cost, axis=1, kind="stable")
-        held = np.cumsum(np.maximum(1, self.sizes)[order], axis=1)
-        taken = np.concatenate((np.ones((len(x), 1), bool), held[:, :-1] < budget), axis=1)
-        rows, place = np.nonzero(taken)
-        return rows, order[rows, place]
+                m = margin[node]
+                # Where the side is the row's own the margin has the other sign and changes nothing.
+                reach += [(self.kids[node, 0], np.maximum(so_far, m)), (self.kids[node, 1], np.maximum(so_far, -m))]
+        cost, sizes = np.ascontiguousarray(cost.T), np.maximum(1, self.sizes)
+        # Enough leaves for the budget in nearly all cases; rows that need more are sorted whole.
+        some = min(len(sizes), 4 + int(3 * budget / sizes.mean()))
+        rows, leaves, rest = _first(cost, sizes, budget, some)
+        if len(rest):
+            more, own, _ = _first(cost[rest], sizes, budget, len(sizes))
+            rows, leaves = np.concatenate((rows, rest[more])), np.concatenate((leaves, own))
+            order = np.argsort(rows, kind="stable")
+            rows, leaves = rows[order], leaves[order]
+        return rows, leaves
+
+
+def _first(cost: np.ndarray, sizes: np.ndarray, budget: int, some: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows and their cheapest leaves until these hold the budget, and the rows for which ``some`` leaves are too few."""
+    part = np.argpartition(cost, some - 1, axis=1)[:, :some] if some < cost.shape[1] else np.broadcast_to(np.arange(cost.shape[1]), cost.shape)
+    part = np.take_along_axis(part, np.argsort(np.take_along_axis(cost, part, axis=1), axis=1, kind="stable"), axis=1)
+    held = np.cumsum(sizes[part], axis=1)
+    few = (held[:, -1] < budget) & (some < cost.shape[1])
+    taken = np.concatenate((np.ones((len(cost), 1), bool), held[:, :-1] < budget), axis=1) & ~few[:, None]
+    rows, place = np.nonzero(taken)
+    return rows, part[rows, place], np.flatnonzero(few)
 
 
 def packed(vec: Column) -> Column:
@@ -103,8 +121,18 @@ def packed(vec: Column) -> Column:
     return run(vec)
 
 
-def matrix(raw: pd.Series) -> np.ndarray:
-    return np.frombuffer(b"".join(raw), "<f4").reshape(len(raw), -1).astype(float) if len(raw) else np.zeros((0, 0))
+def matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
+    """Packed vectors of one length as a matrix, straight from their buffer."""
+    raw = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    if not len(raw):
+        return np.zeros((0, 0))
+    ends = np.frombuffer(raw.buffers()[1], np.int32)[raw.offset : raw.offset + len(raw) + 1]
+    data = np.frombuffer(raw.buffers()[2], np.uint8)[ends[0] : ends[-1]]
+    return data.view("<f4").reshape(len(raw), -1).astype(float)
+
+
+def _whole(column: pa.Array | pa.ChunkedArray) -> pa.Array:
+    return column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
 
 
 class Forest:
@@ -125,15 +153,15 @@ class Forest:
 
     def assign(self, base: DataFrame) -> DataFrame:
         """``(tree, leaf, id, vec)`` of every base row in every tree, vectors packed."""
-        trees = base.sparkSession.sparkContext.broadcast(self.trees)
+        shared, kind = base.sparkSession.sparkContext.broadcast(self.trees), dict(base.dtypes)["id"]
 
-        @F.pandas_udf("array<int>")
-        def leaf_ids(vecs: pd.Series) -> pd.Series:
-            x = matrix(vecs)
-            return pd.Series(list(np.array([t.leaf_of(x) for t in trees.value], np.int32).T.reshape(len(x), -1)))
+        def run(batches):
+            for b in batches:
+                x = matrix(b.column(1))
+                for i, t in enumerate(shared.value if len(x) else ()):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), i, np.int32)), pa.array(t.leaf_of(x).astype(np.int32)), b.column(0), b.column(1)], ["tree", "leaf", "id", "vec"])
 
-        slim = base.select("id", packed(F.col("vec")).alias("vec"))
-        return slim.select("id", "vec", F.posexplode(leaf_ids("vec")).alias("tree", "leaf"))
+        return base.select("id", packed(F.col("vec")).alias("vec")).mapInArrow(run, f"tree int, leaf int, id {kind}, vec binary")
 
     def stored(self) -> DataFrame:
         """Write the leaves to the shared folder and use those from now on."""
@@ -142,47 +170,52 @@ class Forest:
 
     def query(self, queries: DataFrame, n: int = 10, budget: int = 400, metric: str = "cosine") -> DataFrame:
         """``(query_id, result_id, distance, rank)`` by visiting about ``budget`` candidates in every tree."""
-        trees, share = queries.sparkSession.sparkContext.broadcast(self.trees), max(1, int(budget / self.scale))
+        shared, share = queries.sparkSession.sparkContext.broadcast(self.trees), max(1, int(budget / self.scale))
         counts = [len(t.sizes) for t in self.trees]
         mean = self.scale * max((t.sizes.sum() / len(t.sizes) for t in self.trees), default=1.0)
         buckets = max(1, int(max(counts, default=1) * mean / ROWS_AT_ONCE))
-
-        @F.pandas_udf("array<struct<tree:int,leaf:int>>")
-        def probes(vecs: pd.Series) -> pd.Series:
-            x, found = matrix(vecs), [[] for _ in range(len(vecs))]
-            for at in range(0, len(x), BLOCK):
-                for i, t in enumerate(trees.value):
-                    for row, leaf in zip(*(v.tolist() for v in t.leaves_of(x[at : at + BLOCK], share))):
-                        found[at + row].append({"tree": i, "leaf": leaf})
-            return pd.Series(found)
-
         kind = dict(self.leaves.dtypes)["id"], dict(queries.dtypes)["id"]
-        slim = queries.select("id", packed(F.col("vec")).alias("vec"))
-        asked = slim.select("id", "vec", F.explode(probes("vec")).alias("p")).select("id", "vec", F.col("p.tree").alias("tree"), F.col("p.leaf").alias("leaf"))
 
-        def best(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-            """The best ``n`` within the leaves of one bucket: a leaf holds few rows, and no others can matter."""
-            left, right = left.sort_values("leaf", kind="stable"), right.sort_values(["leaf", "id"], kind="stable")
+        def probe(batches):
+            for b in batches:
+                for at in range(0, b.num_rows, BLOCK):
+                    part = b.slice(at, BLOCK)
+                    x = matrix(part.column(1))
+                    for i, t in enumerate(shared.value):
+                        rows, leaves = t.leaves_of(x, share)
+                        rows = pa.array(rows)
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), i, np.int32)), pa.array(leaves.astype(np.int32)), part.column(0).take(rows), part.column(1).take(rows)], ["tree", "leaf", "id", "vec"])
+
+        def best(left: pa.Table, right: pa.Table) -> pa.Table:
+            """The best ``n`` within the leaves of one bucket, in one row for a query and leaf: a leaf holds few rows, and no others can matter."""
+            left, right = left.take(pc.sort_indices(left, [("leaf", "ascending")])), right.take(pc.sort_indices(right, [("leaf", "ascending"), ("id", "ascending")]))
+            q, b = matrix(left["vec"]), matrix(right["vec"])
+            ql, bl = left["leaf"].to_numpy(), right["leaf"].to_numpy()
             found = [(np.zeros(0, int), np.zeros(0, int), np.zeros(0))]
-            if len(left) and len(right):
-                q, b = matrix(left.vec), matrix(right.vec)
-                ql, bl = left.leaf.to_numpy(), right.leaf.to_numpy()
-                for leaf in np.intersect1d(ql, bl):
-                    (i, j), (k, m) = (np.searchsorted(x, [leaf, leaf + 1]) for x in (ql, bl))
-                    for at in range(i, j, BLOCK):
-                        r, c, d = nearest_positions(q[at : min(j, at + BLOCK)], b[k:m], n, metric)
-                        found.append((r + at, c + k, d))
-            return linked_frame(left, right, *(np.concatenate(x) for x in zip(*found)))
+            for leaf in np.intersect1d(ql, bl):
+                (i, j), (k, m) = (np.searchsorted(x, [leaf, leaf + 1]) for x in (ql, bl))
+                for at in range(i, j, BLOCK):
+                    r, c, d = nearest_positions(q[at : min(j, at + BLOCK)], b[k:m], n, metric)
+                    found.append((r + at, c + k, d))
+            r, c, d = (np.concatenate(x) for x in zip(*found))
+            cuts = np.flatnonzero(np.concatenate(([True], r[1:] != r[:-1]))) if len(r) else np.zeros(0, int)
+            offsets = pa.array(np.append(cuts, len(r)).astype(np.int32))
+            results = pa.ListArray.from_arrays(offsets, _whole(right["id"]).take(pa.array(c)))
+            return pa.table({"query_id": _whole(left["id"]).take(pa.array(r[cuts])), "results": results, "distances": pa.ListArray.from_arrays(offsets, pa.array(d))})
 
         keys = ["tree", "bucket"]
         bucket = (F.col("leaf") % buckets).alias("bucket")
+        slim = queries.select(F.col("id").alias("id"), packed(F.col("vec")).alias("vec"))
+        asked = slim.mapInArrow(probe, f"tree int, leaf int, id {kind[1]}, vec binary").select("*", bucket)
         # New names for old columns: queries and leaves may come from the same frame.
-        asked = asked.select("id", "vec", "tree", "leaf", bucket)
-        held = self.leaves.select(*[F.col(c).alias(c) for c in ("id", "vec", "tree", "leaf")]).select("*", bucket)
-        scored = asked.groupBy(*keys).cogroup(held.groupBy(*keys)).applyInPandas(
-            best, f"query_id {kind[1]}, result_id {kind[0]}, distance double"
-        )
-        return top_n(scored.groupBy("query_id", "result_id").agg(F.min("distance").alias("distance")), "query_id", "result_id", n)
+        held = self.leaves.select(*[F.col(c).alias(c) for c in ("tree", "leaf", "id", "vec")]).select("*", bucket)
+        scored = asked.groupBy(*keys).cogroup(held.groupBy(*keys)).applyInArrow(best, f"query_id {kind[1]}, results array<{kind[0]}>, distances array<double>")
+        # One row for each query, with trees * leaves * n links at most; equal ones stand side by side once sorted.
+        each = scored.select("query_id", F.arrays_zip(F.col("distances").alias("distance"), F.col("results").alias("result_id")).alias("links"))
+        merged = each.groupBy("query_id").agg(F.array_sort(F.flatten(F.collect_list("links"))).alias("links"))
+        once = F.filter("links", lambda x, i: (i == 0) | (x["result_id"] != F.get("links", i - 1)["result_id"]))
+        top = merged.select("query_id", F.posexplode(F.slice(once, 1, n)).alias("at", "link"))
+        return top.select("query_id", "link.result_id", "link.distance", (F.col("at") + 1).alias("rank"))
 
     def upsert(self, rows: DataFrame) -> Forest:
         """The forest with rows added or replaced, by the planes it has."""

@@ -19,7 +19,7 @@ from entlink.sources.mentions import entity_type
 from entlink.storage import materialize
 
 
-def bootstrap(spark: SparkSession, sf_dir: str, rounds: int = 2, config: Config = Config(steps=80), type_name: str = "product-name", within: float = 0.5) -> DataFrame:  # noqa: B008
+def bootstrap(spark: SparkSession, sf_dir: str, rounds: int = 2, config: Config = Config(steps=80), type_name: str = "product-name", within: float = 0.3) -> DataFrame:  # noqa: B008
     """Pairs per round: seed by shared words, train on them, match again within a distance, and so on.
 
     Returns round, pairs and the share of pairs that are true.
@@ -92,7 +92,7 @@ def relink_cycle(spark: SparkSession, sf_dir: str, config: Config = Config(steps
     return reduce(DataFrame.unionByName, rows)
 
 
-def stage_seconds(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = ("product-name",), config: Config = Config(steps=60), trees: int = 8, budget: int = 100) -> DataFrame:  # noqa: B008
+def stage_seconds(spark: SparkSession, sf_dir: str, types: tuple[str, ...] = ("product-name",), config: Config = Config(steps=60), trees: int = 8, budget: int = 160) -> DataFrame:  # noqa: B008
     """Seconds and rows of every load and query stage, scan against index in both directions, for each type and their mean.
 
     The index stages carry the share of the scan's links that they find.
