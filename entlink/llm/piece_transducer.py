@@ -118,13 +118,15 @@ class PieceTransducer:
         unigram = m.kind == UNIGRAM
         self.weights = {p: -s if unigram else 0.0 for p, s in self.scores.items()}
         self.fallback = UNKNOWN_PENALTY - min(self.scores.values(), default=0.0) if unigram else 0.0
-        # Pieces by their characters: the arcs that leave a position.
+        # The trie: by character the piece that ends there (or None), its weight, and what follows.
         self.arcs: dict = {}
         for p in self.ids:
             node = self.arcs
-            for c in p:
-                node = node.setdefault(c, {})
-            node[""] = p
+            for c in p[:-1]:
+                node = node.setdefault(c, [None, 0.0, {}])[2]
+            end = node.setdefault(p[-1], [None, 0.0, {}])
+            end[0], end[1] = p, self.weights[p]
+        self.longest = max(map(len, self.ids), default=1)
         self.cut_at_blank = not any(BLANK in p.lstrip(BLANK) for p in self.ids)
         self.cut_at_newline = not any("\n" in p and len(p) > 1 for p in self.ids)
         self.stories: dict[str, tuple[list, list] | None] = {}
@@ -191,7 +193,7 @@ class PieceTransducer:
 
     def shortest_path(self, chunk: str) -> list[str]:
         """Pieces along the path of least weight through one chunk composed with the machines."""
-        n, pieces, weights, trie, free = len(chunk), self.ids, self.weights, self.arcs, self.model.kind == UNIGRAM
+        n, pieces, trie, free = len(chunk), self.ids, self.arcs, self.model.kind == UNIGRAM
         cost, last = [0.0] + [FAR] * n, [""] * (n + 1)
         for at in range(n):
             here = cost[at]
@@ -204,15 +206,15 @@ class PieceTransducer:
             if chunk[at] not in pieces and here + self.fallback < cost[at + 1]:
                 cost[at + 1], last[at + 1] = here + self.fallback, chunk[at]
             node, to = trie, at
-            while to < n:
-                node = node.get(chunk[to])
-                if node is None:
+            for c in chunk[at : at + self.longest]:
+                found = node.get(c)
+                if found is None:
                     break
                 to += 1
-                piece = node.get("")
+                piece, weight, node = found
                 if piece is None:
                     continue
-                weight = here + weights[piece]
+                weight += here
                 if weight >= cost[to]:
                     continue
                 if not free:

@@ -38,3 +38,38 @@ def test_held_out_rows_do_not_train(spark):
     labels = spark.createDataFrame([(i, i % 2) for i in range(60)], "doc_id long, quality int")
     turned = spark.createDataFrame([(i, 1 - i % 2 if zlib.crc32(str(i).encode()) % 3 == 1 else i % 2) for i in range(60)], "doc_id long, quality int")
     assert np.array_equal(q.fit(docs, labels), q.fit(docs, turned))
+
+
+def plain_ftrl(rows, alpha=0.5, beta=1.0, l1=1e-4, l2=1e-3, epochs=3):
+    """The updates one coordinate at a time, in dictionaries."""
+    import math
+
+    z, n = {}, {}
+
+    def weight(i):
+        s = z.get(i, 0.0)
+        return 0.0 if abs(s) <= l1 else -(s - math.copysign(l1, s)) / ((beta + math.sqrt(n.get(i, 0.0))) / alpha + l2)
+
+    for _ in range(epochs):
+        for x, label in rows:
+            w = {i: weight(i) for i, _ in x}
+            p = 1 / (1 + math.exp(-max(-35.0, min(35.0, sum(w[i] * v for i, v in x)))))
+            for i, v in x:
+                g = (p - label) * v
+                step = (math.sqrt(n.get(i, 0.0) + g * g) - math.sqrt(n.get(i, 0.0))) / alpha
+                z[i] = z.get(i, 0.0) + g - step * w[i]
+                n[i] = n.get(i, 0.0) + g * g
+    return {i: weight(i) for i in z}
+
+
+def test_training_equals_plain_updates():
+    rng = np.random.default_rng(2)
+    words = ["alpha", "beta", "gamma", "delta", "EPS", "12", "!!"]
+    texts = [" ".join(rng.choice(words, int(rng.integers(1, 12)))) for _ in range(80)]
+    rows = [(q.features(t), float("alpha" in t)) for t in texts]
+    # A coordinate that stands twice in a row of features (the bias with a hashed feature) would be one update here and two there.
+    rows = [(f, y) for f, y in rows if len(set(f[0].tolist())) == len(f[0])]
+    got = q.train(rows)
+    want = plain_ftrl([(list(zip(i.tolist(), v.tolist())), y) for (i, v), y in rows])
+    assert len(rows) > 60 and np.count_nonzero(got) == sum(w != 0 for w in want.values())
+    assert all(abs(got[i] - w) < 1e-5 for i, w in want.items())
