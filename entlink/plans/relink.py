@@ -57,7 +57,7 @@ def should_relink(old: DataFrame, new: DataFrame, threshold: float = 0.05) -> di
 CHANGES = ("none", "insert", "update", "delete")
 
 
-def relink_cycle(spark: SparkSession, sf_dir: str, config: Config = Config(steps=120), type_name: str = "product-name", threshold: float = 0.05,  # noqa: B008
+def relink_cycle(spark: SparkSession, sf_dir: str, config: Config = Config(steps=120), type_name: str = "product-name", threshold: float = 0.015,  # noqa: B008
                  changes: tuple[str, ...] = CHANGES) -> DataFrame:
     """Hit rates around each kind of change: train, change the tables, measure drift, retrain from the weights at hand if it is large.
 
