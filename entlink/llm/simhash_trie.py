@@ -26,7 +26,8 @@ shingles, in which those pairs differ in 78 bits, give or take 8, and others in
 about 250.  The same join of tries under a budget finds them, with prefixes
 drawn from the bits in another order each time: the number of tries follows from
 the number of documents, the similarity and the recall wanted of pairs that are
-just similar enough (more similar ones are found more often).
+just similar enough (more similar ones are found more often).  Classes so found
+are candidates: ``exact_links`` compares whole shingle sets inside each.
 
 Defined results: null text counts as empty; null identifiers are carried but
 name a class only if no other identifier does; equal texts have equal
@@ -42,6 +43,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from entlink.llm.components import connected_components
+from entlink.llm.exact_links import exact_links
 from entlink.llm.unions import Classes
 from entlink.llm.wide_trie import FEW, bit_counts, leaf_pairs, links_in_groups, permutation, prefixes, tries_for
 from entlink.storage import materialize, release_memory
@@ -226,17 +228,24 @@ AT_ONCE = 1 << 14  # shingles whose 512 bits are held at a time
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
 
 
-def wide_fingerprint(text: str | None, width: int = 5) -> bytes:
-    """The SimHash of 512 bits of the set of a text's shingles; 64 zero bytes if it has no words."""
+def shingle_set(text: str | None, width: int = 5) -> np.ndarray:
+    """The sorted 64-bit hashes of a text's distinct shingles; empty if it has no words."""
     words = (text or "").encode("utf-8").lower().split()
     if not words:
-        return bytes(8 * WIDE_WORDS)
+        return np.zeros(0, np.uint64)
     one = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
     n = max(1, len(words) - width + 1)
     shingles = np.zeros(n, np.uint64)
     for k in range(min(width, len(words))):
         shingles = (shingles ^ (shingles >> np.uint64(29))) * _MIX[0] + one[k : k + n]
-    shingles = np.unique(shingles)
+    return np.unique(shingles)
+
+
+def wide_fingerprint(text: str | None, width: int = 5) -> bytes:
+    """The SimHash of 512 bits of the set of a text's shingles; 64 zero bytes if it has no words."""
+    shingles = shingle_set(text, width)
+    if not len(shingles):
+        return bytes(8 * WIDE_WORDS)
     counts = np.zeros(64 * WIDE_WORDS, np.int64)
     for at in range(0, len(shingles), AT_ONCE):
         wide = shingles[at : at + AT_ONCE, None] + _MIX[0] * np.arange(1, WIDE_WORDS + 1, dtype=np.uint64)
@@ -314,16 +323,32 @@ def similar_links(distinct: DataFrame, similarity: float = 0.8, recall: float =
     return calm.repartition(parts, "grp").mapInArrow(join, "u long, v long")
 
 
+def shingle_sets(members: DataFrame, width: int = 5) -> DataFrame:
+    """``(class, node, shingles)`` of rows (class, node, text): the whole set of each as bytes."""
+
+    def run(batches):
+        for b in batches:
+            sets = [shingle_set(t, width).tobytes() for t in b.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("class"), b.column("node"), pa.array(sets, pa.binary())], ["class", "node", "shingles"])
+        release_memory()
+
+    return members.select("class", "node", "text").mapInArrow(run, "class long, node long, shingles binary")
+
+
 def similar_classes(
     docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, similarity: float = 0.8, recall: float = 0.95
 ) -> DataFrame:
     """One row per document: id, ``fp`` (64 bytes) and ``component_id``, the least id of its class of similar documents.
 
-    A class has no name where no row has an identifier.
+    Documents are of one class if pairs of at least the similarity connect them: fingerprints find candidate classes,
+    and inside these whole sets of shingles are compared.  A class has no name where no row has an identifier.
     """
     prints = materialize(wide_fingerprints(docs, id_col, text_col, width), "similar")
     distinct = materialize(prints.groupBy("fp").agg(F.min("id").alias("node"), F.count("*").alias("copies")), "similar-distinct")
     links = materialize(similar_links(distinct.where("node is not null"), similarity, recall), "similar-links")
-    roots = materialize(connected_components(links), "similar-roots")
+    met = materialize(connected_components(links), "similar-met").withColumnRenamed("root", "class")
+    texts = docs.select(F.col(id_col).cast("long").alias("node"), F.col(text_col).alias("text"))
+    checked = exact_links(shingle_sets(texts.join(met, "node"), width), similarity)
+    roots = materialize(connected_components(checked), "similar-roots")
     every = distinct.join(roots, "node", "left").select("fp", "copies", F.coalesce("root", "node").alias("component_id"))
     return _by_row(prints, materialize(every, "similar-classes"), id_col)
