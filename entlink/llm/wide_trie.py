@@ -53,12 +53,12 @@ def tries_for(n: int, size: int, similarity: float, recall: float) -> tuple[int,
 
     Sets of Jaccard similarity s have a cosine of 2s / (1 + s), and a bit differs with the angle's share of a half turn.  Prefixes
     leave about four fingerprints in a group; tries are as many as it takes for a pair to share a prefix with chance
-    ``recall``; the budget lies 1.3 deviations above the mean.
+    ``recall``; the budget lies 2.5 deviations above the mean, as whole sets are compared afterwards.
     """
     differ = math.acos(2 * similarity / (1 + similarity)) / math.pi
     bits = min(56, max(8, math.ceil(math.log2(max(2, n))) - 2))
     tries = math.ceil(math.log(1 - recall) / math.log1p(-((1 - differ) ** bits)))
-    return bits, tries, int(size * differ + 1.3 * math.sqrt(size * differ * (1 - differ)))
+    return bits, tries, int(size * differ + 2.5 * math.sqrt(size * differ * (1 - differ)))
 
 
 def leaf_pairs(alo: np.ndarray, ahi: np.ndarray, blo: np.ndarray, bhi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
