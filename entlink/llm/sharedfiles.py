@@ -5,11 +5,7 @@ from __future__ import annotations
 import uuid
 from contextlib import contextmanager
 
-import pyarrow.fs as pafs
-
-
-def locate(uri: str) -> tuple[pafs.FileSystem, str]:
-    return pafs.FileSystem.from_uri(uri)
+from entlink.storage import locate
 
 
 @contextmanager
