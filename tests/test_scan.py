@@ -92,3 +92,36 @@ def test_equal_texts_are_compared_once(spark, name, tmp_path):
         exact.materialize = scan
     mentions = queries()["q03_verbalized_mentions"](spark, str(tmp_path))
     assert len(seen) == 1 and seen[0].count() < mentions.count() / 2
+
+
+@pytest.fixture
+def fresh(spark):
+    """Spark's own threshold, as a new session has it."""
+    spark.conf.unset("spark.sql.adaptive.autoBroadcastJoinThreshold")
+    spark.conf.unset(storage.BROADCAST)
+    return spark
+
+
+@pytest.mark.parametrize("name", ["q18_link_shared_word", "q19_candidate_union", "q56_detect_mentions", "q117_rarest_token_blocks"])
+def test_exploded_words_are_not_broadcast_by_guess(fresh, name):
+    """Before a run sizes are guesses: exploded words of 60 times the mentions went to the driver by them."""
+    assert "BroadcastExchange" not in plan(queries()[name](fresh, SF))
+
+
+def test_measured_sizes_still_broadcast(fresh):
+    names = fresh.createDataFrame([("red rod", "red rod")], "id string, text string").repartition(2)
+    texts = fresh.createDataFrame([(i, "a red rod") for i in range(50)], "id long, text string").repartition(2)
+    found = candidates.shared_word(names, texts)
+    assert [r.shared for r in found.collect()] == [2] * 50
+    assert "BroadcastHashJoin" in plan(found)
+    assert fresh.conf.get("spark.sql.adaptive.autoBroadcastJoinThreshold").lower() in ("10mb", "10485760b", "10485760")
+
+
+def test_vectors_are_not_broadcast_by_guess(fresh):
+    """Relation vectors are far larger than the columns that they come from."""
+    from entlink.plans.accuracy import entity_frames, links_of
+    from entlink.workloads.experiments import QUICK
+
+    tuples, mentions = entity_frames(fresh, SF, ("supplier",), QUICK)
+    assert fresh.conf.get(storage.BROADCAST) == "-1"
+    assert "BroadcastExchange" not in plan(links_of(tuples, mentions, None, QUICK)).split("MapInArrow")[0]
