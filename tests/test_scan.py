@@ -125,3 +125,12 @@ def test_vectors_are_not_broadcast_by_guess(fresh):
     tuples, mentions = entity_frames(fresh, SF, ("supplier",), QUICK)
     assert fresh.conf.get(storage.BROADCAST) == "-1"
     assert "BroadcastExchange" not in plan(links_of(tuples, mentions, None, QUICK)).split("MapInArrow")[0]
+
+
+def test_schedule_reads_the_orders(fresh):
+    """Its steps were made up on the driver before."""
+    found = queries()["q28_lr_schedule"](fresh, SF)
+    assert "orders.parquet" in plan(found)
+    rates = dict(found.collect())
+    assert len(rates) == fresh.read.parquet(f"{SF}/orders.parquet").count()
+    assert all(r == pytest.approx(1e-5 * 0.9 ** (s // 1000), abs=1e-15) for s, r in rates.items())
