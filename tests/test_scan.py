@@ -134,3 +134,44 @@ def test_schedule_reads_the_orders(fresh):
     rates = dict(found.collect())
     assert len(rates) == fresh.read.parquet(f"{SF}/orders.parquet").count()
     assert all(r == pytest.approx(1e-5 * 0.9 ** (s // 1000), abs=1e-15) for s, r in rates.items())
+
+
+def test_rows_of_a_small_file_reach_all_cores(spark):
+    from entlink.sources.mentions import entity_type, relations
+
+    cores = spark.sparkContext.defaultParallelism
+    tuples, mentions = entity_type(spark, "/root/testdata/sf0.001", "product-name")
+    for found in (relations(spark, "/root/testdata/sf0.001")["part"], tuples, mentions):
+        assert found.rdd.getNumPartitions() >= cores
+
+
+def test_training_rows_are_picked_without_vectors(spark, monkeypatch):
+    """The rows that a type is trained on are those of the plain windows over all columns; ids and instances may be null."""
+    from pyspark.sql import Window
+
+    from entlink.joint import train as tr
+
+    rows = [("k", str(i % 41) if i % 41 else None, str(i % 7) if i % 7 else None, [float(i), 1.0]) for i in range(60)]
+    left = spark.createDataFrame(rows, "entity_type string, tuple_id string, instance_id string, vec array<float>")
+    right = left.withColumnRenamed("tuple_id", "mention_id")
+    taken = {}
+    monkeypatch.setattr(type(left), "groupBy", lambda self, *by: taken.update(rows=self) or type("G", (), {"applyInPandas": lambda *_: None})())
+    tr.train(left, right, tr.Config(), max_rows=20)
+    monkeypatch.undo()
+    both = left.selectExpr("entity_type", "tuple_id id", "instance_id", "vec", "'tuple' side").union(right.selectExpr("entity_type", "mention_id id", "instance_id", "vec", "'mention' side"))
+    own = Window.partitionBy("side", "instance_id").orderBy(F.xxhash64("id"), "id")
+    some = Window.partitionBy("side").orderBy("turn", F.xxhash64("instance_id"), "instance_id")
+    plain = both.withColumn("turn", F.row_number().over(own)).withColumn("n", F.row_number().over(some)).where("n <= 20")
+    name = lambda df: sorted(str((r.side, r.id, r.instance_id)) for r in df.collect())
+    assert name(taken["rows"]) == name(plain)
+    plan = taken["rows"]._jdf.queryExecution().optimizedPlan().toString()
+    assert "LeftSemi" in plan and plan.count("Window") > 2
+
+
+def test_bags_equal_plain_sums():
+    from entlink.functions.text import hashed_bag
+    from entlink.joint.train import bags
+
+    texts = ["", None, "a a b", "Blue ring", "a a b", "été ÉTÉ x1"]
+    plain = np.stack([hashed_bag(t, 64) + 0.5 * hashed_bag(t, 64, (3, 3)) for t in texts])
+    assert (bags(texts, 64) == plain / np.maximum(1e-9, np.linalg.norm(plain, axis=1, keepdims=True))).all()
