@@ -104,3 +104,13 @@ def test_model_that_drops_extra_blanks():
     sp, t = sentencepiece.SentencePieceProcessor(model_proto=raw), pt.PieceTransducer(raw)
     for text in ["", "  ", " a  b ", "a   a b", "ab", "   ab  ab"]:
         assert np.frombuffer(t.encode(text), np.uint32).tolist() == sp.encode(text), text
+
+
+def test_merge_search_settles_few_states():
+    """The furthest arc comes first, so states off the path are hardly ever settled; the path is the library's."""
+    sp, t = library(), mine()
+    chunk = pt.BLANK + "internationalization" * 20
+    cost, last = [0.0] + [pt.FAR] * len(chunk), [""] * (len(chunk) + 1)
+    t._settle_furthest_first(chunk, cost, last)
+    assert sum(c < pt.FAR for c in cost) < len(chunk) / 2
+    check(sp, t, chunk[1:])
