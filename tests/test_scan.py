@@ -175,3 +175,72 @@ def test_bags_equal_plain_sums():
     texts = ["", None, "a a b", "Blue ring", "a a b", "été ÉTÉ x1"]
     plain = np.stack([hashed_bag(t, 64) + 0.5 * hashed_bag(t, 64, (3, 3)) for t in texts])
     assert (bags(texts, 64) == plain / np.maximum(1e-9, np.linalg.norm(plain, axis=1, keepdims=True))).all()
+
+
+def test_nearest_rows_are_found_by_estimates(monkeypatch):
+    """Only few pairs are compared truly, with the same rows and ties by id; before, every pair was."""
+    import pandas as pd
+
+    from entlink.ann import exact
+
+    rng = np.random.default_rng(5)
+    q, b, ids = rng.integers(-1, 2, (40, 16)).astype(float), rng.integers(-1, 2, (900, 16)).astype(float), rng.permutation(900)
+    q[0] = b[3] = 0
+
+    class Rows(list):
+        block = 100
+
+    want = np.round(exact.distances(q, b, "cosine"), 9)
+    monkeypatch.setattr(exact, "distances", None)
+    monkeypatch.setattr(exact, "PAIRS", 50)
+    blocks = Rows((pd.DataFrame({"id": ids[i : i + 100]}), b[i : i + 100]) for i in range(0, 900, 100))
+    got = pd.concat(exact.nearest_of(6, "cosine", 9)(pd.DataFrame({"id": np.arange(40)}), q, blocks))
+    plain = [(i, int(ids[j])) for i in range(40) for j in np.lexsort((ids, want[i]))[:6]]
+    assert list(zip(got.query_id, got.result_id)) == plain
+
+
+def test_extreme_vectors_are_compared_truly():
+    import pandas as pd
+
+    from entlink.ann import exact
+
+    class Rows(list):
+        block = 9
+
+    b = np.array([[1e80, 0.0], [0.0, 1e-80], [1.0, 1.0]])
+    got = list(exact.nearest_of(1, "cosine")(pd.DataFrame({"id": [0]}), np.array([[1e75, 1e75]]), Rows([(pd.DataFrame({"id": [4, 5, 6]}), b)])))
+    assert got[0].result_id.tolist() == [6]
+
+
+def test_few_keys_go_to_the_texts(spark):
+    """Before, the words of all texts and whole texts were shuffled for a few names."""
+    rows = [(i, f"x{i} one big red rod here, o'k {'no' if i % 3 else 'snowy'} !") for i in range(60)] + [(60, None), (61, "")]
+    texts = spark.createDataFrame(rows, "id long, text string")
+    names = spark.createDataFrame([("a", "big red rod"), ("b", "x7"), ("c", "o'k"), ("d", " !"), ("e", "now"), ("f", ""), ("g", "red rod hers")], "id string, text string")
+    pairs = lambda df: sorted(map(tuple, df.collect()))
+    for some in (names, names.where("id in ('a', 'g')"), names.where("id = 'f'")):
+        assert pairs(candidates.contained(some, texts, hold=True)) == pairs(candidates.contained(some, texts))
+    found = candidates.contained(names.where("id = 'a'"), texts, hold=True)
+    assert "hit-texts" in plan(found) and "LeftSemi" in plan(found)
+
+
+def test_only_copied_documents_are_encoded(spark):
+    """Their relation is that of all documents, of which every text was encoded before."""
+    from entlink.joint.train import Config
+    from entlink.plans.accuracy import relation_vectors
+    from entlink.sources.mentions import entity_type
+
+    c = Config(text_dim=16)
+    tuples, _ = entity_type(spark, "/root/testdata/sf0.01", "copied-document")
+    keys = tuples.selectExpr("cast(tuple_id as bigint) doc_id")
+    some = {r.tuple_id: r.vec for r in relation_vectors(spark, "/root/testdata/sf0.01", "copied-document", c, keys=keys).collect()}
+    every = {r.tuple_id: r.vec for r in relation_vectors(spark, "/root/testdata/sf0.01", "copied-document", c).collect()}
+    assert 0 < len(some) < len(every) and all(every[k] == v for k, v in some.items())
+
+
+def test_long_texts_are_encoded_in_bounded_runs():
+    from entlink.joint.train import _runs_of_tokens
+
+    runs = list(_runs_of_tokens(["a b a", "", " ".join(f"w{i}" for i in range(25)), "a"], most=10))
+    assert [len(row) for row, *_ in runs] == [10, 10, 8]
+    assert sum(sum(n) for _, _, n, _ in runs) == 29
