@@ -44,6 +44,38 @@ def test_small_code_sizes():
         assert g.lzw_decode(stream, bits, len(data)) == data == plain_lzw(stream, bits)
 
 
+def codes_stream(codes, min_bits):
+    """A code stream as given, widths by the number of codes since the last clear code."""
+    bits, k = "", 0
+    for c in [1 << min_bits, *codes]:
+        width = min_bits + 1
+        while c != 1 << min_bits and k and width < 12 and (1 << min_bits) + 1 + k >= 1 << width:
+            width += 1
+        bits += format(c, f"0{width}b")[::-1]
+        k = 0 if c == 1 << min_bits else k + 1
+    return bytes(int(bits[i : i + 8][::-1], 2) for i in range(0, len(bits), 8))
+
+
+def test_cut_streams_and_full_tables():
+    rng = np.random.default_rng(2)
+    for data in (b"ab" * 9000, rng.integers(97, 101, 30000).astype(np.uint8).tobytes()):
+        stream = g.lzw_encode(data)
+        for n in (1, 2, 3, 255, 5000, 17999):
+            assert g.lzw_decode(stream, 8, n) == data[:n]
+    # Entries that refer to the code just read, and a table that stays full.
+    codes = [1, *range(6, 200), *rng.integers(0, 4, 4200).tolist(), *rng.integers(6, 4096, 300).tolist(), 5]
+    stream = codes_stream(codes, 2)
+    whole = plain_lzw(stream, 2)
+    assert g.lzw_decode(stream, 2, len(whole)) == whole
+    assert g.lzw_decode(stream, 2, 12345) == whole[:12345]
+
+
+def test_codes_beyond_the_table_are_named():
+    for codes in ([11, 9], [1, 11, 9], [1, 10, 12, 9]):
+        with pytest.raises(ValueError):
+            g.lzw_decode(codes_stream(codes, 3), 3, 100)
+
+
 def test_payload_round_trip():
     for text in (None, "", "x", "é" * 96, "long " * 60000, "a\0b"):
         n, payload = g.padded(text)
