@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from entlink import storage
 from entlink.ann.exact import exact_knn, grouped_knn
 from entlink.operators import candidates, loss
-from entlink.registry import queries
+from entlink.registry import oracles, queries
+from entlink.workloads import core
 
 SF = "/root/testdata/sf0.001"
 
@@ -71,6 +72,36 @@ def test_no_pairs_are_shuffled(spark, name):
     assert "FlatMapCoGroupsInPandas" not in rows and "MapInArrow" in rows
 
 
+def test_links_of_tuples_alike_are_counted_once(spark, tmp_path):
+    """With every part ten times, the query by channel joins links with a text's tuples summed up, and gives the rows of its SQL."""
+    import duckdb
+
+    name, sizes = "q15_hit_at_k_by_channel", []
+    part = spark.read.parquet(f"{SF}/part.parquet").where("p_partkey < 20")
+    for copies in (1, 10):
+        folder, kept, write = f"{tmp_path}/{copies}", [], storage.materialize
+        more = part.withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).withColumn("p_partkey", F.col("p_partkey") + 1000 * F.col("c")).drop("c")
+        more.write.parquet(f"{folder}/part.parquet")
+
+        def watched(df, tag, write=write, kept=kept):
+            out = write(df, tag)
+            kept.extend([out] if tag == "raw-asked" else [])
+            return out
+
+        core.materialize = watched
+        try:
+            got = sorted(tuple(r) for r in queries()[name](spark, folder).select("split", "channel", "links", "correct", "rate").collect())
+        finally:
+            core.materialize = write
+        duck = duckdb.connect()
+        duck.execute(f"CREATE VIEW part AS SELECT * FROM '{folder}/part.parquet/*.parquet'")
+        assert got == sorted(duck.execute(f"SELECT split, channel, links, correct, rate FROM ({oracles()[name]})").fetchall())
+        rows = kept[0].collect()
+        assert len(rows) == len({(r.split, r.text, r.asked) for r in rows}) < 60
+        sizes.append(sum(r.n for r in rows if r.split == "unseen"))
+    assert 0 < 10 * sizes[0] == sizes[1]
+
+
 @pytest.mark.parametrize("name", ["q14_hit_at_k_raw", "q15_hit_at_k_by_channel", "q35_accuracy_vs_density", "q105_knn_report"])
 def test_equal_texts_are_compared_once(spark, name, tmp_path):
     """With every part ten times, the scan sees each text once: before, it compared all ten copies with all mentions."""
