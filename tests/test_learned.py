@@ -238,3 +238,44 @@ def test_towers_are_plugged_in(spark):
     r, t = np.eye(4), np.eye(4)[:, ::-1].copy()
     *_, last = fit_towers(r, t, np.array([(i, i) for i in range(4)]), np.arange(4), np.arange(4), Config(steps=3, batch=4, relation=(3,), text=(3,), tower="noted"))
     assert seen == [(4, 3), (4, 3)] and last[0] == 3
+
+
+def test_every_row_trains(spark):
+    """Of 20,200 instances only the last 200 by hash have inputs other than zero, so weights move only if those are trained on."""
+    from pyspark.sql import Window
+    from pyspark.sql import functions as F
+
+    from entlink.joint.train import train
+
+    ids = spark.range(20_200).select(F.col("id").cast("string").alias("instance_id"))
+    no = F.row_number().over(Window.orderBy(F.xxhash64("instance_id"), "instance_id"))
+    x = F.when(no > 20_000, F.xxhash64("instance_id") / 2.0**63).otherwise(0.0).cast("float")
+    rows = ids.select(F.lit("k").alias("entity_type"), "instance_id", F.array(x, x * x).alias("vec")).cache()
+    w = train(rows.withColumn("tuple_id", F.col("instance_id")), rows.withColumn("mention_id", F.col("instance_id")), Config(steps=40, batch=24, relation=(3,), text=(3,), checkpoints=(0,))).cache()
+    for side in ("relation", "text"):
+        first, last = (accuracy.load_tower(w, "k", side, step).w[0] for step in (0, 40))
+        assert (first != last).all()
+
+
+def test_a_pass_meets_every_pair_once(spark, monkeypatch):
+    """Pairs beyond what the steps draw: each is trained on once, all rows of an instance take part, and every group has a non-match."""
+    from pyarrow import dataset
+    from entlink.joint import train as tr
+    from entlink.storage import locate
+
+    rows = [("k", side, str(i), f"{side}{i}-{j}", [float(i), float(j)]) for i, n in ((0, 300), (1, 1), (2, 40)) for side, m in (("tuple", min(n, 7)), ("mention", n)) for j in range(m)]
+    rows += [("k", "tuple", "3", f"tuple3-{j}", [3.0, float(j)]) for j in range(9)] + [("k", "mention", "3", "mention3-0", [3.0, 0.0]), ("k", "tuple", "alone", "tuple-x", [9.0, 9.0]), ("k", "mention", None, "mention-x", [9.0, 9.0])]
+    both = spark.createDataFrame(rows, "entity_type string, side string, instance_id string, id string, vec array<float>")
+    monkeypatch.setattr(tr, "RUN", 50)
+    path, kinds = tr._in_order(both, 1, 60)
+    assert kinds == [("k", 350, 4, 7)]
+    fs, own = locate(path)
+    runs = [tr._pairs_of(dataset.dataset(f.path, filesystem=fs, format="parquet").to_table()) for f in sorted(fs.get_file_info(tr.pafs.FileSelector(f"{own}/slot=0")), key=lambda f: f.path) if f.base_name.startswith("file=")]
+    made = sorted((a, b) for run in runs for a, b in zip(run.r_id, run.t_id))
+    assert len(made) == len(set(made)) == 350 and {x for p in made for x in p} == {r[3] for r in rows if not r[3].endswith("x")}
+    assert all(a[5:].split("-")[0] == b[7:].split("-")[0] for a, b in made)
+    assert all((run.r[:, 0] == run.t[:, 0]).all() for run in runs)
+    seen, groups = [], []
+    monkeypatch.setattr(tr._Learner, "learn", lambda self, step, got: (seen.append(sum(g[3] for g in got)), groups.extend(got)))
+    steps = [step for step, *_ in tr.fit_pass(iter(runs), 350, Config(steps=10, batch=6, checkpoints=(0, 5)))]
+    assert steps == [0, 5, 10] and sum(seen) == 350 and all(g[3] <= 6 and not g[2].all() for g in groups)
