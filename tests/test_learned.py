@@ -257,6 +257,25 @@ def test_every_row_trains(spark):
         assert (first != last).all()
 
 
+def test_snapshots_train_on_all_pairs(spark, monkeypatch):
+    """The queries of the snapshots ask for no bound of training: all training mentions and their tuples are given to it."""
+    from entlink.workloads import learned
+
+    given = {}
+
+    def noted(tuples, mentions, config, max_rows=None, start=None):
+        given.update(bound=max_rows, mentions=mentions.count(), tuples=tuples.count())
+        raise InterruptedError
+
+    monkeypatch.setattr(accuracy, "train", noted)
+    for q in (learned.snapshots, learned.separation_by_step):
+        given.clear()
+        with pytest.raises(InterruptedError):
+            q(spark, SF)
+        _, mentions = accuracy.entity_frames(spark, SF, learned.ONE, learned.STEPS)
+        assert given["bound"] is None and given["mentions"] == mentions.where("split = 'train'").count() and given["tuples"] > 0
+
+
 def test_a_pass_meets_every_pair_once(spark, monkeypatch):
     """Pairs beyond what the steps draw: each is trained on once, all rows of an instance take part, and every group has a non-match."""
     from pyarrow import dataset
