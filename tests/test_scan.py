@@ -1,6 +1,7 @@
 """The scan over shared blocks: same rows as all pairs, without storing pairs; joins broadcast by measured sizes."""
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -275,3 +276,52 @@ def test_long_texts_are_encoded_in_bounded_runs():
     runs = list(_runs_of_tokens(["a b a", "", " ".join(f"w{i}" for i in range(25)), "a"], most=10))
     assert [len(row) for row, *_ in runs] == [10, 10, 8]
     assert sum(sum(n) for _, _, n, _ in runs) == 29
+
+
+@pytest.mark.parametrize("spread", [0.05, 1.0])
+def test_cells_give_what_the_scan_gives(spark, monkeypatch, spread):
+    """Ties, zero vectors, extreme lengths, small and foreign groups: the same rows with and without cells, and fewer pieces read."""
+    from entlink.ann import exact
+
+    rng = np.random.default_rng(3)
+    centres = rng.normal(size=(12, 8))
+    v = centres[rng.integers(0, 12, 4000)] + spread * rng.normal(size=(4000, 8))
+    v[5] = 0
+    v[6] *= 1e-60
+    v[7:30] = v[7]
+    rows = [("a" if i % 9 else "b", f"r{i}", x.tolist()) for i, x in enumerate(v)]
+    base = spark.createDataFrame(rows, "grp string, id string, vec array<double>")
+    asked = [("a", f"q{i}", x.tolist()) for i, x in enumerate(np.concatenate([v[:300], np.zeros((1, 8)), centres]))] + [("b", "q-b", v[0].tolist()), ("none", "q-none", v[0].tolist())]
+    queries = spark.createDataFrame(asked, "grp string, id string, vec array<double>")
+    for n, digits in ((1, None), (10, 3)):
+        want = sorted(map(tuple, exact.grouped_knn(queries, base, n, digits=digits).collect()))
+        with monkeypatch.context() as m:
+            m.setattr(exact, "LEAST", 100)
+            m.setattr(exact, "CELL", 32)
+            m.setattr(exact, "_apart", lambda centres, radii: True)
+            got = sorted(map(tuple, exact.grouped_knn(queries, base, n, digits=digits, cells=True).collect()))
+            assert [x[:3] + x[4:] for x in got] == [x[:3] + x[4:] for x in want] and np.allclose([x[3] for x in got], [x[3] for x in want], atol=1e-12)
+
+
+def test_far_pieces_are_not_read():
+    """Groups far from a query are ruled out by their radius."""
+    from entlink.ann import exact
+
+    rng = np.random.default_rng(4)
+    centres = np.eye(8)
+    base = np.concatenate([c + 0.01 * rng.normal(size=(50, 8)) for c in centres])
+    cells = exact.Cells(centres)
+    cell, angle = cells.of(base)
+    radius = np.array([angle[cell == i].max() for i in range(8)]) + 1e-7
+    read = []
+
+    class Few:
+        found = [(None, i, i) for i in range(8)]
+
+        def read(self, i):
+            read.append(int(i))
+            return pd.Series(np.flatnonzero(cell == i)), base[cell == i]
+
+    r, i, d = exact._nearest_in_pieces(centres[3:4] + 0.01, Few(), exact.Cells(centres, np.cos(radius), np.sin(radius)), 5, 0.0, None)
+    _, c, want = exact.nearest_positions(centres[3:4] + 0.01, base, 5, "cosine")
+    assert read == [3] and i.tolist() == c.tolist() and np.allclose(d, want)
