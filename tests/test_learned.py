@@ -298,3 +298,16 @@ def test_a_pass_meets_every_pair_once(spark, monkeypatch):
     monkeypatch.setattr(tr._Learner, "learn", lambda self, step, got: (seen.append(sum(g[3] for g in got)), groups.extend(got)))
     steps = [step for step, *_ in tr.fit_pass(iter(runs), 350, Config(steps=10, batch=6, checkpoints=(0, 5)))]
     assert steps == [0, 5, 10] and sum(seen) == 350 and all(g[3] <= 6 and not g[2].all() for g in groups)
+
+
+def test_cold_start_asks_for_unseen_tuples_only(spark, monkeypatch):
+    """The rows are the unseen ones of the whole table, no other tuples are compared, and both sides are embedded once."""
+    asked, made, find, sides = [], [], accuracy.grouped_knn, accuracy.embedded_sides
+    monkeypatch.setattr(accuracy, "grouped_knn", lambda q, b, *a, **k: asked.append({r.grp for r in q.select("grp").distinct().collect()}) or find(q, b, *a, **k))
+    monkeypatch.setattr(accuracy, "embedded_sides", lambda *a, **k: made.append(1) or sides(*a, **k))
+    key = ["entity_type", "pool", "k", "hits", "queries", "rate"]
+    whole = accuracy.accuracy_table(spark, SF, ("supplier",), Config(steps=20), pools=("split", "all")).where("split = 'unseen'").select(*key).collect()
+    assert len(made) == 1 and any(len(x) > 1 for x in asked)
+    asked.clear()
+    some = accuracy.accuracy_table(spark, SF, ("supplier",), Config(steps=20), pools=("split", "all"), split="unseen").select(*key).collect()
+    assert sorted(some) == sorted(whole) and asked == [{"supplier|unseen"}] * 2
